@@ -7,7 +7,7 @@ Methods give the same answer at different cost:
 * ``minlabel``  gather the neighbours' labels, keep the least, and follow labels of labels;
 * ``stars``     alternate large-star and small-star rewrites of the edge table (few rounds on long chains);
 * ``local``     union-find on the driver, refused above ``row_cap`` edges;
-* ``sql``       recursive SQL, refused above ``row_cap`` edges (cross-check only);
+* ``sql``       recursive SQL over simple paths, refused above ``row_cap`` edges (cross-check on small components only);
 * ``auto``      ``minlabel`` for a few rounds, then ``stars`` on what is still moving.
 """
 
@@ -104,12 +104,11 @@ def connected(vertices: DataFrame, edges: DataFrame, method: str = "auto", row_c
         if edges.limit(row_cap + 1).count() > row_cap:
             raise ValueError(f"more than {row_cap} links: use a distributed method")
         labels = edges.sparkSession.sql(
-            "WITH RECURSIVE b AS (SELECT src x, dst y FROM {e} UNION SELECT dst, src FROM {e}), "
-            "r(x, y) AS (SELECT x, x FROM b UNION SELECT r.x, b.y FROM r JOIN b ON r.y = b.x WHERE b.y < r.x) "
+            "WITH RECURSIVE b AS (SELECT src AS x, dst AS y FROM {e} UNION SELECT dst, src FROM {e}), "
+            "r AS (SELECT DISTINCT x, x AS y, array(x) AS path FROM b UNION ALL SELECT r.x, b.y, array_append(r.path, b.y) FROM r JOIN b ON r.y = b.x WHERE NOT array_contains(r.path, b.y)) "
             "SELECT x AS a, min(y) AS label FROM r GROUP BY x",
             e=edges,
         )
-        return connected(vertices, labels.select(F.col("a").alias("src"), F.col("label").alias("dst")), "minlabel")
     else:
         labels, done = _minlabel(edges, 6)
         if not done:
