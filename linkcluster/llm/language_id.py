@@ -33,6 +33,8 @@ class LanguageConfig:
     #: Bound on the labelled rows of a language that are fitted.
     max_per_lang: int = 500
     epochs: int = 8
+    #: A small sample is passed over more often, until this many steps are done.
+    min_steps: int = 1200
     rate: float = 20.0
     batch: int = 16
     #: Share of right calibration predictions that rejection may cost.
@@ -143,9 +145,10 @@ def fit(sample: list, cfg: LanguageConfig = LanguageConfig()) -> LanguageModel |
     weight = [s[3] / s[3].sum() for s in sample]
     train = [i for i, s in enumerate(sample) if not s[1]] or list(range(len(sample)))
     check = [i for i, s in enumerate(sample) if s[1]] or train
-    steps = max(1, cfg.epochs * len(train) // cfg.batch)
-    done = 0
-    for _ in range(cfg.epochs):
+    a_pass = -(-len(train) // cfg.batch)
+    epochs = max(cfg.epochs, -(-cfg.min_steps // a_pass))
+    steps, done = epochs * a_pass, 0
+    for _ in range(epochs):
         order = rng.permutation(train)
         for at in range(0, len(order), cfg.batch):
             rate = cfg.rate * (1 - done / (steps + 1)) / cfg.batch
