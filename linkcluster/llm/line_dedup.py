@@ -53,7 +53,7 @@ def chunk_rows(docs: DataFrame, cfg: ChunkConfig, key: str, text: str) -> DataFr
     d = with_chunks(docs.select(F.col(key).alias("id"), row_key(key, text).alias("row"), F.col(text).alias("text")).where("text is not null"), "text", cfg)
     d = d.select("id", "row", "lines", F.explode(F.filter("chunks", lambda c: (c["n"] >= 2) | c["long"])).alias("c"))
     d = d.select("id", "row", F.col("c.first").alias("first"), F.col("c.n").alias("n"), F.expr("array_join(slice(lines, c.first + 1, c.n), '\n')").alias("chunk"))
-    return d.where("trim(chunk) <> ''")
+    return d.where(F.col("chunk").rlike(r"[^\x20\x09-\x0D]"))
 
 
 def removals(docs: DataFrame, cfg: ChunkConfig = ChunkConfig(), key: str = "doc_id", text: str = "text") -> DataFrame:
