@@ -30,9 +30,9 @@ SYMBOLS = b"#*$%&|<>"
 @dataclass(frozen=True)
 class QualityConfig:
     buckets: int = 10_000
-    smoothing: float = 1.0
+    smoothing: float = 20.0
     #: Nats for each n-gram below which a document is dropped.
-    min_score: float = -0.05
+    min_score: float = -0.045
 
 
 def _words(raw: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
