@@ -12,6 +12,8 @@ stays.  So the strategies end in the same clusters:
 
 from __future__ import annotations
 
+from functools import reduce
+
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -46,9 +48,6 @@ def candidates(blocked: DataFrame, measure: PairMeasure, theta: float, k: int, u
     return _best_of_duplicates(out)
 
 
-ORDER = ("g", "nol", "nor")
-
-
 def _rank():
     """Greater is better: similarity, then the smaller original ids."""
     return F.struct(F.col("g"), (-F.col("ol")).alias("nol"), (-F.col("orr")).alias("nor"))
@@ -89,18 +88,19 @@ def _rewrite(work: DataFrame, picks: DataFrame, k: int) -> DataFrame:
 def loop(work: DataFrame, k: int, strategy: str = "dominant", max_rounds: int | None = None) -> tuple[DataFrame, list[dict]]:
     """(loser, winner) moves of all rounds and a log."""
     spark = work.sparkSession
-    moves = spark.createDataFrame([], "loser bigint, winner bigint")
+    moves = [spark.createDataFrame([], "loser bigint, winner bigint")]
     log: list[dict] = []
     work = cut(work)
     left = work.count()
     while left and (max_rounds is None or len(log) < max_rounds):
         picks = cut(_picks(work, strategy))
         n = picks.count()
-        moves = cut(moves.unionByName(picks.select(F.col("r").alias("loser"), F.col("l").alias("winner"))))
+        moves.append(picks.select(F.col("r").alias("loser"), F.col("l").alias("winner")))
         log.append({"round": len(log) + 1, "work": left, "merged": n})
         work = cut(_rewrite(work, picks, k))
         left = work.count()
-    return moves, log
+    # every round's picks are already cut, so their union has a short plan
+    return reduce(DataFrame.unionByName, moves), log
 
 
 def merge_block(l: list, r: list, g: list, sl: list, sr: list, nl: list, nr: list, k: int, rescore=None) -> list[tuple[int, int]]:
