@@ -45,7 +45,8 @@ class NearConfig:
     #: Buckets up to this size are paired; larger ones are compared in tiles of ``tile`` texts.
     pair_bucket: int = 24
     tile: int = 128
-    piece: int = 3 << 19
+    #: Characters that are worked on at once; bounds a worker's memory.
+    piece: int = 900_000
 
 
 def shingle_sets(texts: list[str], n: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
