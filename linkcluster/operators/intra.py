@@ -27,3 +27,19 @@ def scored_pairs(assign: DataFrame, vertices: DataFrame, measure: PairMeasure, s
     if scope != "all":
         p = p.where("l_source <> r_source")
     return measure.apply(p).select(F.col("l_cid").alias("cid"), F.col("l_id").alias("src"), F.col("r_id").alias("dst"), "sim")
+
+
+def pairs_lateral(assign: DataFrame) -> DataFrame:
+    """The same pairs from a table function over member lists; for small components, as a cross-check."""
+    from pyspark.sql.functions import udtf
+
+    class Pairs:
+        def eval(self, members: list):
+            for i, a in enumerate(members):
+                for b in members[i + 1 :]:
+                    yield a, b
+
+    spark = assign.sparkSession
+    spark.udtf.register("linkcluster_pairs", udtf(Pairs, returnType="src bigint, dst bigint"))
+    lists = assign.groupBy("cid").agg(F.array_sort(F.collect_list("id")).alias("members"))
+    return spark.sql("SELECT cid, src, dst FROM {lists}, LATERAL linkcluster_pairs(members)", lists=lists)

@@ -3,15 +3,20 @@
 Candidates come from equi-joins on keys that follow exactly from the thresholds, so a
 configuration gives the same links as comparing all cross-source pairs:
 
-* a label bound of t means Jaro >= (t - 0.4) / 0.6 where that exceeds the bonus gate, hence a length ratio of
-  at least 3 Jaro - 2 and a letter overlap that prefix filtering on (letter, occurrence) uses;
+* a label bound of t means Jaro >= (t - 0.1 p) / (1 - 0.1 p) with p common first letters, hence a length ratio of
+  at least 3 Jaro - 2 and a least number of common letters, for which letter subsets are keys;
 * a mean bound of t with labels of 1 at most means a distance bound, hence grid cells.
 """
 
 from __future__ import annotations
 
+import itertools
+import math
+
+import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from linkcluster.functions import geo
 from linkcluster.functions.strings import jaro_winkler
@@ -26,14 +31,35 @@ def _least_jaro(bound: float) -> float:
     return max((bound - 0.4) / 0.6, min(0.7, bound))
 
 
-def label_candidates(v: DataFrame, bound: float) -> DataFrame:
-    """(src, dst) cross-source pairs that pass the exact length and letter filters for ``bound``.
+#: Letter subsets a label may have for one partner length before the weaker letter filter takes over.
+SUBSETS = 400
 
-    Equal labels are one entry in the filter; pairs of labels are widened to entities at the end.
-    """
-    jaro = _least_jaro(bound)
+
+def _overlap(a: int, b: int, jaro: float) -> int:
+    """Least number of common letters of labels of these lengths with that Jaro similarity."""
+    return max(1, math.ceil((3 * jaro - 1) * a * b / (a + b) - SLACK))
+
+
+def _covered(a: int, b: int, jaro: float) -> bool:
+    m = _overlap(a, b, jaro)
+    return m > min(a, b) or max(math.comb(a, m), math.comb(b, m)) <= SUBSETS
+
+
+def subset_keys(label: str, jaro: float) -> list[str]:
+    """Keys such that two labels of at least that Jaro similarity share one: for each partner length, all
+    letter subsets of the least overlap."""
+    n, c = len(label), 3 * jaro - 2
+    letters, keys = sorted(label), set()
+    for other in range(max(1, math.ceil(n * c - SLACK)), (math.floor(n / c + SLACK) if c > 0 else 4 * n) + 1):
+        m = _overlap(n, other, jaro)
+        if m <= min(n, other) and _covered(n, other, jaro):
+            keys |= {f"{min(n, other)}:{max(n, other)}:{''.join(s)}" for s in itertools.combinations(letters, m)}
+    return sorted(keys)
+
+
+def _letter_pairs(names: DataFrame, jaro: float, long: int) -> DataFrame:
+    """Pairs with a label of ``long`` letters or more, by prefix filtering on (letter, occurrence)."""
     ratio = max(0.0, 3 * jaro - 2)
-    names = cut(v.select("label").distinct().withColumn("n", F.char_length("label")).where("n > 0"))
     letters = names.select("label", "n", F.posexplode(F.array_sort(F.split("label", ""))).alias("p", "c"))
     g = letters.withColumn("o", F.col("p") - F.expr("min(p) over (partition by label, c)")).select("label", "n", F.concat("c", F.col("o").cast("string")).alias("g"))
     freq = g.groupBy("g").agg(F.count(F.lit(1)).alias("f"))
@@ -42,9 +68,35 @@ def label_candidates(v: DataFrame, bound: float) -> DataFrame:
     share = (3 * jaro - 1) / (1 + max(1.0, 1 / max(ratio, 0.1)))
     need = F.ceil(F.col("n") * share - SLACK)
     probe = ranked.where(F.col("r") <= F.col("n") - need + 1)
-    a, b = probe.select("g", F.col("label").alias("x"), F.col("n").alias("nx")), probe.select("g", F.col("label").alias("y"), F.col("n").alias("ny"))
-    near = a.join(b, "g").where((F.col("x") < F.col("y")) & (F.least("nx", "ny") >= ratio * F.greatest("nx", "ny") - SLACK)).select("x", "y").distinct()
-    scored = near.withColumn("label_sim", jaro_winkler(F.col("x"), F.col("y"))).where(F.col("label_sim") >= bound - SLACK)
+    a, b = probe.where(F.col("n") >= long).select("g", F.col("label").alias("x"), F.col("n").alias("nx")), probe.select("g", F.col("label").alias("y"), F.col("n").alias("ny"))
+    near = a.join(b, "g").where((F.col("x") != F.col("y")) & (F.least("nx", "ny") >= ratio * F.greatest("nx", "ny") - SLACK))
+    return near.select(F.least("x", "y").alias("x"), F.greatest("x", "y").alias("y"))
+
+
+def label_candidates(v: DataFrame, bound: float) -> DataFrame:
+    """(src, dst, label_sim) cross-source pairs of at least that Jaro-Winkler similarity.
+
+    Exact keys: with a common prefix of four letters that prefix is the key; with a shorter one the bonus is
+    smaller, so the Jaro part must be higher, and pairs share a large letter subset.  Distinct labels are
+    compared once; pairs of labels are widened to entities at the end.
+    """
+    jaro = max((bound - 0.3) / 0.7, min(0.7, bound))
+    names = cut(v.select("label").distinct().withColumn("n", F.char_length("label")).where("n > 0"))
+    ratio = max(0.0, 3 * _least_jaro(bound) - 2)
+
+    @F.pandas_udf(T.ArrayType(T.StringType()))
+    def keys_of(label: pd.Series) -> pd.Series:
+        return label.map(lambda x: subset_keys(x, jaro))
+
+    start = names.where("n >= 4").select("label", "n", F.concat(F.lit("="), F.substring("label", 1, 4)).alias("key"))
+    keyed = cut(start.unionByName(names.select("label", "n", F.explode(keys_of("label")).alias("key"))))
+    a, b = keyed.select("key", F.col("label").alias("x"), F.col("n").alias("nx")), keyed.select("key", F.col("label").alias("y"), F.col("n").alias("ny"))
+    near = a.join(b, "key").where((F.col("x") < F.col("y")) & (F.least("nx", "ny") >= ratio * F.greatest("nx", "ny") - SLACK)).select("x", "y")
+    longest = names.agg(F.max("n")).first()[0] or 0
+    long = next((n for n in range(1, longest + 1) if any(not _covered(n, m, jaro) for m in range(1, n + 1) if m >= (3 * jaro - 2) * n)), None)
+    if long is not None:
+        near = near.unionByName(_letter_pairs(names, jaro, long))
+    scored = near.distinct().withColumn("label_sim", jaro_winkler(F.col("x"), F.col("y"))).where(F.col("label_sim") >= bound - SLACK)
     both = scored.unionByName(scored.select(F.col("y").alias("x"), F.col("x").alias("y"), "label_sim")).unionByName(names.select(F.col("label").alias("x"), F.col("label").alias("y"), F.lit(1.0).alias("label_sim")))
     e = v.select("id", "source", "label")
     left = e.select(F.col("id").alias("src"), F.col("source").alias("s1"), F.col("label").alias("x"))

@@ -186,6 +186,16 @@ def oracle_sql() -> dict[str, str]:
             "q AS (SELECT src, dst, c::DOUBLE / (x.n + y.n - c) AS sim FROM p JOIN s x ON x.doc_id = src JOIN s y ON y.doc_id = dst) "
             f"SELECT src, dst, {r6('sim')} AS sim FROM q WHERE sim >= 0.3"
         ),
+        "passage_links": (
+            "WITH g AS (SELECT DISTINCT k, id, unnest(list_transform(generate_series(1, len(w) - 4), lambda i: w[i] || ' ' || w[i + 1] || ' ' || w[i + 2] || ' ' || w[i + 3] || ' ' || w[i + 4])) AS g FROM "
+            "(SELECT k, id, list_filter(string_split_regex(lower(text), '[^\\p{L}\\p{N}]+'), lambda x: x <> '') AS w FROM (SELECT 'd' AS k, doc_id AS id, text FROM documents UNION ALL SELECT 'b', item_id, text FROM benchmark) WHERE text IS NOT NULL) WHERE len(w) >= 5), "
+            "s AS (SELECT id, count(*) AS n FROM g WHERE k = 'b' GROUP BY id), h AS (SELECT a.id AS doc_id, b.id AS item_id, count(*) AS c FROM g a JOIN g b ON a.g = b.g WHERE a.k = 'd' AND b.k = 'b' GROUP BY ALL) "
+            f"SELECT doc_id, item_id, {r6('c::DOUBLE / n')} AS sim FROM h JOIN s ON s.id = item_id WHERE 10 * c >= 8 * n"
+        ),
+        "embedding_links": (
+            "WITH p AS (SELECT a.vec_id AS src, b.vec_id AS dst, list_cosine_similarity(a.embedding::DOUBLE[], b.embedding::DOUBLE[]) AS sim FROM embeddings a JOIN embeddings b ON a.label = b.label AND a.vec_id <> b.vec_id WHERE a.vec_id % 20 = 0) "
+            f"SELECT src, first(dst ORDER BY {g9('sim')} DESC, dst) AS dst, {r6('max(sim)', 4)} AS sim FROM p GROUP BY src"
+        ),
         "page_entities": "SELECT regexp_extract(url, '://([^/]+)', 1) AS source, count(*) AS n, min(regexp_extract(html, '<title>([^<]*)</title>', 1)) AS first_label FROM pages GROUP BY 1",
         "uri_dictionary": "SELECT count(DISTINCT url) AS uris, count(DISTINCT url) AS ids FROM pages",
         "geojson": f"WITH {V} SELECT count(*) AS features, count(*) FILTER (WHERE lat IS NOT NULL AND lon IS NOT NULL) AS points FROM v",

@@ -531,6 +531,20 @@ def documents_near_copies(spark, d):
     return _sim(p.where(F.col("sim") >= 0.3), "src", "dst")
 
 
+def passage_links(spark, d):
+    """Documents that hold at least 0.8 of an item's five-word shingles."""
+    def grams(table, key):
+        t = readers.parquet(spark, d, table, [key, "text"]).where("text is not null")
+        w = t.select(key, F.array_remove(F.split(F.lower("text"), r"[^\p{L}\p{N}]+"), "").alias("w"))
+        n = F.expr("CASE WHEN size(w) >= 5 THEN transform(sequence(0, size(w) - 5), i -> concat_ws(' ', w[i], w[i + 1], w[i + 2], w[i + 3], w[i + 4])) ELSE cast(array() AS array<string>) END")
+        return w.select(key, F.explode(n).alias("g")).distinct()
+
+    items = cut(grams("benchmark", "item_id"))
+    size = items.groupBy("item_id").agg(F.count(F.lit(1)).alias("n"))
+    hit = grams("documents", "doc_id").join(items, "g").groupBy("doc_id", "item_id").agg(F.count(F.lit(1)).alias("c")).join(size, "item_id")
+    return hit.where("10 * c >= 8 * n").select("doc_id", "item_id", rounded(F.col("c") / F.col("n")).alias("sim"))
+
+
 def embedding_links(spark, d):
     """Best other vector of the same label for every vector divisible by 20, by cosine similarity."""
     e = readers.parquet(spark, d, "embeddings")
@@ -688,7 +702,7 @@ NAMES = (
     "representatives representatives_source_priority representatives_longest representatives_medoid blocking_cost block_balance pair_completeness merge_candidates merge_candidates_tiled merge_block_best merge_dominant merge_grouped merge_rescored "
     "workflow_geo workflow_geo_large workflow_music workflow_music_star workflow_music_largest quality_curated quality_input_config1 quality_input_config2 quality_input_config3 quality_config1 quality_config2 quality_config3 quality_music "
     "star1 star2 best_star link_delta cluster_profile compactness exact_match_rate ablation_no_types ablation_no_refinement ablation_no_merge ablation_no_blocking phase_times running_example "
-    "documents_near_copies embedding_links page_entities uri_dictionary geojson scan_pruned join_hash join_broadcast join_outer join_semi_anti join_cross join_band join_interval join_asof "
+    "documents_near_copies passage_links embedding_links page_entities uri_dictionary geojson scan_pruned join_hash join_broadcast join_outer join_semi_anti join_cross join_band join_interval join_asof "
     "agg_basic agg_best_by agg_gather agg_distinct agg_quantiles agg_grouping_sets agg_pivot window_ranks window_shift window_running topk_per_group topk_global set_operations json_properties"
 ).split()
 

@@ -65,3 +65,16 @@ def assign_stream(spark: SparkSession, path: str, reps: DataFrame, out: str, che
         assign_batch(batch.dropDuplicates(["id"]), reps, k, theta, measure).write.mode("overwrite").parquet(f"{out}/batch={n}")
 
     return arriving.writeStream.foreachBatch(one).option("checkpointLocation", checkpoint)
+
+
+def running_counts(stream: DataFrame, by: str = "user_id") -> DataFrame:
+    """Arbitrary state: how many rows each key has sent so far, given out anew whenever it changes."""
+    import pandas as pd
+    from pyspark.sql.streaming.state import GroupStateTimeout
+
+    def step(key, frames, state):
+        n = (state.get[0] if state.exists else 0) + sum(len(f) for f in frames)
+        state.update((n,))
+        yield pd.DataFrame({by: [key[0]], "n": [n]})
+
+    return stream.select(by).groupBy(by).applyInPandasWithState(step, f"{by} bigint, n bigint", "n bigint", "update", GroupStateTimeout.NoTimeout)

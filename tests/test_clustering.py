@@ -216,3 +216,32 @@ def test_soft_tfidf_links_against_all_pairs(spark, sf):
     assert want <= set(got) and all(s < 0.35 + 1e-6 for k, s in got.items() if k not in want)
     assert intra.pairs(spark.createDataFrame([(1, 1), (2, 1)], "id bigint, cid bigint")).count() == 1
     assert representative.build(spark.createDataFrame([(1, 1)], "id bigint, cid bigint"), fixtures.running_example(spark)[0], "longest", "mean").first().label == "l1"
+
+
+def test_stateful_counts_and_pair_table_function(spark, sf, tmp_path):
+    from linkcluster.streaming import incremental
+
+    e = spark.read.parquet(f"{sf}/events.parquet").select(F.col("user_id").cast("bigint").alias("user_id"))
+    e.repartition(2).write.parquet(str(tmp_path / "in"))
+    s = incremental.running_counts(spark.readStream.schema(e.schema).option("maxFilesPerTrigger", 1).parquet(str(tmp_path / "in")))
+    s.writeStream.outputMode("update").format("memory").queryName("counts").trigger(availableNow=True).start().awaitTermination()
+    assert {r.user_id: r.m for r in spark.table("counts").groupBy("user_id").agg(F.max("n").alias("m")).collect()} == {r.user_id: r["count"] for r in e.groupBy("user_id").count().collect()}
+    a = spark.createDataFrame([(1, 1), (2, 1), (5, 1), (7, 7)], "id bigint, cid bigint")
+    assert sorted(intra.pairs_lateral(a).collect()) == sorted(intra.pairs(a).collect())
+
+
+def test_label_candidates_lose_no_pair(spark):
+    rng = random.Random(12)
+    base = ["".join(rng.choice("abcdef") for _ in range(rng.randint(1, 22))) for _ in range(60)]
+    def edit(x):
+        w = list(x)
+        for _ in range(rng.randint(0, 2)):
+            i = rng.randrange(len(w) + 1)
+            w[i : i + rng.randint(0, 1)] = rng.choice("abcdef") * rng.randint(0, 1)
+        return "".join(w)
+    labels = base + [edit(x) for x in base for _ in range(3)] + [""]
+    v = spark.createDataFrame([(i, "AB"[i % 2], x) for i, x in enumerate(labels)], "id bigint, source string, label string")
+    got = {(r.src, r.dst) for r in linking.label_candidates(v, 0.9).where("label_sim >= 0.9").collect()}
+    ids = [(i, j) for i in range(len(labels)) for j in range(i + 1, len(labels)) if (i + j) % 2]
+    s = strings.jaro_winkler_batch([labels[i] for i, _ in ids], [labels[j] for _, j in ids])
+    assert got == {p for p, x in zip(ids, s) if x >= 0.9} and len(got) > 100
