@@ -47,13 +47,15 @@ def _covered(a: int, b: int, jaro: float) -> bool:
 
 def subset_keys(label: str, jaro: float) -> list[str]:
     """Keys such that two labels of at least that Jaro similarity share one: for each partner length, all
-    letter subsets of the least overlap."""
+    letter subsets of the least overlap.  The first sign tells whether the label is the shorter (s) or longer
+    (l) one of such a pair, or as long as its partner (e)."""
     n, c = len(label), 3 * jaro - 2
     letters, keys = sorted(label), set()
     for other in range(max(1, math.ceil(n * c - SLACK)), (math.floor(n / c + SLACK) if c > 0 else 4 * n) + 1):
         m = _overlap(n, other, jaro)
         if m <= min(n, other) and _covered(n, other, jaro):
-            keys |= {f"{min(n, other)}:{max(n, other)}:{''.join(s)}" for s in itertools.combinations(letters, m)}
+            role = "e" if n == other else "s" if n < other else "l"
+            keys |= {f"{role}{min(n, other)}:{max(n, other)}:{''.join(s)}" for s in itertools.combinations(letters, m)}
     return sorted(keys)
 
 
@@ -88,10 +90,14 @@ def label_candidates(v: DataFrame, bound: float) -> DataFrame:
     def keys_of(label: pd.Series) -> pd.Series:
         return label.map(lambda x: subset_keys(x, jaro))
 
-    start = names.where("n >= 4").select("label", "n", F.concat(F.lit("="), F.substring("label", 1, 4)).alias("key"))
-    keyed = cut(start.unionByName(names.select("label", "n", F.explode(keys_of("label")).alias("key"))))
-    a, b = keyed.select("key", F.col("label").alias("x"), F.col("n").alias("nx")), keyed.select("key", F.col("label").alias("y"), F.col("n").alias("ny"))
-    near = a.join(b, "key").where((F.col("x") < F.col("y")) & (F.least("nx", "ny") >= ratio * F.greatest("nx", "ny") - SLACK)).select("x", "y")
+    start = names.where("n >= 4").select("label", "n", F.concat(F.lit("e="), F.substring("label", 1, 4)).alias("key"))
+    keyed = start.unionByName(names.select("label", "n", F.explode(keys_of("label")).alias("key")))
+    keyed = cut(keyed.select("label", "n", F.substring("key", 1, 1).alias("role"), F.expr("substring(key, 2)").alias("key")))
+    part = lambda role, name, n: keyed.where(F.col("role") == role).select("key", F.col("label").alias(name), F.col("n").alias(n))
+    # labels of one length meet each other; of two lengths, only shorter and longer ones meet
+    even = part("e", "x", "nx").join(part("e", "y", "ny"), "key").where((F.col("x") < F.col("y")) & (F.least("nx", "ny") >= ratio * F.greatest("nx", "ny") - SLACK)).select("x", "y")
+    odd = part("s", "x", "nx").join(part("l", "y", "ny"), "key").select(F.least("x", "y").alias("x"), F.greatest("x", "y").alias("y"))
+    near = even.unionByName(odd)
     longest = names.agg(F.max("n")).first()[0] or 0
     long = next((n for n in range(1, longest + 1) if any(not _covered(n, m, jaro) for m in range(1, n + 1) if m >= (3 * jaro - 2) * n)), None)
     if long is not None:

@@ -216,7 +216,7 @@ def oracle_sql() -> dict[str, str]:
         "agg_grouping_sets": "SELECT o_orderstatus, o_orderpriority, count(*) AS n FROM orders GROUP BY GROUPING SETS ((o_orderstatus, o_orderpriority), (o_orderstatus), (o_orderpriority), ())",
         "agg_pivot": "SELECT o_orderpriority, count(*) FILTER (WHERE o_orderstatus = 'F') AS \"F\", count(*) FILTER (WHERE o_orderstatus = 'O') AS \"O\", count(*) FILTER (WHERE o_orderstatus = 'P') AS \"P\" FROM orders GROUP BY 1",
         "window_ranks": "SELECT p_partkey, p_brand, p_size, row_number() OVER w::INT AS row_number, rank() OVER (PARTITION BY p_brand ORDER BY p_size)::INT AS rank, dense_rank() OVER (PARTITION BY p_brand ORDER BY p_size)::INT AS dense_rank, ntile(4) OVER w::INT AS ntile FROM part WINDOW w AS (PARTITION BY p_brand ORDER BY p_size, p_partkey)",
-        "window_shift": "SELECT event_id, lag(event_id) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS previous FROM events",
+        "window_shift": "SELECT event_id, coalesce(lag(event_id) OVER (PARTITION BY user_id ORDER BY ts, event_id), -1)::BIGINT AS previous FROM events",
         "window_running": "SELECT o_orderkey, count(*) OVER (PARTITION BY o_custkey ORDER BY o_orderdate::DATE RANGE BETWEEN INTERVAL 6 DAY PRECEDING AND CURRENT ROW) AS week FROM orders",
         "topk_per_group": "SELECT p_brand, p_partkey, p_size FROM (SELECT *, row_number() OVER (PARTITION BY p_brand ORDER BY p_size DESC, p_partkey) AS n FROM part) WHERE n <= 3",
         "topk_global": "SELECT p_partkey, p_size FROM part ORDER BY p_size DESC, p_partkey LIMIT 10",

@@ -667,7 +667,7 @@ def window_ranks(spark, d):
 
 def window_shift(spark, d):
     e = readers.parquet(spark, d, "events", ["event_id", "user_id", "ts"])
-    return relational.shift(e, ["user_id"], ["ts", "event_id"], "event_id").select("event_id", "previous")
+    return relational.shift(e, ["user_id"], ["ts", "event_id"], "event_id").select("event_id", F.coalesce("previous", F.lit(-1)).cast("bigint").alias("previous"))
 
 
 def window_running(spark, d):
