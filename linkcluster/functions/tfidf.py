@@ -13,7 +13,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from linkcluster.functions.strings import jaro_winkler
-from linkcluster.plans.iterate import cut
+from linkcluster.plans.iterate import written
 
 
 def token_weights(values: DataFrame) -> DataFrame:
@@ -33,7 +33,7 @@ def close_tokens(vocabulary: DataFrame, theta: float) -> DataFrame:
     half of the longer one's letters and one is at most twice as long; letters are compared as
     (letter, occurrence) and, of the rarest half plus one of each side, one must be common.
     """
-    v = cut(vocabulary.select("token").distinct())
+    v = written(vocabulary.select("token").distinct())
     letters = v.select("token", F.char_length("token").alias("n"), F.array_sort(F.split("token", "")).alias("cs")).select("token", "n", F.posexplode("cs").alias("p", "c"))
     counted = letters.withColumn("o", F.col("p") - F.expr("min(p) over (partition by token, c)")).select("token", "n", F.concat_ws("#", "c", "o").alias("g"))
     freq = counted.groupBy("g").agg(F.count(F.lit(1)).alias("f"))
@@ -57,8 +57,8 @@ def soft_tfidf(values: DataFrame, theta: float = 0.9, allowed=None) -> DataFrame
     directions' better sum, so the measure is symmetric.  ``allowed`` filters the joined
     pairs (columns va, vb) before the aggregation.
     """
-    w = cut(token_weights(values))
-    close = cut(close_tokens(w, theta))
+    w = written(token_weights(values))
+    close = written(close_tokens(w, theta))
     left = w.select(F.col("vid").alias("va"), F.col("token").alias("ta"), F.col("w").alias("wa"))
     right = w.select(F.col("vid").alias("vb"), F.col("token").alias("tb"), F.col("w").alias("wb"))
     hits = left.join(close, "ta").join(right, "tb").where("va < vb")

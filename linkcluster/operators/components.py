@@ -16,7 +16,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from linkcluster.plans.iterate import cut
+from linkcluster.plans.iterate import written
 
 
 def _both_ways(edges: DataFrame) -> DataFrame:
@@ -26,8 +26,8 @@ def _both_ways(edges: DataFrame) -> DataFrame:
 
 def _minlabel(edges: DataFrame, max_rounds: int | None) -> tuple[DataFrame, bool]:
     """(a, label) of every vertex with an edge; the flag tells whether it is at its fix point."""
-    both = cut(_both_ways(edges))
-    labels = cut(both.groupBy("a").agg(F.min("b").alias("m")).select("a", F.least("a", "m").alias("label")))
+    both = written(_both_ways(edges))
+    labels = written(both.groupBy("a").agg(F.min("b").alias("m")).select("a", F.least("a", "m").alias("label")))
     rounds = 0
     while max_rounds is None or rounds < max_rounds:
         heard = both.join(labels, "a").groupBy(F.col("b").alias("a")).agg(F.min("label").alias("heard"))
@@ -37,7 +37,7 @@ def _minlabel(edges: DataFrame, max_rounds: int | None) -> tuple[DataFrame, bool
         step = lower.join(up, "next", "left").select(
             "a", F.least("next", F.coalesce("above", "next")).alias("label"), (F.least("next", F.coalesce("above", "next")) < F.col("label")).alias("moved")
         )
-        step = cut(step)
+        step = written(step)
         moved = step.where("moved").limit(1).count()
         labels = step.select("a", "label")
         rounds += 1
@@ -53,17 +53,17 @@ def _stars(edges: DataFrame) -> DataFrame:
         r = e.agg(F.count(F.lit(1)).alias("n"), F.sum(F.xxhash64("a", "b").cast("decimal(38,0)")).alias("h")).first()
         return r["n"], r["h"]
 
-    e = cut(edges.select(F.greatest("src", "dst").alias("a"), F.least("src", "dst").alias("b")).where("a <> b").distinct())
+    e = written(edges.select(F.greatest("src", "dst").alias("a"), F.least("src", "dst").alias("b")).where("a <> b").distinct())
     last = fingerprint(e)
     while last[0]:
         both = e.unionByName(e.select(F.col("b").alias("a"), F.col("a").alias("b")))
         least = both.groupBy("a").agg(F.least(F.min("b"), F.first("a")).alias("m"))
         large = both.join(least, "a").where("b > a").select(F.col("b").alias("a"), F.col("m").alias("b"))
-        large = cut(large.where("a <> b").distinct())
+        large = written(large.where("a <> b").distinct())
         least = large.groupBy("a").agg(F.min("b").alias("m"))
         small = large.join(least, "a")
         small = small.where("b <> m").select(F.col("b").alias("a"), F.col("m").alias("b")).unionByName(least.select("a", F.col("m").alias("b")))
-        e = cut(small.where("a <> b").select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).distinct())
+        e = written(small.where("a <> b").select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).distinct())
         now = fingerprint(e)
         if now == last:
             break

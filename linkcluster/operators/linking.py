@@ -21,7 +21,7 @@ from pyspark.sql import types as T
 from linkcluster.functions import geo
 from linkcluster.functions.strings import jaro_winkler
 from linkcluster.functions.tfidf import soft_tfidf
-from linkcluster.plans.iterate import cut
+from linkcluster.plans.iterate import written
 
 SLACK = 1e-9
 
@@ -83,7 +83,7 @@ def label_candidates(v: DataFrame, bound: float) -> DataFrame:
     compared once; pairs of labels are widened to entities at the end.
     """
     jaro = max((bound - 0.3) / 0.7, min(0.7, bound))
-    names = cut(v.select("label").distinct().withColumn("n", F.char_length("label")).where("n > 0"))
+    names = written(v.select("label").distinct().withColumn("n", F.char_length("label")).where("n > 0"))
     ratio = max(0.0, 3 * _least_jaro(bound) - 2)
 
     @F.pandas_udf(T.ArrayType(T.StringType()))
@@ -92,7 +92,7 @@ def label_candidates(v: DataFrame, bound: float) -> DataFrame:
 
     start = names.where("n >= 4").select("label", "n", F.concat(F.lit("e="), F.substring("label", 1, 4)).alias("key"))
     keyed = start.unionByName(names.select("label", "n", F.explode(keys_of("label")).alias("key")))
-    keyed = cut(keyed.select("label", "n", F.substring("key", 1, 1).alias("role"), F.expr("substring(key, 2)").alias("key")))
+    keyed = written(keyed.select("label", "n", F.substring("key", 1, 1).alias("role"), F.expr("substring(key, 2)").alias("key")))
     part = lambda role, name, n: keyed.where(F.col("role") == role).select("key", F.col("label").alias(name), F.col("n").alias(n))
     # labels of one length meet each other; of two lengths, only shorter and longer ones meet
     even = part("e", "x", "nx").join(part("e", "y", "ny"), "key").where((F.col("x") < F.col("y")) & (F.least("nx", "ny") >= ratio * F.greatest("nx", "ny") - SLACK)).select("x", "y")
@@ -107,7 +107,7 @@ def label_candidates(v: DataFrame, bound: float) -> DataFrame:
     e = v.select("id", "source", "label")
     left = e.select(F.col("id").alias("src"), F.col("source").alias("s1"), F.col("label").alias("x"))
     right = e.select(F.col("id").alias("dst"), F.col("source").alias("s2"), F.col("label").alias("y"))
-    return left.join(cut(both), "x").join(right, "y").where("src < dst and s1 <> s2").select("src", "dst", "label_sim")
+    return left.join(written(both), "x").join(right, "y").where("src < dst and s1 <> s2").select("src", "dst", "label_sim")
 
 
 def geo_candidates(v: DataFrame, km: float) -> DataFrame:
@@ -155,8 +155,8 @@ def music_links(v: DataFrame, weights=(("title", 0.6), ("artist", 0.3), ("album"
         same = values(col).select(F.col("vid").alias("va"), F.col("vid").alias("vb"))
         return s.select("va", "vb").unionByName(s.select(F.col("vb").alias("va"), F.col("va").alias("vb"))).unionByName(same)
 
-    sims = {c: cut(soft_tfidf(values(c), theta)) for c, _ in weights}
-    ids = cut(v.select("id", "source", *[F.when(F.col(c).isNotNull(), F.xxhash64(c)).alias(c) for c, _ in weights]))
+    sims = {c: written(soft_tfidf(values(c), theta)) for c, _ in weights}
+    ids = written(v.select("id", "source", *[F.when(F.col(c).isNotNull(), F.xxhash64(c)).alias(c) for c, _ in weights]))
     left, right = (ids.select(*[F.col(c).alias(f"{p}_{c}") for c in ids.columns]) for p in "lr")
 
     def seeds(col: str, least: float) -> DataFrame:

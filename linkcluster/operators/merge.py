@@ -23,7 +23,7 @@ from linkcluster.functions.normalize import grid
 from linkcluster.operators import blocking, representative
 from linkcluster.operators.components import connected
 from linkcluster.operators.preprocess import compatible
-from linkcluster.plans.iterate import cut
+from linkcluster.plans.iterate import written
 
 
 def _rename(d: DataFrame, prefix: str, shared: tuple[str, ...]) -> DataFrame:
@@ -90,14 +90,14 @@ def loop(work: DataFrame, k: int, strategy: str = "dominant", max_rounds: int |
     spark = work.sparkSession
     moves = [spark.createDataFrame([], "loser bigint, winner bigint")]
     log: list[dict] = []
-    work = cut(work)
+    work = written(work)
     left = work.count()
     while left and (max_rounds is None or len(log) < max_rounds):
-        picks = cut(_picks(work, strategy))
+        picks = written(_picks(work, strategy))
         n = picks.count()
         moves.append(picks.select(F.col("r").alias("loser"), F.col("l").alias("winner")))
         log.append({"round": len(log) + 1, "work": left, "merged": n})
-        work = cut(_rewrite(work, picks, k))
+        work = written(_rewrite(work, picks, k))
         left = work.count()
     # every round's picks are already cut, so their union has a short plan
     return reduce(DataFrame.unionByName, moves), log
@@ -129,8 +129,8 @@ def merge_block(l: list, r: list, g: list, sl: list, sr: list, nl: list, nr: lis
 
 
 def grouped_moves(work: DataFrame, k: int, cap: int = 200_000) -> tuple[DataFrame, list[dict]]:
-    work = cut(work)
-    big = cut(work.groupBy("block").agg(F.count(F.lit(1)).alias("t")).where(F.col("t") > cap).select("block"))
+    work = written(work)
+    big = written(work.groupBy("block").agg(F.count(F.lit(1)).alias("t")).where(F.col("t") > cap).select("block"))
 
     def run(t: pa.Table) -> pa.Table:
         cols = [t[c].to_pylist() for c in ("ol", "orr", "g", "sl", "sr", "nl", "nr")]
@@ -142,7 +142,7 @@ def grouped_moves(work: DataFrame, k: int, cap: int = 200_000) -> tuple[DataFram
     if big.limit(1).count():
         more, log = loop(work.join(big, "block", "left_semi"), k, "dominant")
         moves = moves.unionByName(more)
-    return cut(moves), log
+    return written(moves), log
 
 
 def rescored_loop(reps: DataFrame, entities: DataFrame, assign: DataFrame, block_of, measure: PairMeasure, theta: float, k: int, label_policy: str, geo_policy: str, max_rounds: int | None = None) -> tuple[DataFrame, list[dict]]:
@@ -150,13 +150,13 @@ def rescored_loop(reps: DataFrame, entities: DataFrame, assign: DataFrame, block
     log: list[dict] = []
     while max_rounds is None or len(log) < max_rounds:
         work = candidates(block_of(reps), measure, theta, k)
-        picks = cut(_picks(work, "block_best"))
+        picks = written(_picks(work, "block_best"))
         n = picks.count()
         log.append({"round": len(log) + 1, "merged": n})
         if not n:
             break
-        assign = cut(_moved(assign, picks.select(F.col("r").alias("loser"), F.col("l").alias("winner"))))
-        reps = cut(representative.build(assign, entities, label_policy, geo_policy, tuple(c for c in measure.columns if c not in ("label", "lat", "lon"))))
+        assign = written(_moved(assign, picks.select(F.col("r").alias("loser"), F.col("l").alias("winner"))))
+        reps = written(representative.build(assign, entities, label_policy, geo_policy, tuple(c for c in measure.columns if c not in ("label", "lat", "lon"))))
     return assign, log
 
 

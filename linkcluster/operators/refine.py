@@ -16,7 +16,7 @@ from pyspark.sql import functions as F
 
 from linkcluster.functions.normalize import grid
 from linkcluster.operators.typegroup import edges_inside
-from linkcluster.plans.iterate import cut
+from linkcluster.plans.iterate import written
 
 
 def _ends(edges: DataFrame) -> DataFrame:
@@ -38,22 +38,22 @@ def _rounds(edges: DataFrame, theta: float, max_rounds: int | None, bulk: bool)
     """(id) of removed members and a log."""
     spark = edges.sparkSession
     removed = spark.createDataFrame([], "id bigint")
-    work, log = cut(_ends(edges)), []
+    work, log = written(_ends(edges)), []
     while max_rounds is None or len(log) < max_rounds:
         if bulk:
             low = work.groupBy("cid", "id").agg((F.sum("g").cast("double") / F.count("g")).alias("asim"))
         else:
             low = _lowest(work)
-        out = cut(low.where(F.col("asim") < F.lit(theta * 1e9)).select("cid", "id"))
+        out = written(low.where(F.col("asim") < F.lit(theta * 1e9)).select("cid", "id"))
         n = out.count()
         log.append({"round": len(log) + 1, "removed": n})
         if not n:
             break
-        removed = cut(removed.unionByName(out.select("id")))
+        removed = written(removed.unionByName(out.select("id")))
         # clusters that removed nobody are done; the rest goes on without its removed members
         left = work.join(out.select("cid").distinct(), "cid", "left_semi")
         left = left.join(out.select("id"), "id", "left_anti").join(out.select(F.col("id").alias("other")), "other", "left_anti")
-        work = cut(left.select("cid", "id", "other", "g"))
+        work = written(left.select("cid", "id", "other", "g"))
         if bulk:
             break
     return removed, log
@@ -88,7 +88,9 @@ def _grouped(edges: DataFrame, theta: float, max_rounds: int | None) -> DataFram
         gone = refine_cluster(np.asarray(t["src"]), np.asarray(t["dst"]), np.asarray(t["g"]).astype(float), theta, max_rounds)
         return pa.table({"id": pa.array(gone, pa.int64())})
 
-    return edges.select("cid", "src", "dst", grid(F.col("sim")).alias("g")).groupBy("cid").applyInArrow(run, "id bigint")
+    # a cluster whose least similar member reaches the bound is done; only the others go to Python
+    below = _lowest(_ends(edges)).where(F.col("asim") < F.lit(theta * 1e9)).select("cid")
+    return edges.join(below, "cid", "left_semi").select("cid", "src", "dst", grid(F.col("sim")).alias("g")).groupBy("cid").applyInArrow(run, "id bigint")
 
 
 def run(assign: DataFrame, edges: DataFrame, theta: float, max_rounds: int | None = None, strategy: str = "auto", cap: int = 2_000, variant: str = "lowest") -> tuple[DataFrame, DataFrame, list[dict]]:
@@ -102,12 +104,12 @@ def run(assign: DataFrame, edges: DataFrame, theta: float, max_rounds: int | Non
         removed = _grouped(edges, theta, max_rounds)
     else:
         size = assign.groupBy("cid").agg(F.count(F.lit(1)).alias("n"))
-        giants = cut(size.where(F.col("n") > cap).select("cid"))
+        giants = written(size.where(F.col("n") > cap).select("cid"))
         removed = _grouped(edges.join(giants, "cid", "left_anti"), theta, max_rounds)
         if giants.limit(1).count():
             big, log = _rounds(edges.join(giants, "cid", "left_semi"), theta, max_rounds, False)
             removed = removed.unionByName(big)
     gone = removed.distinct().withColumn("gone", F.lit(True))
     new = assign.join(gone, "id", "left").withColumn("key", F.when(F.col("gone"), F.struct(F.col("id").alias("c"), F.lit(1).alias("x"))).otherwise(F.struct(F.col("cid").alias("c"), F.lit(0).alias("x"))))
-    new = cut(new.withColumn("new", F.expr("min(id) over (partition by key)")).select("id", F.col("new").alias("cid")))
+    new = written(new.withColumn("new", F.expr("min(id) over (partition by key)")).select("id", F.col("new").alias("cid")))
     return new, edges_inside(edges, new), log

@@ -1,13 +1,17 @@
 """Loop support: reliable lineage cuts and a fix-point driver.
 
 Every loop of this library keeps its state in DataFrames and sends only counters to
-the driver.  A state is cut with a reliable ``checkpoint`` so that the plan of round r
-does not contain the plans of earlier rounds and a lost executor never loses the state.
+the driver.  A state is materialised in the shared checkpoint folder, so that the plan of round r
+does not contain the plans of earlier rounds and a lost executor never loses the state.  ``written`` is
+the form for loops: ``checkpoint`` keeps the constraints and estimated sizes of the plan it
+replaces, constraints of rewritten columns multiply from round to round until planning takes minutes, and
+estimates of joins hide that a work set is small.  Files carry neither, only their true size.
 """
 
 from __future__ import annotations
 
 import tempfile
+import uuid
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
@@ -26,6 +30,15 @@ def cut(df: DataFrame) -> DataFrame:
     return df.checkpoint(eager=True)
 
 
+def written(df: DataFrame) -> DataFrame:
+    """``df`` as a Parquet table in the shared checkpoint folder, read back with its schema."""
+    spark = df.sparkSession
+    ensure_checkpoint_dir(spark)
+    path = f"{spark.sparkContext.getCheckpointDir()}/state-{uuid.uuid4().hex}"
+    df.write.parquet(path)
+    return spark.read.schema(df.schema).parquet(path)
+
+
 def until_stable(state, step: Callable, max_rounds: int | None = None):
     """Apply ``step(state, round) -> (state, changed)`` until nothing changes; returns (state, log)."""
     log: list[dict] = []

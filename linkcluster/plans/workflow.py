@@ -10,7 +10,7 @@ from pyspark.sql import functions as F
 
 from linkcluster.operators import blocking, components, intra, merge, preprocess, refine, representative, typegroup
 from linkcluster.plans.config import ClusterConfig, LinkGraph
-from linkcluster.plans.iterate import cut
+from linkcluster.plans.iterate import written
 
 
 @dataclass
@@ -39,11 +39,12 @@ def initial_clusters(g: LinkGraph, cfg: ClusterConfig) -> DataFrame:
 
 def decompose(assign: DataFrame, g: LinkGraph, cfg: ClusterConfig) -> tuple[DataFrame, DataFrame, list[dict]]:
     """(assignment, intra-cluster edges, refinement log)."""
-    edges = cut(intra.scored_pairs(assign, g.vertices, cfg.measure, cfg.pair_scope))
+    edges = written(intra.scored_pairs(assign, g.vertices, cfg.measure, cfg.pair_scope))
     log: list[dict] = []
     if cfg.use_types:
-        assign, edges = typegroup.split(assign, edges, g.vertices, cfg.type_overlap)
-        assign = cut(assign)
+        assign = written(typegroup.split(assign, edges, g.vertices, cfg.type_overlap)[0])
+        # from the written clusters: refinement reads these edges more than once
+        edges = written(typegroup.edges_inside(edges, assign))
     if cfg.use_refine:
         assign, edges, log = refine.run(assign, edges, cfg.theta_refine, cfg.max_rounds, cfg.refine_strategy, cfg.giant_cap)
     return assign, edges, log
@@ -64,19 +65,19 @@ def cluster(vertices: DataFrame, links: DataFrame, cfg: ClusterConfig = ClusterC
         seconds[name], at = now - at, now
 
     g = preprocess.run(vertices, links, cfg)
-    g = LinkGraph(cut(g.vertices), cut(g.edges))
+    g = LinkGraph(written(g.vertices), written(g.edges))
     k = cfg.k or g.vertices.select(F.countDistinct("source")).first()[0]
     lap("pre")
-    assign = cut(initial_clusters(g, cfg))
+    assign = written(initial_clusters(g, cfg))
     lap("components")
     assign, edges, rounds["refine"] = decompose(assign, g, cfg)
-    reps = cut(representative.build(assign, g.vertices, cfg.label_policy, cfg.geo_policy, _extra(cfg), edges))
+    reps = written(representative.build(assign, g.vertices, cfg.label_policy, cfg.geo_policy, _extra(cfg), edges))
     lap("decomposition")
     if cfg.use_merge:
         work = merge.candidates(blocked(reps, cfg), cfg.measure, cfg.theta_merge, k, cfg.untyped, cfg.block_cap)
         assign, rounds["merge"] = merge.run(assign, reps, work, k, cfg.merge_strategy, cfg.max_rounds)
-        assign = cut(assign)
-        reps = cut(representative.build(assign, g.vertices, cfg.label_policy if cfg.label_policy != "medoid" else "frequent_longest", cfg.geo_policy, _extra(cfg)))
+        assign = written(assign)
+        reps = written(representative.build(assign, g.vertices, cfg.label_policy if cfg.label_policy != "medoid" else "frequent_longest", cfg.geo_policy, _extra(cfg)))
     lap("merge")
     if cfg.dump_dir:
         from linkcluster.sources import sinks

@@ -15,7 +15,7 @@ from linkcluster.functions.tfidf import soft_tfidf
 from linkcluster.operators import blocking, components, intra, linking, measures, merge, preprocess, refine, relational, representative, star, typegroup
 from linkcluster.plans import workflow
 from linkcluster.plans.config import ClusterConfig, LinkGraph
-from linkcluster.plans.iterate import cut
+from linkcluster.plans.iterate import written
 from linkcluster.sources import fixtures, readers, sinks
 
 #: Configuration of the music runs.
@@ -213,9 +213,9 @@ def components_sql(spark, d):
 
 
 def _initial(spark, d):
-    v = cut(geo_vertices(spark, d))
+    v = written(geo_vertices(spark, d))
     links = linking.discover(v, "config3").select("src", "dst").unionByName(curated_links(v))
-    return v, cut(components.connected(v, links, "auto"))
+    return v, written(components.connected(v, links, "auto"))
 
 
 def intra_pairs(spark, d):
@@ -235,9 +235,9 @@ def intra_scores(spark, d):
 
 def _grouped_types(spark, d, measure=compose.LABEL_LEVENSHTEIN):
     v, a = _initial(spark, d)
-    e = cut(intra.scored_pairs(a, v, measure))
+    e = written(intra.scored_pairs(a, v, measure))
     new, inside = typegroup.split(a, e, v)
-    return v, cut(new), cut(inside)
+    return v, written(new), written(inside)
 
 
 def type_grouping(spark, d):
@@ -300,8 +300,8 @@ def pair_completeness(spark, d):
 
 def _work(spark, d, max_block=20_000):
     v, a, reps = _reps(spark, d)
-    a, reps = cut(a), cut(reps)
-    return v, a, reps, cut(merge.candidates(blocking.prefix(reps, 3), compose.LABEL_LEVENSHTEIN, 0.7, 4, max_block=max_block))
+    a, reps = written(a), written(reps)
+    return v, a, reps, written(merge.candidates(blocking.prefix(reps, 3), compose.LABEL_LEVENSHTEIN, 0.7, 4, max_block=max_block))
 
 
 def merge_candidates(spark, d):
@@ -398,7 +398,7 @@ def quality_input_config3(spark, d):
 
 def compare(spark, v_raw, v, links, cfg) -> DataFrame:
     """Quality of the given links, both stars, plain components and the workflow."""
-    gold = cut(linking.gold_links(v).select("src", "dst"))
+    gold = written(linking.gold_links(v).select("src", "dst"))
     name = lambda q, n: q.select(F.lit(n).alias("method"), "*")
     out = name(measures.link_quality(links, gold), "input")
     for n, order in (("star1", "degree"), ("star2", "mean_similarity")):
@@ -409,8 +409,8 @@ def compare(spark, v_raw, v, links, cfg) -> DataFrame:
 
 def _quality(spark, d, config):
     raw = fixtures.geo_entities(spark, d)
-    v = cut(geo_vertices(spark, d))
-    return compare(spark, raw, v, cut(linking.discover(v, config)), GEO)
+    v = written(geo_vertices(spark, d))
+    return compare(spark, raw, v, written(linking.discover(v, config)), GEO)
 
 
 def quality_config1(spark, d):
@@ -426,13 +426,13 @@ def quality_config3(spark, d):
 
 
 def quality_music(spark, d):
-    v = cut(fixtures.music_entities(spark, d, "part"))
-    return compare(spark, v, normalize.labels(v), cut(linking.discover(normalize.labels(v), "music")), MUSIC)
+    v = written(fixtures.music_entities(spark, d, "part"))
+    return compare(spark, v, normalize.labels(v), written(linking.discover(normalize.labels(v), "music")), MUSIC)
 
 
 def _star(spark, d, order):
-    v = cut(geo_vertices(spark, d))
-    return star.star(v, cut(linking.discover(v, "config3")), order)
+    v = written(geo_vertices(spark, d))
+    return star.star(v, written(linking.discover(v, "config3")), order)
 
 
 def star1(spark, d):
@@ -493,8 +493,8 @@ def ablation_no_blocking(spark, d):
 def phase_times(spark, d):
     from linkcluster.plans import scalability
 
-    v = cut(fixtures.geo_entities(spark, d))
-    times = scalability.run(v, cut(curated_links(v)), GEO, [1, 2], repeats=1)
+    v = written(fixtures.geo_entities(spark, d))
+    times = scalability.run(v, written(curated_links(v)), GEO, [1, 2], repeats=1)
     return scalability.speedups(spark, times)
 
 
@@ -520,7 +520,7 @@ def documents_near_copies(spark, d):
     w = docs.select("doc_id", "source", words.alias("w"))
     grams = F.expr("transform(sequence(0, size(w) - 3), i -> concat_ws(' ', w[i], w[i + 1], w[i + 2]))")
     g = w.where(F.size("w") >= 3).select("doc_id", "source", F.explode(F.array_distinct(grams)).alias("g"))
-    g = cut(g)
+    g = written(g)
     size = g.groupBy("doc_id").agg(F.count(F.lit(1)).alias("n"))
     rare = g.groupBy("g").agg(F.count(F.lit(1)).alias("df")).where("df between 2 and 50")
     k = g.join(rare.select("g"), "g")
@@ -539,7 +539,7 @@ def passage_links(spark, d):
         n = F.expr("CASE WHEN size(w) >= 5 THEN transform(sequence(0, size(w) - 5), i -> concat_ws(' ', w[i], w[i + 1], w[i + 2], w[i + 3], w[i + 4])) ELSE cast(array() AS array<string>) END")
         return w.select(key, F.explode(n).alias("g")).distinct()
 
-    items = cut(grams("benchmark", "item_id"))
+    items = written(grams("benchmark", "item_id"))
     size = items.groupBy("item_id").agg(F.count(F.lit(1)).alias("n"))
     hit = grams("documents", "doc_id").join(items, "g").groupBy("doc_id", "item_id").agg(F.count(F.lit(1)).alias("c")).join(size, "item_id")
     return hit.where("10 * c >= 8 * n").select("doc_id", "item_id", rounded(F.col("c") / F.col("n")).alias("sim"))
