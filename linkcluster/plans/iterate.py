@@ -3,9 +3,9 @@
 Every loop of this library keeps its state in DataFrames and sends only counters to
 the driver.  A state is materialised in the shared checkpoint folder, so that the plan of round r
 does not contain the plans of earlier rounds and a lost executor never loses the state.  ``written`` is
-the form for loops: ``checkpoint`` keeps the constraints and estimated sizes of the plan it
-replaces, constraints of rewritten columns multiply from round to round until planning takes minutes, and
-estimates of joins hide that a work set is small.  Files carry neither, only their true size.
+the form for loops: ``checkpoint`` keeps the constraints and estimated sizes of the plan it replaces, the
+likely reason (measured by its effect only) why merge rounds took minutes with it.  Files carry
+neither, only their true size.
 """
 
 from __future__ import annotations
