@@ -8,16 +8,22 @@ Methods give the same answer at different cost:
 * ``stars``     alternate large-star and small-star rewrites of the edge table (few rounds on long chains);
 * ``local``     union-find on the driver, refused above ``row_cap`` edges;
 * ``sql``       recursive SQL over simple paths, refused above ``row_cap`` edges (cross-check on small components only);
-* ``auto``      ``minlabel`` for a few rounds, then ``stars`` on what is still moving.
+* ``auto``      ``minlabel`` for a few rounds, then ``stars`` on what is still moving;
+* ``sized``     counts the links first: up to ``ONE_TASK_LINKS`` one executor task labels them, beyond it ``auto``.
 """
 
 from __future__ import annotations
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from linkcluster.plans.iterate import written
 
+#: Links that one task may label: two id columns of 32 MB, some 200 MB with the working arrays.
+ONE_TASK_LINKS = 2_000_000
+
 
 def _both_ways(edges: DataFrame) -> DataFrame:
     e = edges.select(F.col("src").alias("a"), F.col("dst").alias("b")).where("a <> b")
@@ -90,6 +96,31 @@ def _local(edges: DataFrame, row_cap: int) -> dict:
     return {x: root(x) for x in list(parent)}
 
 
+def label_links(src: np.ndarray, dst: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """(vertex, least vertex of its component): roots hook onto smaller roots, then paths are halved."""
+    ids, at = np.unique(np.concatenate([src, dst]), return_inverse=True)
+    a, b = at[: len(src)], at[len(src) :]
+    label = np.arange(len(ids))
+    while True:
+        apart = label[a] != label[b]
+        if not apart.any():
+            return ids, ids[label]
+        a, b = label[a[apart]], label[b[apart]]
+        np.minimum.at(label, np.maximum(a, b), np.minimum(a, b))
+        while (label != label[label]).any():
+            label = label[label]
+
+
+def _one_task(edges: DataFrame) -> DataFrame:
+    def run(batches):
+        got = [(np.asarray(b.column(0)), np.asarray(b.column(1))) for b in batches]
+        if got:
+            ids, label = label_links(*(np.concatenate(x) for x in zip(*got)))
+            yield pa.RecordBatch.from_arrays([pa.array(ids), pa.array(label)], ["a", "label"])
+
+    return edges.select(F.col("src").cast("bigint"), F.col("dst").cast("bigint")).repartition(1).mapInArrow(run, "a bigint, label bigint")
+
+
 def connected(vertices: DataFrame, edges: DataFrame, method: str = "auto", row_cap: int = 1_000_000) -> DataFrame:
     ids = vertices.select("id")
     edges = edges.where("src is not null and dst is not null")
@@ -109,6 +140,8 @@ def connected(vertices: DataFrame, edges: DataFrame, method: str = "auto", row_c
             "SELECT x AS a, min(y) AS label FROM r GROUP BY x",
             e=edges,
         )
+    elif method == "sized" and edges.count() <= ONE_TASK_LINKS:
+        labels = _one_task(edges)
     else:
         labels, done = _minlabel(edges, 6)
         if not done:

@@ -7,6 +7,7 @@ stays.  So the strategies end in the same clusters:
 * ``block_best``  each round takes the best triplet of every block;
 * ``dominant``    each round takes every triplet that is the best one at both of its ends, whatever its block,
   which needs far fewer rounds;
+* ``auto``        ``dominant`` rounds until at most ``FINISH_ROWS`` triplets are left, whose loop one task then ends;
 * ``grouped``     one block's whole loop runs in one task (blocks up to ``cap`` triplets; others by ``dominant``).
 """
 
@@ -25,6 +26,9 @@ from linkcluster.operators.components import connected
 from linkcluster.operators.preprocess import compatible
 from linkcluster.plans.iterate import written
 
+#: Triplets that one task may take to the end of the loop, some 100 MB as Python lists.
+FINISH_ROWS = 200_000
+
 
 def _rename(d: DataFrame, prefix: str, shared: tuple[str, ...]) -> DataFrame:
     return d.select(*[F.col(c) if c in shared else F.col(c).alias(f"{prefix}{c}") for c in d.columns])
@@ -85,7 +89,7 @@ def _rewrite(work: DataFrame, picks: DataFrame, k: int) -> DataFrame:
     return _best_of_duplicates(d)
 
 
-def loop(work: DataFrame, k: int, strategy: str = "dominant", max_rounds: int | None = None) -> tuple[DataFrame, list[dict]]:
+def loop(work: DataFrame, k: int, strategy: str = "dominant", max_rounds: int | None = None, finish_rows: int = FINISH_ROWS) -> tuple[DataFrame, list[dict]]:
     """(loser, winner) moves of all rounds and a log."""
     spark = work.sparkSession
     moves = [spark.createDataFrame([], "loser bigint, winner bigint")]
@@ -93,6 +97,11 @@ def loop(work: DataFrame, k: int, strategy: str = "dominant", max_rounds: int |
     work = written(work)
     left = work.count()
     while left and (max_rounds is None or len(log) < max_rounds):
+        if strategy == "auto" and max_rounds is None and left <= finish_rows:
+            rest = written(_finished(work, k))
+            moves.append(rest)
+            log.append({"round": len(log) + 1, "work": left, "merged": rest.count()})
+            break
         picks = written(_picks(work, strategy))
         n = picks.count()
         moves.append(picks.select(F.col("r").alias("loser"), F.col("l").alias("winner")))
@@ -103,8 +112,8 @@ def loop(work: DataFrame, k: int, strategy: str = "dominant", max_rounds: int |
     return reduce(DataFrame.unionByName, moves), log
 
 
-def merge_block(l: list, r: list, g: list, sl: list, sr: list, nl: list, nr: list, k: int, rescore=None) -> list[tuple[int, int]]:
-    """The whole loop of one block in order of the triplets; returns (loser, winner) moves."""
+def merge_block(l: list, r: list, g: list, sl: list, sr: list, nl: list, nr: list, ol: list, orr: list, k: int) -> list[tuple[int, int]]:
+    """The whole loop over triplets of current clusters, in the order of their creation; returns (loser, winner) moves."""
     at: dict[int, int] = {}
     sources: dict[int, frozenset] = {}
     size: dict[int, int] = {}
@@ -117,7 +126,7 @@ def merge_block(l: list, r: list, g: list, sl: list, sr: list, nl: list, nr: lis
         return x
 
     out = []
-    for _, a, b in sorted(zip([-v for v in g], l, r)):
+    for *_, a, b in sorted(zip([-v for v in g], ol, orr, l, r)):
         a, b = root(a), root(b)
         if a == b or sources[a] & sources[b] or len(sources[a] | sources[b]) > k or size[a] + size[b] > k:
             continue
@@ -128,16 +137,24 @@ def merge_block(l: list, r: list, g: list, sl: list, sr: list, nl: list, nr: lis
     return out
 
 
+def _merge_table(k: int):
+    def run(t: pa.Table) -> pa.Table:
+        got = merge_block(*[t[c].to_pylist() for c in ("l", "r", "g", "sl", "sr", "nl", "nr", "ol", "orr")], k)
+        return pa.table({"loser": pa.array([x for x, _ in got], pa.int64()), "winner": pa.array([y for _, y in got], pa.int64())})
+
+    return run
+
+
+def _finished(work: DataFrame, k: int) -> DataFrame:
+    """Moves of the whole work set from one task; its size has been counted."""
+    return work.groupBy(F.lit(0).alias("all")).applyInArrow(_merge_table(k), "loser bigint, winner bigint")
+
+
 def grouped_moves(work: DataFrame, k: int, cap: int = 200_000) -> tuple[DataFrame, list[dict]]:
     work = written(work)
     big = written(work.groupBy("block").agg(F.count(F.lit(1)).alias("t")).where(F.col("t") > cap).select("block"))
 
-    def run(t: pa.Table) -> pa.Table:
-        cols = [t[c].to_pylist() for c in ("ol", "orr", "g", "sl", "sr", "nl", "nr")]
-        got = merge_block(*cols, k)
-        return pa.table({"loser": pa.array([x for x, _ in got], pa.int64()), "winner": pa.array([y for _, y in got], pa.int64())})
-
-    moves = work.join(big, "block", "left_anti").groupBy("block").applyInArrow(run, "loser bigint, winner bigint")
+    moves = work.join(big, "block", "left_anti").groupBy("block").applyInArrow(_merge_table(k), "loser bigint, winner bigint")
     log: list[dict] = []
     if big.limit(1).count():
         more, log = loop(work.join(big, "block", "left_semi"), k, "dominant")
@@ -163,7 +180,7 @@ def rescored_loop(reps: DataFrame, entities: DataFrame, assign: DataFrame, block
 def _moved(assign: DataFrame, moves: DataFrame) -> DataFrame:
     links = moves.select(F.col("winner").alias("src"), F.col("loser").alias("dst"))
     ids = moves.select(F.col("loser").alias("id")).unionByName(moves.select(F.col("winner").alias("id"))).distinct()
-    to = connected(ids, links, "auto").select(F.col("id").alias("cid"), F.col("cid").alias("new"))
+    to = connected(ids, links, "sized").select(F.col("id").alias("cid"), F.col("cid").alias("new"))
     return assign.join(to, "cid", "left").select("id", F.coalesce("new", "cid").alias("cid"))
 
 

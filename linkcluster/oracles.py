@@ -156,7 +156,7 @@ def oracle_sql() -> dict[str, str]:
         "soft_tfidf_albums": _soft(f"SELECT DISTINCT album AS vid, album AS value FROM {_music('part')} WHERE album IS NOT NULL"),
         "star_links": f"SELECT src, id AS dst FROM (SELECT id, min(id) OVER (PARTITION BY gold) AS src FROM {_music('part')}) WHERE id <> src",
         "curated": f"{gold}, {CURATED} SELECT src, dst FROM curated",
-        **{f"components_{m}": f"{COMPONENTS} SELECT id, cid FROM comp" for m in ("minlabel", "stars", "local", "sql")},
+        **{f"components_{m}": f"{COMPONENTS} SELECT id, cid FROM comp" for m in ("minlabel", "stars", "local", "sized", "sql")},
         "intra_pairs": f"{INITIAL}, {PAIRS} SELECT * FROM pr",
         "intra_pairs_cross_source": f"{INITIAL}, {PAIRS} SELECT pr.* FROM pr JOIN v a ON a.id = src JOIN v b ON b.id = dst WHERE a.source <> b.source",
         "intra_scores": f"{INITIAL}, {PAIRS} SELECT cid, src, dst, {r6(JW)} AS sim FROM pr JOIN (SELECT id AS src, label AS x FROM v) USING (src) JOIN (SELECT id AS dst, label AS y FROM v) USING (dst)",

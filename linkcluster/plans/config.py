@@ -48,9 +48,9 @@ class ClusterConfig:
     max_rounds: int | None = None
     label_policy: str = "frequent_longest"
     geo_policy: str = "of_label_owner"
-    merge_strategy: str = "dominant"
+    merge_strategy: str = "auto"
     refine_strategy: str = "auto"
-    component_method: str = "auto"
+    component_method: str = "sized"
     pair_scope: str = "all"
     #: Component size above which refinement runs in rounds instead of one task; block size above which blocks are tiled.
     giant_cap: int = 2_000

@@ -208,6 +208,10 @@ def components_local(spark, d):
     return _components(spark, d, "local")
 
 
+def components_sized(spark, d):
+    return _components(spark, d, "sized")
+
+
 def components_sql(spark, d):
     return _components(spark, d, "sql")
 
@@ -327,6 +331,10 @@ def merge_dominant(spark, d):
     return _merged(spark, d, "dominant")
 
 
+def merge_auto(spark, d):
+    return _merged(spark, d, "auto")
+
+
 def merge_grouped(spark, d):
     return _merged(spark, d, "grouped")
 
@@ -352,9 +360,7 @@ def workflow_geo_large(spark, d):
     v = fixtures.geo_entities(spark, d, None)
     w = preprocess.harmonize_types(normalize.labels(v), GEO.type_map)
     both = linking.discover(w, "config1").select("src", "dst").unionByName(linking.discover(w, "config3").select("src", "dst")).distinct()
-    # about two thirds of the links stay, as the large input had fewer links than entities
-    thin = both.where(F.pmod(F.col("src") * 31 + F.col("dst"), F.lit(3)) != 0)
-    return _flat(workflow.cluster(v, thin, GEO).reps)
+    return _flat(workflow.cluster(v, both, GEO).reps)
 
 
 def workflow_music(spark, d):
@@ -698,8 +704,8 @@ def json_properties(spark, d):
 NAMES = (
     "geo_entities music_entities overview_geo overview_music source_structure normalize_year_length harmonize_types harmonize_types_table validate_graph score_links best_links_mutual best_links_either best_links_one_sided "
     "string_similarities jaro_winkler_expression geo_similarity link_config1 link_config2 link_config3 pairwise_exhaustive soft_tfidf_albums soft_tfidf_links star_links curated "
-    "components_minlabel components_stars components_local components_sql intra_pairs intra_pairs_cross_source intra_scores type_grouping refine_grouped refine_rounds refine_bulk "
-    "representatives representatives_source_priority representatives_longest representatives_medoid blocking_cost block_balance pair_completeness merge_candidates merge_candidates_tiled merge_block_best merge_dominant merge_grouped merge_rescored "
+    "components_minlabel components_stars components_local components_sized components_sql intra_pairs intra_pairs_cross_source intra_scores type_grouping refine_grouped refine_rounds refine_bulk "
+    "representatives representatives_source_priority representatives_longest representatives_medoid blocking_cost block_balance pair_completeness merge_candidates merge_candidates_tiled merge_block_best merge_dominant merge_auto merge_grouped merge_rescored "
     "workflow_geo workflow_geo_large workflow_music workflow_music_star workflow_music_largest quality_curated quality_input_config1 quality_input_config2 quality_input_config3 quality_config1 quality_config2 quality_config3 quality_music "
     "star1 star2 best_star link_delta cluster_profile compactness exact_match_rate ablation_no_types ablation_no_refinement ablation_no_merge ablation_no_blocking phase_times running_example "
     "documents_near_copies passage_links embedding_links page_entities uri_dictionary geojson scan_pruned join_hash join_broadcast join_outer join_semi_anti join_cross join_band join_interval join_asof "

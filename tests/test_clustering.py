@@ -35,9 +35,10 @@ def test_components_methods_agree(spark):
     links = [(i, i + 1) for i in range(0, 200)] + [(300, j) for j in range(301, 360)] + [tuple(rng.sample(range(400, 1300), 2)) for _ in range(500)] + [(5, 5), (400, 401), (401, 400)]
     v, e = spark.createDataFrame([(i,) for i in ids], "id bigint"), spark.createDataFrame(links, "src bigint, dst bigint")
     want = ref.components(ids, links)
-    for m in ("minlabel", "stars", "local", "auto"):
+    for m in ("minlabel", "stars", "local", "auto", "sized"):
         assert {r.id: r.cid for r in components.connected(v, e, m).collect()} == want, m
-    assert {r.cid for r in components.connected(v, e.limit(0), "auto").collect()} == set(ids)
+    for m in ("auto", "sized"):
+        assert {r.cid for r in components.connected(v, e.limit(0), m).collect()} == set(ids)
 
 
 def test_jaro_winkler_batch_matches_expression_and_known_values(spark):
@@ -90,11 +91,14 @@ def test_merge_strategies_and_reference(spark):
     work = spark.createDataFrame(rows, "block string, l bigint, r bigint, g bigint, sl array<string>, sr array<string>, nl int, nr int, ol bigint, orr bigint")
     assign = spark.createDataFrame([(i, i) for i in want], "id bigint, cid bigint")
     rounds = {}
-    for strategy in ("block_best", "dominant", "grouped"):
+    for strategy in ("block_best", "dominant", "grouped", "auto"):
         a, log = merge.run(assign, None, work, 4, strategy)
         assert {r.id: r.cid for r in a.collect()} == want, strategy
         rounds[strategy] = len(log)
-    assert rounds["dominant"] <= rounds["block_best"]
+    assert rounds["dominant"] <= rounds["block_best"] and rounds["auto"] == 1
+    # some rounds first, the rest in one task
+    moves, log = merge.loop(work, 4, "auto", finish_rows=200)
+    assert len(log) > 1 and {r.id: r.cid for r in merge._moved(assign, moves).collect()} == want
 
 
 def test_star_matches_sequential(spark):
