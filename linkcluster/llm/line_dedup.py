@@ -6,6 +6,9 @@ shifts nothing beyond it.  A line of ``long_words`` or more is a chunk by itself
 long passage on one line is worth a chunk.  Chunks of several lines, and such long lines,
 that occur again anywhere in the corpus are removed but for their first occurrence (least
 document, then position), after their bytes have been compared with those of the kept one.
+So are passages: runs of adjacent lines of ``long_words`` or more together.  They are looked up
+from every line, so a repeated passage goes whole, whatever stands around it.  A repeat that
+overlaps its own first occurrence stays.
 
 Defined cases: a null text stays null with no line; an empty text has one empty line; blank
 chunks are never removed; repeated rows and ties in id are ordered by the text's hash, then
@@ -36,35 +39,60 @@ def row_key(key: str, text: str) -> Column:
     return F.xxhash64(F.coalesce(F.col(key).cast("string"), F.lit("")), F.col(text))
 
 
+def n_words(line: Column) -> Column:
+    """Runs without blanks in a line: single spaces between them are counted, which is far faster than matching each run."""
+    t = F.btrim(F.regexp_replace(line, r"[\x09-\x0D][\x20\x09-\x0D]*|\x20[\x20\x09-\x0D]+", " "), F.lit(" "))
+    return F.when(t == "", 0).otherwise(F.octet_length(t) - F.octet_length(F.replace(t, F.lit(" "), F.lit(""))) + 1)
+
+
 def with_chunks(df: DataFrame, text: str, cfg: ChunkConfig) -> DataFrame:
     """Adds ``lines`` and ``chunks``: array of (first, n, long) over the lines."""
     d = df.withColumn("lines", F.split(F.col(text), "\n", -1)).withColumn("lh", F.transform("lines", lambda x: F.xxhash64(x)))
-    # a line is long if it has that many words; short lines are told by their length alone
-    d = d.withColumn("big", F.transform("lines", lambda x: (F.char_length(x) >= 2 * cfg.long_words - 1) & (F.regexp_count(x, F.lit(r"[^\x20\x09-\x0D]+")) >= cfg.long_words)))
+    d = d.withColumn("words", F.transform("lines", n_words)).withColumn("big", F.transform("words", lambda n: n >= cfg.long_words))
     back = ", ".join(f"IF(i >= {k}, lh[i - {k}], 0L)" for k in range(cfg.window))
     ends = f"(pmod(xxhash64({back}, {cfg.seed}), {cfg.divisor}) = 0)"
     d = d.withColumn("starts", F.expr(f"filter(sequence(0, size(lines) - 1), j -> j = 0 OR big[j] OR big[j - 1] OR exists(array(j - 1), i -> {ends}))"))
     d = d.withColumn("chunks", F.expr("transform(starts, (s, k) -> struct(s AS first, IF(k + 1 < size(starts), starts[k + 1], size(lines)) - s AS n, big[s] AS long))"))
-    return d.drop("lh", "big", "starts")
+    return d.drop("big", "starts")
+
+
+def with_passages(df: DataFrame, cfg: ChunkConfig) -> DataFrame:
+    """Adds to ``chunks`` the runs of adjacent lines that just reach ``long_words``: on from each line with words, and back from each.
+
+    A run of that many words is the union of the passages inside it, and a passage does not depend on
+    the lines around it.
+    """
+    unit, most = 1 << 20, cfg.long_words  # words times ``unit`` plus lines; so many lines with words are enough
+    reach = lambda part: f"transform(sequence(0, size(at) - 1), k -> named_struct('k', k, 'a', aggregate({part}, 0L, (a, x) -> IF(a >= {most * unit}L, a, a + x * {unit}L + 1L))))"
+    run = lambda part, lo, hi: F.expr(f"IF(size(at) = 0, cast(array() AS array<struct<first: int, n: int>>), transform(filter({reach(part)}, x -> x.a >= {most * unit}L), x -> named_struct('first', at[{lo}], 'n', at[{hi}] - at[{lo}] + 1)))")
+    d = df.withColumn("at", F.expr("filter(sequence(0, size(lines) - 1), i -> words[i] > 0)")).withColumn("w", F.expr("transform(at, i -> words[i])"))
+    length = f"cast(x.a % {unit} AS int)"
+    on = run(f"slice(w, k + 1, {most})", "x.k", f"x.k + {length} - 1")
+    back = run(f"reverse(slice(w, greatest(k + 2 - {most}, 1), least(k + 1, {most})))", f"x.k - {length} + 1", "x.k")
+    return d.withColumn("chunks", F.array_union("chunks", F.array_union(on, back))).drop("at", "w")
 
 
 def chunk_rows(docs: DataFrame, cfg: ChunkConfig, key: str, text: str) -> DataFrame:
-    """(id, row, first, n, chunk) of all chunks that may be removed."""
+    """(id, row, first, n, h, g) of all chunks and passages that may be removed."""
     d = with_chunks(docs.select(F.col(key).alias("id"), row_key(key, text).alias("row"), F.col(text).alias("text")).where("text is not null"), "text", cfg)
-    d = d.select("id", "row", "lines", F.explode(F.filter("chunks", lambda c: (c["n"] >= 2) | c["long"])).alias("c"))
-    d = d.select("id", "row", F.col("c.first").alias("first"), F.col("c.n").alias("n"), F.expr("array_join(slice(lines, c.first + 1, c.n), '\n')").alias("chunk"))
-    return d.where(F.col("chunk").rlike(r"[^\x20\x09-\x0D]"))
+    worded = F.expr("filter(chunks, c -> (c.n >= 2 OR c.long) AND exists(slice(words, c.first + 1, c.n), x -> x > 0))")
+    d = with_passages(d.withColumn("chunks", F.transform(worded, lambda c: F.struct(c["first"].alias("first"), c["n"].alias("n")))), cfg)
+    hashed = F.expr(f"transform(chunks, c -> named_struct('first', c.first, 'n', c.n, 'h', xxhash64(slice(lh, c.first + 1, c.n)), 'g', xxhash64({cfg.seed}, slice(lh, c.first + 1, c.n))))")
+    return d.select("id", "row", F.explode(hashed).alias("c")).select("id", "row", "c.*")
 
 
 def removals(docs: DataFrame, cfg: ChunkConfig = ChunkConfig(), key: str = "doc_id", text: str = "text") -> DataFrame:
     """(row, gone): for each row with repeated chunks, its (first, n) ranges of lines to remove."""
-    chunks = chunk_rows(docs, cfg, key, text).withColumn("h", F.xxhash64("chunk")).withColumn("g", F.xxhash64(F.lit(cfg.seed), F.col("chunk")))
-    # hashes first: only chunks seen twice send their bytes
+    chunks = cut(chunk_rows(docs, cfg, key, text))
+    # hashes first: only what is seen twice sends its bytes
     groups = chunks.groupBy("h", "g").agg(F.count(F.lit(1)).alias("times"), F.min(F.struct("id", "row", "first")).alias("kept"))
     twice = cut(groups.where("times > 1").select("h", "g", "kept"))
-    seen = cut(chunks.join(small(twice), ["h", "g"]).select("h", "g", "row", "first", "n", "kept", "chunk", F.struct("id", "row", "first").eqNullSafe(F.col("kept")).alias("is_kept")))
+    hits = chunks.join(small(twice), ["h", "g"]).groupBy("row").agg(F.collect_set(F.struct("first", "n", "h", "g", "kept", F.struct("id", "row", "first").eqNullSafe(F.col("kept")).alias("is_kept"))).alias("hits"))
+    found = docs.select(row_key(key, text).alias("row"), F.split(F.col(text), "\n", -1).alias("lines")).join(small(cut(hits)), "row")
+    seen = cut(found.select("row", F.explode(F.expr("transform(hits, c -> struct(c.first AS first, c.n AS n, c.h AS h, c.g AS g, c.kept AS kept, c.is_kept AS is_kept, array_join(slice(lines, c.first + 1, c.n), '\n') AS chunk))")).alias("c")).select("row", "c.*"))
     model = seen.where("is_kept").groupBy("h", "g").agg(F.first("chunk").alias("model"))
-    same = seen.where("not is_kept").join(small(cut(model)), ["h", "g"]).where("chunk = model")
+    apart = (F.col("row") != F.col("kept.row")) | (F.col("first") >= F.col("kept.first") + F.col("n"))
+    same = seen.where(~F.col("is_kept") & apart).join(model, ["h", "g"]).where("chunk = model")
     return same.groupBy("row").agg(F.collect_set(F.struct("first", "n")).alias("gone"))
 
 
@@ -73,8 +101,9 @@ def dedup(docs: DataFrame, cfg: ChunkConfig = ChunkConfig(), key: str = "doc_id"
     gone = cut(removals(docs, cfg, key, text)).withColumnRenamed("row", "row__")
     d = docs.withColumn("row__", row_key(key, text)).join(small(gone), "row__", "left")
     lines = F.split(F.col(text), "\n", -1)
-    kept = F.filter(lines, lambda x, i: ~F.exists("gone", lambda g: (i >= g["first"]) & (i < g["first"] + g["n"])))
+    out = F.array_distinct(F.flatten(F.transform("gone", lambda g: F.sequence(g["first"], g["first"] + g["n"] - 1))))
     d = d.withColumn("n_lines", F.coalesce(F.when(F.col(text).isNotNull(), F.size(lines)), F.lit(0)).cast("bigint"))
-    d = d.withColumn("n_removed_lines", F.coalesce(F.aggregate("gone", F.lit(0), lambda a, g: a + g["n"]), F.lit(0)).cast("bigint"))
+    d = d.withColumn("n_removed_lines", F.coalesce(F.when(F.col("gone").isNotNull(), F.size(out)), F.lit(0)).cast("bigint"))
+    kept = F.transform(F.array_except(F.sequence(F.lit(0), F.size(lines) - 1), out), lambda i: F.get(lines, i))
     new = F.when(F.col("gone").isNull(), F.col(text)).otherwise(F.array_join(kept, "\n"))
     return d.withColumn(text, new).drop("row__", "gone")

@@ -379,6 +379,21 @@ def test_line_chunks(spark):
     assert line_dedup.dedup(d.limit(0)).count() == 0
 
 
+def test_line_dedup_removes_whole_passages_of_short_lines(spark):
+    rng = random.Random(5)
+    shared = [words(rng, 6) for _ in range(12)]  # 72 words, few or no chunk boundaries inside
+    rows = [(i, "\n".join([words(rng, 5) for _ in range(i % 4 + 1)] + shared[: 5 if i == 3 else 6] + ([""] if i == 4 else []) + shared[6:] + [words(rng, 5)])) for i in range(6)]
+    rows += [(7, "\n".join(["one two three four five six"] * 30)), (8, "\n".join([f"a {i}" for i in range(20)] + shared[2:5]))]
+    out = {r.doc_id: r for r in line_dedup.dedup(docs(spark, rows)).collect()}
+    own = {i: [x for x in t.split("\n") if x not in shared] for i, t in rows}
+    assert out[0].text == dict(rows)[0] and out[8].text == dict(rows)[8]
+    for i in (1, 2, 5):  # all twelve lines go, and nothing else
+        assert out[i].text.split("\n") == own[i] and out[i].n_removed_lines == 12
+    # the changed ones keep what is no run of 50 words: 5 and 6 lines of the halves have 30 and 36
+    assert set(own[3]) <= set(out[3].text.split("\n")) and set(own[4]) <= set(out[4].text.split("\n"))
+    assert out[7].text.count("\n") + 1 in range(9, 19)  # the first passage stays whole
+
+
 # ---- pipeline ---------------------------------------------------------------------------------
 
 
