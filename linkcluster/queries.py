@@ -525,16 +525,22 @@ def documents_near_copies(spark, d):
     words = F.split(F.trim(F.regexp_replace(F.lower("text"), r"[^\p{L}\p{N}]+", " ")), " ")
     w = docs.select("doc_id", "source", words.alias("w"))
     grams = F.expr("transform(sequence(0, size(w) - 3), i -> concat_ws(' ', w[i], w[i + 1], w[i + 2]))")
-    g = w.where(F.size("w") >= 3).select("doc_id", "source", F.explode(F.array_distinct(grams)).alias("g"))
-    g = written(g)
-    size = g.groupBy("doc_id").agg(F.count(F.lit(1)).alias("n"))
-    rare = g.groupBy("g").agg(F.count(F.lit(1)).alias("df")).where("df between 2 and 50")
-    k = g.join(rare.select("g"), "g")
-    a, b = k.select("g", F.col("doc_id").alias("src"), F.col("source").alias("s1")), k.select("g", F.col("doc_id").alias("dst"), F.col("source").alias("s2"))
-    both = a.join(b, "g").where("src < dst and s1 <> s2").groupBy("src", "dst").agg(F.count(F.lit(1)).alias("c"))
-    p = both.join(size.select(F.col("doc_id").alias("src"), F.col("n").alias("n1")), "src").join(size.select(F.col("doc_id").alias("dst"), F.col("n").alias("n2")), "dst")
-    p = p.withColumn("sim", F.col("c") / (F.col("n1") + F.col("n2") - F.col("c")))
-    return _sim(p.where(F.col("sim") >= 0.3), "src", "dst")
+    # equal texts are one set; a pair of sets at 0.3 meets in the rarest n - ceil(0.3 n) + 1 shingles of both
+    same = written(w.where(F.size("w") >= 3).groupBy(F.array_join("w", " ").alias("body")).agg(F.min("doc_id").alias("gid"), F.collect_list(F.struct("doc_id", "source")).alias("members")))
+    sets = written(same.select("gid", F.split("body", " ").alias("w")).select("gid", F.array_distinct(grams).alias("sh")).withColumn("n", F.size("sh")))
+    held = sets.select("gid", "n", F.explode(F.transform("sh", lambda x: F.xxhash64(x))).alias("h"))
+    often = held.groupBy("h").agg(F.count(F.lit(1)).alias("df"))
+    ordered = held.join(often, "h").groupBy("gid", "n").agg(F.sort_array(F.collect_list(F.struct("df", "h"))).alias("o"))
+    k = written(ordered.select("gid", "n", F.explode(F.expr("slice(o, 1, n - cast((3 * n + 9) div 10 AS int) + 1)")).alias("o")).where("o.df > 1").select("gid", "n", "o.h"))
+    a, b = k.select("h", F.col("gid").alias("ga"), F.col("n").alias("n1")), k.select("h", F.col("gid").alias("gb"), F.col("n").alias("n2"))
+    near = a.join(b, "h").where("ga < gb and 10 * least(n1, n2) >= 3 * greatest(n1, n2)").select("ga", "gb").distinct()
+    near = near.join(sets.select(F.col("gid").alias("ga"), F.col("sh").alias("x")), "ga").join(sets.select(F.col("gid").alias("gb"), F.col("sh").alias("y")), "gb")
+    near = near.withColumn("c", F.size(F.array_intersect("x", "y"))).select("ga", "gb", (F.col("c") / (F.size("x") + F.size("y") - F.col("c"))).alias("sim")).where("sim >= 0.3")
+    pairs = near.unionByName(same.where(F.size("members") > 1).select(F.col("gid").alias("ga"), F.col("gid").alias("gb"), F.lit(1.0).alias("sim")))
+    member = same.select("gid", F.explode("members").alias("m"))
+    p = pairs.join(member.select(F.col("gid").alias("ga"), F.col("m").alias("p")), "ga").join(member.select(F.col("gid").alias("gb"), F.col("m").alias("q")), "gb")
+    p = p.where("p.source <> q.source and p.doc_id <> q.doc_id and (ga <> gb or p.doc_id < q.doc_id)")
+    return _sim(p.select(F.least("p.doc_id", "q.doc_id").alias("src"), F.greatest("p.doc_id", "q.doc_id").alias("dst"), "sim"), "src", "dst")
 
 
 def passage_links(spark, d):

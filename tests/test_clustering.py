@@ -249,3 +249,21 @@ def test_label_candidates_lose_no_pair(spark):
     ids = [(i, j) for i in range(len(labels)) for j in range(i + 1, len(labels)) if (i + j) % 2]
     s = strings.jaro_winkler_batch([labels[i] for i, _ in ids], [labels[j] for _, j in ids])
     assert got == {p for p, x in zip(ids, s) if x >= 0.9} and len(got) > 100
+
+
+def test_near_copies_of_common_texts(spark, tmp_path):
+    import random
+
+    rng = random.Random(4)
+    base = [f"w{rng.randrange(500)}" for _ in range(30)]
+    texts = [" ".join(base)] * 56 + [" ".join(base[:cut] + [f"e{cut}"] + base[cut + 1 :]) for cut in (2, 9, 15, 22)] + [" ".join(base[:12]), "w1 w2 w3", "W1, w2 w3!", "a b", None]
+    rows = [(i, f"s{i % 3}", t) for i, t in enumerate(texts)]
+    spark.createDataFrame(rows, "doc_id bigint, source string, text string").write.parquet(f"{tmp_path}/documents.parquet")
+
+    def grams(t):
+        w = "".join(c if c.isalnum() else " " for c in (t or "").lower()).split()
+        return set(zip(w, w[1:], w[2:]))
+
+    g = {i: grams(t) for i, _, t in rows}
+    want = {(a, b): round(len(g[a] & g[b]) / len(g[a] | g[b]), 6) for a, s, _ in rows for b, z, _ in rows if a < b and s != z and g[a] and g[b] and len(g[a] & g[b]) / len(g[a] | g[b]) >= 0.3}
+    assert {(r.src, r.dst): r.sim for r in q.documents_near_copies(spark, str(tmp_path)).collect()} == want
