@@ -25,7 +25,7 @@ GEO = ClusterConfig()
 CURATED = [("A", "B"), ("A", "C"), ("A", "D")]
 
 
-def geo_vertices(spark: SparkSession, d: str, limit_key: int | None = fixtures.SIZES) -> DataFrame:
+def geo_vertices(spark: SparkSession, d: str, limit_key: int | None = None) -> DataFrame:
     """Entities as the workflow sees them: labels normalised, types harmonised."""
     v = normalize.labels(fixtures.geo_entities(spark, d, limit_key))
     return preprocess.harmonize_types(v, GEO.type_map)

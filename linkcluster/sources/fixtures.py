@@ -34,8 +34,8 @@ GEO_LON = "CASE WHEN s = 2 AND k % 17 = 0 THEN cast(NULL AS DOUBLE) ELSE cast((1
 GEO_TYPE = "CASE WHEN (k + s) % 7 = 0 THEN NULL WHEN k % 97 = 5 AND s = 0 THEN 'island' WHEN k % 13 = 0 THEN 'settlement|harbour' WHEN s = 0 THEN 'city' WHEN s = 1 THEN 'town' WHEN s = 2 THEN 'suburb' ELSE 'settlement' END"
 
 
-def geo_rows(customer: DataFrame, limit_key: int | None = SIZES) -> DataFrame:
-    """Flat geographic entities; ``limit_key`` None takes every customer (the large form)."""
+def geo_rows(customer: DataFrame, limit_key: int | None = None) -> DataFrame:
+    """Flat geographic entities; ``limit_key`` None takes every customer, SIZES is the published small size."""
     c = customer.select(F.col("c_custkey").cast("bigint").alias("k"), F.col("c_nationkey").alias("nation"))
     c = c if limit_key is None else c.where(F.col("k") < limit_key)
     d = c.withColumn("name", F.expr(GEO_NAME)).withColumn("home", F.expr(GEO_HOME)).withColumn("size", F.expr(GEO_SIZE))
@@ -45,7 +45,7 @@ def geo_rows(customer: DataFrame, limit_key: int | None = SIZES) -> DataFrame:
     )
 
 
-def geo_entities(spark: SparkSession, sf_dir: str, limit_key: int | None = SIZES) -> DataFrame:
+def geo_entities(spark: SparkSession, sf_dir: str, limit_key: int | None = None) -> DataFrame:
     d = geo_rows(spark.read.parquet(f"{sf_dir}/customer.parquet"), limit_key)
     types = F.coalesce(F.split("raw_type", r"\|"), F.array().cast("array<string>"))
     return d.withColumn("types", types).withColumn("props", F.create_map(F.lit("raw_type"), F.col("raw_type"))).select("id", "gold", "source", "label", "types", "lat", "lon", "props")

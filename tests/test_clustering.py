@@ -267,3 +267,10 @@ def test_near_copies_of_common_texts(spark, tmp_path):
     g = {i: grams(t) for i, _, t in rows}
     want = {(a, b): round(len(g[a] & g[b]) / len(g[a] | g[b]), 6) for a, s, _ in rows for b, z, _ in rows if a < b and s != z and g[a] and g[b] and len(g[a] & g[b]) / len(g[a] | g[b]) >= 0.3}
     assert {(r.src, r.dst): r.sim for r in q.documents_near_copies(spark, str(tmp_path)).collect()} == want
+
+
+def test_geo_queries_read_every_customer(spark, tmp_path):
+    spark.range(1000).selectExpr("id AS c_custkey", "cast(id % 25 AS int) AS c_nationkey").write.parquet(f"{tmp_path}/customer.parquet")
+    golds = {r.gold for r in q.geo_entities(spark, str(tmp_path)).select("gold").collect()}
+    assert golds == set(range(1000)) == {r.gold for r in q.geo_vertices(spark, str(tmp_path)).select("gold").collect()}
+    assert q.overview_geo(spark, str(tmp_path)).first().clusters == 1000
