@@ -21,6 +21,8 @@ from linkcluster.sources import fixtures, readers, sinks
 #: Configuration of the music runs.
 MUSIC = ClusterConfig(measure=compose.MUSIC, theta_refine=0.7, theta_merge=0.85, type_map={})
 GEO = ClusterConfig()
+#: Query vectors up to which the counted block is broadcast; beyond it the pairs are dealt out.
+QUERY_BLOCK = 50_000
 #: The curated links touch one source only.
 CURATED = [("A", "B"), ("A", "C"), ("A", "D")]
 
@@ -558,11 +560,12 @@ def passage_links(spark, d):
 
 
 def embedding_links(spark, d):
-    """Best other vector of the same label for every vector divisible by 20, by cosine similarity."""
+    """Best of all other vectors for every vector divisible by 20, by cosine similarity."""
     e = readers.parquet(spark, d, "embeddings")
-    a = e.where("vec_id % 20 = 0").select(F.col("vec_id").alias("src"), "label", F.col("embedding").alias("x"))
-    b = e.select(F.col("vec_id").alias("dst"), "label", F.col("embedding").alias("y"))
-    p = a.join(b, "label").where("src <> dst").withColumn("sim", strings.cosine(F.col("x"), F.col("y")))
+    a = e.where("vec_id % 20 = 0").select(F.col("vec_id").alias("src"), F.col("embedding").alias("x"))
+    b = e.select(F.col("vec_id").alias("dst"), F.col("embedding").alias("y"))
+    a = F.broadcast(a) if a.count() <= QUERY_BLOCK else a
+    p = a.crossJoin(b).where("src <> dst").withColumn("sim", strings.cosine(F.col("x"), F.col("y")))
     best = p.groupBy("src").agg(F.max_by(F.struct("dst", "sim"), F.struct(normalize.grid(F.col("sim")), -F.col("dst"))).alias("b"))
     return best.select("src", F.col("b.dst").alias("dst"), rounded(F.col("b.sim"), 4).alias("sim"))
 

@@ -274,3 +274,9 @@ def test_geo_queries_read_every_customer(spark, tmp_path):
     golds = {r.gold for r in q.geo_entities(spark, str(tmp_path)).select("gold").collect()}
     assert golds == set(range(1000)) == {r.gold for r in q.geo_vertices(spark, str(tmp_path)).select("gold").collect()}
     assert q.overview_geo(spark, str(tmp_path)).first().clusters == 1000
+
+
+def test_embedding_links_search_all_labels(spark, tmp_path):
+    rows = [(0, 1, [1.0, 0.0]), (1, 1, [0.0, 1.0]), (2, 2, [1.0, 0.1]), (20, 3, [0.0, -1.0]), (3, 1, [0.1, -1.0]), (4, 3, [1.0, -1.0])]
+    spark.createDataFrame(rows, "vec_id bigint, label int, embedding array<double>").write.parquet(f"{tmp_path}/embeddings.parquet")
+    assert {(r.src, r.dst) for r in q.embedding_links(spark, str(tmp_path)).collect()} == {(0, 2), (20, 3)}
