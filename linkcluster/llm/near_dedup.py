@@ -189,8 +189,8 @@ def _tiled(rest: DataFrame, sets: DataFrame, cfg: NearConfig) -> DataFrame:
     return d.join(sets, "node").groupBy("key", "i", "j").applyInArrow(run, "a bigint, b bigint")
 
 
-def classes(docs: DataFrame, cfg: NearConfig = NearConfig(), key: str = "doc_id", text: str = "text") -> DataFrame:
-    """(key, class_id, class_size, n_shingles) of every row."""
+def _grouped(docs: DataFrame, cfg: NearConfig, key: str, text: str) -> DataFrame:
+    """(id, node, n, top) of every row; ``top`` is its class, null for a null text."""
     rows = docs.select(F.col(key).cast("bigint").alias("id"), F.when(F.col(text).isNotNull(), F.xxhash64(text)).alias("node"), F.col(text).alias("text"))
     texts = rows.where("node is not null").select("node", "text")
     signed = cut(_signed(texts, cfg).where("n > 0").groupBy("node").agg(F.first("n").alias("n"), F.first("bands").alias("bands")))
@@ -222,21 +222,31 @@ def classes(docs: DataFrame, cfg: NearConfig = NearConfig(), key: str = "doc_id"
     final = part.join(top.select(F.col("id").alias("cid"), F.col("cid").alias("top")), "cid").select("node", "top")
     # back to rows: a text outside every shared bucket is its own class
     named = signed.select("node", "n").join(cut(final), "node", "left").select("node", "n", F.coalesce("top", "node").alias("top"))
-    whole = rows.select("id", "node").join(named, "node", "left").select("id", "n", F.coalesce("top", "node").alias("top"))
-    whole = cut(whole)
+    whole = rows.select("id", "node").join(named, "node", "left").select("id", "node", "n", F.coalesce("top", "node").alias("top"))
+    return cut(whole)
+
+
+def classes(docs: DataFrame, cfg: NearConfig = NearConfig(), key: str = "doc_id", text: str = "text") -> DataFrame:
+    """(key, class_id, class_size, n_shingles) of every row."""
+    whole = _grouped(docs, cfg, key, text)
     names = whole.where("top is not null").groupBy("top").agg(F.min("id").alias("class_id"), F.count(F.lit(1)).alias("class_size"))
     out = whole.join(names, "top", "left")
     return out.select(F.col("id").alias(key), F.coalesce("class_id", "id").alias("class_id"), F.coalesce("class_size", F.lit(1)).cast("bigint").alias("class_size"), F.coalesce("n", F.lit(0)).cast("bigint").alias("n_shingles"))
 
 
 def one_of_each(docs: DataFrame, cfg: NearConfig = NearConfig(), key: str = "doc_id", text: str = "text") -> DataFrame:
-    """All columns of one document of each class: the one whose id names the class."""
-    keep = cut(classes(docs, cfg, key, text).where(F.col("class_id").isNull() | (F.col(key) == F.col("class_id"))).select(F.col(key).alias("key__")).distinct())
-    back = docs.join(small(keep), docs[key].eqNullSafe(F.col("key__")), "left_semi")
-    # rows that repeat an id are copies of one another or share its class: the first in text order stays
-    again = cut(docs.groupBy(key).count().where("count > 1").select(F.col(key).alias("key__")))
+    """All columns of one document of each class: the one with the least id, null last; null texts are classes by id."""
+    whole = _grouped(docs, cfg, key, text)
+    by = F.when(F.col("top").isNull(), F.col("id"))
+    first = whole.groupBy("top", by.alias("own")).agg(F.min(F.struct(F.col("id").isNull(), "id", "node")).alias("s"))
+    keep = cut(first.select(F.col("s.id").alias("key__"), F.col("s.node").alias("node__")))
+    again = cut(whole.groupBy("id", "node").count().where("count > 1").select(F.col("id").alias("key__"), F.col("node").alias("node__")))
+    d = docs.withColumn("k__", F.col(key).cast("bigint")).withColumn("n__", F.when(F.col(text).isNotNull(), F.xxhash64(text)))
+    same = F.col("k__").eqNullSafe(F.col("key__")) & F.col("n__").eqNullSafe(F.col("node__"))
+    back = d.join(small(keep), same, "left_semi")
     if again.limit(1).count() == 0:
-        return back
-    once = back.join(small(again), back[key].eqNullSafe(F.col("key__")), "left_anti")
-    twice = back.join(small(again), back[key].eqNullSafe(F.col("key__")), "left_semi").groupBy(key).agg(F.min(F.struct(F.col(text), F.struct(*[c for c in docs.columns if c not in (key, text)]).alias("rest"))).alias("s"))
-    return once.unionByName(twice.select(F.col(key), F.col(f"s.{text}").alias(text), *[F.col(f"s.rest.{c}").alias(c) for c in docs.columns if c not in (key, text)]).select(*docs.columns))
+        return back.select(*docs.columns)
+    # rows alike in id and text: the first by the other columns stays
+    once = back.join(small(again), same, "left_anti").select(*docs.columns)
+    twice = back.join(small(again), same, "left_semi").groupBy("k__", "n__").agg(F.min(F.struct(*docs.columns)).alias("s"))
+    return once.unionByName(twice.select("s.*"))

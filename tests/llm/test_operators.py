@@ -256,6 +256,12 @@ def test_near_duplicates_null_and_repeated_ids(spark):
     assert sorted((r.doc_id is None, r.doc_id or 0) for r in near_dedup.one_of_each(d).collect()) == [(False, 1), (False, 2), (True, 0)]
 
 
+def test_one_of_each_keeps_a_row_of_every_class_whatever_its_id(spark):
+    rows = [(None, "a b c d e f g"), (None, "h i j k l m n"), (None, None), (3, "o p q r s t u"), (3, "v w x y z a b"), (3, None), (4, "a b c d e f g"), (4, "unique words of this text only"), (5, "h i j k l m n"), (5, "h i j k l m n")]
+    got = Counter((r.doc_id, r.text) for r in near_dedup.one_of_each(docs(spark, rows)).collect())
+    assert got == Counter([(4, "a b c d e f g"), (5, "h i j k l m n"), (None, None), (3, "o p q r s t u"), (3, "v w x y z a b"), (3, None), (4, "unique words of this text only")])
+
+
 def test_probminhash_estimates_probability_jaccard():
     import numpy as np
 
