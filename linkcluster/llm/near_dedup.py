@@ -1,11 +1,11 @@
 """Near-duplicate documents by ProbMinHash signatures, banding and exact verification.
 
 Words are runs of letters and digits in lower case.  A text's shingles are its windows of
-five words (a shorter text is one shingle), weighted by 1 + ln(count).  Each weighted
+five words (a shorter text is one shingle).  Sets decide below, so all weigh the same here.  Each
 shingle is a Poisson process whose rate is its weight: its arrivals hit signature places
 at random, the earliest arrival at a place wins it, and a shingle stops as soon as
 its next arrival comes after every place of its text has been won earlier.  The share of
-equal places estimates the probability Jaccard similarity of the weighted sets.
+equal places estimates the probability Jaccard similarity, which for equal weights is that of the sets.
 
 Signatures are banded; texts that agree on a band share a bucket.  Inside buckets:
 1. equal texts are one node from the start (they are counted, never paired);
@@ -95,8 +95,8 @@ def prob_minhash(owner: np.ndarray, item: np.ndarray, weight: np.ndarray, n: int
 
 def signatures(texts: list[str], cfg: NearConfig) -> tuple[np.ndarray, np.ndarray]:
     """(number of distinct shingles, band keys) of each text."""
-    owner, item, times = shingle_sets(texts, cfg.words)
-    sig = prob_minhash(owner, item, 1 + np.log(times), len(texts), cfg.bands * cfg.rows, cfg.seed)
+    owner, item, _ = shingle_sets(texts, cfg.words)
+    sig = prob_minhash(owner, item, np.ones(len(item)), len(texts), cfg.bands * cfg.rows, cfg.seed)
     keys = np.empty((len(texts), cfg.bands), dtype=np.uint64)
     for b in range(cfg.bands):
         h = np.full(len(texts), b + 1, dtype=np.uint64)

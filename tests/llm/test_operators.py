@@ -256,6 +256,16 @@ def test_near_duplicates_null_and_repeated_ids(spark):
     assert sorted((r.doc_id is None, r.doc_id or 0) for r in near_dedup.one_of_each(d).collect()) == [(False, 1), (False, 2), (True, 0)]
 
 
+def test_near_duplicates_that_differ_in_repeats(spark):
+    rng = random.Random(12)
+    rows = []
+    for i in range(60):
+        p, rest, new = words(rng, 60), words(rng, 125), words(rng, 12)
+        rows += [(2 * i, f"{p} {rest}"), (2 * i + 1, " ".join([p] * 50) + f" {rest} {new}")]
+    assert all(brute_classes(dict(rows[2 * i : 2 * i + 2])) == {2 * i: 2 * i, 2 * i + 1: 2 * i} for i in range(60))
+    assert {r.doc_id: r.class_id for r in near_dedup.classes(docs(spark, rows)).collect()} == {i: i - i % 2 for i, _ in rows}
+
+
 def test_one_of_each_keeps_a_row_of_every_class_whatever_its_id(spark):
     rows = [(None, "a b c d e f g"), (None, "h i j k l m n"), (None, None), (3, "o p q r s t u"), (3, "v w x y z a b"), (3, None), (4, "a b c d e f g"), (4, "unique words of this text only"), (5, "h i j k l m n"), (5, "h i j k l m n")]
     got = Counter((r.doc_id, r.text) for r in near_dedup.one_of_each(docs(spark, rows)).collect())
