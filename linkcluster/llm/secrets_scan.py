@@ -2,10 +2,10 @@
 
 Three fixed patterns give the base spans.  The method adds ``novel`` spans: a candidate
 token that stands after a sensitive word is compressed with zstandard, primed by an
-identifier dictionary and the text around the candidate (the candidate itself cut out).
+identifier dictionary and the text around the candidate (the candidate itself and its equal copies cut out).
 Its marginal compressed bytes, the size above that of an empty frame with the same
 priming, divided by its own bytes say how much of it the surroundings do not explain.
-Words, identifiers and values that recur nearby are cheap; random keys are not.
+Words, identifiers and parts that recur nearby are cheap; random keys are not, seen once or again.
 
 Defined cases: a null text is empty; an empty text has no spans and the hash of the empty
 string; repeated rows and ties give repeated results; other columns are not touched.
@@ -64,11 +64,14 @@ class NoveltyScan:
         for m in re.finditer(r"[A-Za-z0-9+/_=-]{%d,}" % self.min_chars, text):
             s, e = m.span()
             word = m.group()
-            if not any("0" <= c <= "9" for c in word) or any(a < e and s < b for a, b in taken):
+            if any(a < e and s < b for a, b in taken):
                 continue
             if not SENSITIVE.search(text, max(0, s - self.before), s):
                 continue
-            cost, size = self.marginal_bytes(word, text[max(0, s - self.window) : s] + text[e : e + self.window])
+            # so much more is cut out that no part of a copy is left at the ends
+            far = self.window + len(word)
+            before, after = text[max(0, s - far) : s].replace(word, "")[-self.window :], text[e : e + far].replace(word, "")[: self.window]
+            cost, size = self.marginal_bytes(word, before + after)
             if cost >= self.min_novelty * size:
                 out.append((s, e, cost / size))
         return out
