@@ -51,7 +51,7 @@ def geo_entities(spark: SparkSession, sf_dir: str, limit_key: int | None = None)
     return d.withColumn("types", types).withColumn("props", F.create_map(F.lit("raw_type"), F.col("raw_type"))).select("id", "gold", "source", "label", "types", "lat", "lon", "props")
 
 
-def geo_sql(limit_key: int | None = SIZES) -> str:
+def geo_sql(limit_key: int | None = None) -> str:
     """The same rows as a query for another engine: id, gold, source, label (normalised), raw_type, lat, lon."""
     only = "" if limit_key is None else f"WHERE c_custkey < {limit_key}"
     return (
