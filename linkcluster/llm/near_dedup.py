@@ -18,7 +18,8 @@ Classes are the connected components; a class is named by its least document id.
 
 Defined cases: a null text is a class of its own row's id; empty texts and texts without a
 word are equal only to equal texts; null ids get the class of their text; repeated rows share a
-class; an empty table gives an empty result.
+class; an id may repeat and may be of any type that can be ordered; other columns may have any
+type and any name; a very long text is worked on alone, whole; an empty table gives an empty result.
 """
 
 from __future__ import annotations
@@ -31,7 +32,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from linkcluster.llm import _text
-from linkcluster.llm._frame import cut, small
+from linkcluster.llm._frame import HOT_ROWS, cut, join_hot, packed, small, unpacked
 from linkcluster.operators.components import connected
 
 
@@ -107,7 +108,8 @@ def signatures(texts: list[str], cfg: NearConfig) -> tuple[np.ndarray, np.ndarra
 
 
 def _signed(docs: DataFrame, cfg: NearConfig) -> DataFrame:
-    """(node, n, bands) from (node, text)."""
+    """(node, n, bands, id) from (node, text, id)."""
+    kind = dict(docs.dtypes)["id"]
 
     def run(batches):
         for b in batches:
@@ -119,9 +121,9 @@ def _signed(docs: DataFrame, cfg: NearConfig) -> DataFrame:
             n = np.concatenate(n) if n else np.zeros(0, np.int64)
             flat = np.concatenate(keys).ravel() if keys else np.zeros(0, np.int64)
             lists = pa.ListArray.from_arrays(pa.array(np.arange(len(n) + 1, dtype=np.int32) * cfg.bands), pa.array(flat))
-            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(n), lists], ["node", "n", "bands"])
+            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(n), lists, b.column(2)], ["node", "n", "bands", "id"])
 
-    return docs.mapInArrow(run, "node bigint, n bigint, bands array<bigint>")
+    return docs.mapInArrow(run, f"node bigint, n bigint, bands array<bigint>, id {kind}")
 
 
 def _sets(docs: DataFrame, cfg: NearConfig) -> DataFrame:
@@ -189,12 +191,12 @@ def _tiled(rest: DataFrame, sets: DataFrame, cfg: NearConfig) -> DataFrame:
     return d.join(sets, "node").groupBy("key", "i", "j").applyInArrow(run, "a bigint, b bigint")
 
 
-def _grouped(docs: DataFrame, cfg: NearConfig, key: str, text: str) -> DataFrame:
-    """(id, node, n, top) of every row; ``top`` is its class, null for a null text."""
-    rows = docs.select(F.col(key).cast("bigint").alias("id"), F.when(F.col(text).isNotNull(), F.xxhash64(text)).alias("node"), F.col(text).alias("text"))
-    texts = rows.where("node is not null").select("node", "text")
-    signed = cut(_signed(texts, cfg).where("n > 0").groupBy("node").agg(F.first("n").alias("n"), F.first("bands").alias("bands")))
-    slots = signed.select("node", "n", F.explode("bands").alias("key"))
+def _nodes(docs: DataFrame, cfg: NearConfig, key: str, text: str) -> DataFrame:
+    """(node, n, rows, low, top) of every distinct text: its shingles, rows, least id and class."""
+    texts = docs.where(F.col(text).isNotNull()).select(F.xxhash64(text).alias("node"), F.col(text).alias("text"), F.col(key).alias("id"))
+    signed = _signed(texts, cfg).groupBy("node").agg(F.first("n").alias("n"), F.first("bands").alias("bands"), F.count(F.lit(1)).alias("rows"), F.min("id").alias("low"))
+    signed = cut(signed)
+    slots = signed.where("n > 0").select("node", "n", F.explode("bands").alias("key"))
     shared = slots.groupBy("key").agg(F.count(F.lit(1)).alias("size")).where("size > 1")
     slots = cut(slots.join(shared, "key"))
     # the densest text of a bucket is the likeliest original of a group of copies
@@ -203,7 +205,7 @@ def _grouped(docs: DataFrame, cfg: NearConfig, key: str, text: str) -> DataFrame
     pairs = slots.join(centre, "key").where((F.col("node") != F.col("centre")) & (F.least("n", "m") >= cfg.similarity * F.greatest("n", "m") - 1e-9))
     pairs = pairs.select(F.least("node", "centre").alias("a"), F.greatest("node", "centre").alias("b")).distinct()
     members = cut(density.select("node"))
-    sets = cut(_sets(texts.join(small(members), "node"), cfg).groupBy("node").agg(F.first("sh").alias("sh")))
+    sets = cut(_sets(texts.join(small(members), "node").select("node", "text"), cfg).groupBy("node").agg(F.first("sh").alias("sh")))
     ends = lambda d: d.select(F.col("a").alias("src"), F.col("b").alias("dst"))
     first = cut(ends(_verify(pairs, sets, cfg)))
     part = cut(connected(members.withColumnRenamed("node", "id"), first, "auto").withColumnRenamed("id", "node"))
@@ -216,37 +218,51 @@ def _grouped(docs: DataFrame, cfg: NearConfig, key: str, text: str) -> DataFrame
     apart = x.join(y, "key").where((F.col("a") < F.col("b")) & (F.col("c") != F.col("d")) & (F.least("p", "q") >= cfg.similarity * F.greatest("p", "q") - 1e-9)).select("a", "b").distinct()
     second = _verify(apart, sets, cfg).unionByName(_tiled(mixed.where(F.col("size") > cfg.pair_bucket), sets, cfg))
     second = cut(ends(second).distinct())
+    # components of components: few links, each end looked up in the node table, whose rows are unique
     to = lambda c: part.select(F.col("node").alias(c), F.col("cid").alias(f"{c}_cid"))
-    joined = second.join(to("src"), "src").join(to("dst"), "dst").select(F.col("src_cid").alias("src"), F.col("dst_cid").alias("dst")).distinct()
-    top = connected(part.select(F.col("cid").alias("id")).distinct(), joined, "auto")
-    final = part.join(top.select(F.col("id").alias("cid"), F.col("cid").alias("top")), "cid").select("node", "top")
-    # back to rows: a text outside every shared bucket is its own class
-    named = signed.select("node", "n").join(cut(final), "node", "left").select("node", "n", F.coalesce("top", "node").alias("top"))
-    whole = rows.select("id", "node").join(named, "node", "left").select("id", "node", "n", F.coalesce("top", "node").alias("top"))
-    return cut(whole)
+    joined = second.join(to("src"), "src").join(to("dst"), "dst").select(F.col("src_cid").alias("src"), F.col("dst_cid").alias("dst")).where("src <> dst").distinct()
+    top = connected(joined.select(F.col("src").alias("id")).unionByName(joined.select(F.col("dst").alias("id"))).distinct(), joined, "auto")
+    top = cut(top.select(F.col("id").alias("cid"), F.col("cid").alias("top")))
+    width = part.groupBy("cid").agg(F.count(F.lit(1)).alias("width"))
+    top = cut(top.join(width, "cid"))
+    final = join_hot(part, top, ["cid"], F.col("width") > HOT_ROWS, "node", "left").select("node", F.coalesce("top", "cid").alias("top"))
+    # a text outside every shared bucket is its own class
+    return cut(signed.drop("bands").join(final, "node", "left").withColumn("top", F.coalesce("top", "node")))
 
 
 def classes(docs: DataFrame, cfg: NearConfig = NearConfig(), key: str = "doc_id", text: str = "text") -> DataFrame:
     """(key, class_id, class_size, n_shingles) of every row."""
-    whole = _grouped(docs, cfg, key, text)
-    names = whole.where("top is not null").groupBy("top").agg(F.min("id").alias("class_id"), F.count(F.lit(1)).alias("class_size"))
-    out = whole.join(names, "top", "left")
-    return out.select(F.col("id").alias(key), F.coalesce("class_id", "id").alias("class_id"), F.coalesce("class_size", F.lit(1)).cast("bigint").alias("class_size"), F.coalesce("n", F.lit(0)).cast("bigint").alias("n_shingles"))
+    nodes = _nodes(docs, cfg, key, text)
+    # classes of one text need no join; of the others the name goes back to each text, and then to each row
+    names = nodes.groupBy("top").agg(F.min("low").alias("class_id"), F.sum("rows").alias("class_size"), F.count(F.lit(1)).alias("width"))
+    names = cut(names.where("width > 1"))
+    named = join_hot(nodes, names, ["top"], F.col("width") > HOT_ROWS, "node", "left")
+    named = cut(named.select("node", "n", "rows", F.when(F.col("width").isNull(), F.col("low")).otherwise(F.col("class_id")).alias("class_id"), F.coalesce("class_size", "rows").alias("class_size")))
+    rows = docs.select(F.col(key).alias("id"), F.when(F.col(text).isNotNull(), F.xxhash64(text)).alias("node"))
+    out = join_hot(rows, named, ["node"], F.col("rows") > HOT_ROWS, "id", "left")
+    own = F.col("node").isNull()
+    return out.select(
+        F.col("id").alias(key), F.when(own, F.col("id")).otherwise(F.col("class_id")).alias("class_id"), F.when(own, F.lit(1)).otherwise(F.col("class_size")).cast("bigint").alias("class_size"), F.coalesce("n", F.lit(0)).cast("bigint").alias("n_shingles")
+    )
 
 
 def one_of_each(docs: DataFrame, cfg: NearConfig = NearConfig(), key: str = "doc_id", text: str = "text") -> DataFrame:
-    """All columns of one document of each class: the one with the least id, null last; null texts are classes by id."""
-    whole = _grouped(docs, cfg, key, text)
-    by = F.when(F.col("top").isNull(), F.col("id"))
-    first = whole.groupBy("top", by.alias("own")).agg(F.min(F.struct(F.col("id").isNull(), "id", "node")).alias("s"))
-    keep = cut(first.select(F.col("s.id").alias("key__"), F.col("s.node").alias("node__")))
-    again = cut(whole.groupBy("id", "node").count().where("count > 1").select(F.col("id").alias("key__"), F.col("node").alias("node__")))
-    d = docs.withColumn("k__", F.col(key).cast("bigint")).withColumn("n__", F.when(F.col(text).isNotNull(), F.xxhash64(text)))
-    same = F.col("k__").eqNullSafe(F.col("key__")) & F.col("n__").eqNullSafe(F.col("node__"))
-    back = d.join(small(keep), same, "left_semi")
+    """All columns of one row of each class, whatever its id: the row with the least id, nulls last.
+
+    Null texts are classes by id.  Of rows alike in id and text the first by the other columns, as JSON, stays.
+    """
+    nodes = _nodes(docs, cfg, key, text)
+    keep = nodes.groupBy("top").agg(F.min(F.struct(F.col("low").isNull(), "low", "node")).alias("s")).select(F.col("s.low").alias("keep_id__"), F.col("s.node").alias("node"))
+    keep = cut(keep)
+    d = packed(docs, id=F.col(key), node=F.when(F.col(text).isNotNull(), F.xxhash64(text)))
+    # one text in many rows: its heaviest keys are dealt out, and all rows but those of the kept id fall
+    heavy = cut(keep.join(nodes.select("node", "rows"), "node"))
+    kept = join_hot(d.where("node is not null"), heavy, ["node"], F.col("rows") > HOT_ROWS, "id").where(F.col("id").eqNullSafe(F.col("keep_id__")))
+    kept = kept.select("doc__", "id", "node").unionByName(d.where("node is null").select("doc__", "id", "node"))
+    again = cut(kept.groupBy("id", "node").agg(F.count(F.lit(1)).alias("times")).where("times > 1").select(F.col("id").alias("i__"), F.col("node").alias("n__")))
     if again.limit(1).count() == 0:
-        return back.select(*docs.columns)
-    # rows alike in id and text: the first by the other columns stays
-    once = back.join(small(again), same, "left_anti").select(*docs.columns)
-    twice = back.join(small(again), same, "left_semi").groupBy("k__", "n__").agg(F.min(F.struct(*docs.columns)).alias("s"))
-    return once.unionByName(twice.select("s.*"))
+        return unpacked(kept, docs)
+    same = F.col("id").eqNullSafe(F.col("i__")) & F.col("node").eqNullSafe(F.col("n__"))
+    once = kept.join(small(again), same, "left_anti")
+    twice = kept.join(small(again), same, "left_semi").groupBy("id", "node").agg(F.min_by("doc__", F.to_json("doc__")).alias("doc__"))
+    return unpacked(once.select("doc__"), docs).unionByName(unpacked(twice.select("doc__"), docs))

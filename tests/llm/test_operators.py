@@ -283,6 +283,43 @@ def test_one_of_each_keeps_a_row_of_every_class_whatever_its_id(spark):
     assert got == Counter([(4, "a b c d e f g"), (5, "h i j k l m n"), (None, None), (3, "o p q r s t u"), (3, "v w x y z a b"), (3, None), (4, "unique words of this text only")])
 
 
+def test_near_duplicates_with_string_ids_maps_and_clashing_names(spark):
+    rows = [("b", "p q r s t u v", {"k": 1}), ("a", "p q r s t u v", {"k": 2}), ("a", "p q r s t u v", {"k": 1}), (None, None, None), (None, None, {}), ("z", "other words that stand alone here", None)]
+    d = spark.createDataFrame(rows, "doc_id string, text string, node map<string,int>")
+    for c in ("id", "top", "doc__", "key__", "rows", "low", "salt__"):
+        d = d.withColumn(c, F.lit(7))
+    assert {(r.doc_id, r.class_id, r.class_size) for r in near_dedup.classes(d).collect()} == {("a", "a", 3), ("b", "a", 3), (None, None, 1), ("z", "z", 1)}
+    one = near_dedup.one_of_each(d)
+    assert one.columns == d.columns and one.schema.simpleString() == d.schema.simpleString()
+    got = one.collect()
+    assert sorted((str(r.doc_id), r.text or "") for r in got) == [("None", ""), ("a", rows[0][1]), ("z", rows[5][1])] and {r.top for r in got} == {7}
+
+
+def test_hot_keys_are_dealt_out(spark, monkeypatch):
+    from linkcluster.llm import _frame
+
+    rows = spark.createDataFrame([(i, i % 5 if i % 4 else None) for i in range(200)], "r bigint, k bigint")
+    table = _frame.cut(spark.createDataFrame([(k, f"v{k}", 100 if k < 2 else 1) for k in range(4)], "k bigint, v string, m int"))
+    want = sorted(map(tuple, rows.join(table, "k", "left").select("r", "k", "v").collect()))
+    for bound in (1 << 20, 40, 0):  # broadcast; heavy keys known; nothing fits
+        monkeypatch.setattr(_frame, "BROADCAST_BYTES", bound)
+        assert sorted(map(tuple, _frame.join_hot(rows, table, ["k"], F.col("m") > 50, "r", "left").select("r", "k", "v").collect())) == want
+
+
+def test_near_duplicates_without_broadcasts(spark, monkeypatch):
+    from linkcluster.llm import _frame
+
+    rng = random.Random(21)
+    base = [words(rng, 60).split() for _ in range(4)]
+    texts = {i: " ".join(base[i % 4][:40] + ([f"e{i}"] if i % 3 else []) + base[i % 4][40:]) for i in range(120)}
+    d = docs(spark, list(texts.items()) + [(200, None)])
+    want = brute_classes(texts | {200: None})
+    monkeypatch.setattr(_frame, "BROADCAST_BYTES", 0)
+    monkeypatch.setattr(near_dedup, "HOT_ROWS", 5)
+    assert {r.doc_id: r.class_id for r in near_dedup.classes(d).collect()} == want
+    assert {r.doc_id for r in near_dedup.one_of_each(d).collect()} == set(want.values())
+
+
 def test_probminhash_estimates_probability_jaccard():
     import numpy as np
 
