@@ -12,8 +12,9 @@ overlaps its own first occurrence stays.
 
 Defined cases: a null text stays null with no line; an empty text has one empty line; blank
 chunks are never removed; repeated rows and ties in id are ordered by the text's hash, then
-position, and rows alike in id and text keep or lose the same chunks; an empty table gives an
-empty result.
+position, and rows alike in id and text keep or lose the same chunks; very long texts are worked on
+whole; other columns may have any name, and those named ``n_lines`` or ``n_removed_lines`` are
+replaced; an empty table gives an empty result.
 """
 
 from __future__ import annotations
@@ -23,7 +24,7 @@ from dataclasses import dataclass
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from linkcluster.llm._frame import cut, small
+from linkcluster.llm._frame import HOT_ROWS, cut, join_hot, packed, unpacked
 
 
 @dataclass(frozen=True)
@@ -82,28 +83,33 @@ def chunk_rows(docs: DataFrame, cfg: ChunkConfig, key: str, text: str) -> DataFr
 
 
 def removals(docs: DataFrame, cfg: ChunkConfig = ChunkConfig(), key: str = "doc_id", text: str = "text") -> DataFrame:
-    """(row, gone): for each row with repeated chunks, its (first, n) ranges of lines to remove."""
+    """(row, gone, copies): for each row with repeated chunks, its (first, n) ranges of lines to remove."""
     chunks = cut(chunk_rows(docs, cfg, key, text))
     # hashes first: only what is seen twice sends its bytes
     groups = chunks.groupBy("h", "g").agg(F.count(F.lit(1)).alias("times"), F.min(F.struct("id", "row", "first")).alias("kept"))
-    twice = cut(groups.where("times > 1").select("h", "g", "kept"))
-    hits = chunks.join(small(twice), ["h", "g"]).groupBy("row").agg(F.collect_set(F.struct("first", "n", "h", "g", "kept", F.struct("id", "row", "first").eqNullSafe(F.col("kept")).alias("is_kept"))).alias("hits"))
-    found = docs.select(row_key(key, text).alias("row"), F.split(F.col(text), "\n", -1).alias("lines")).join(small(cut(hits)), "row")
-    seen = cut(found.select("row", F.explode(F.expr("transform(hits, c -> struct(c.first AS first, c.n AS n, c.h AS h, c.g AS g, c.kept AS kept, c.is_kept AS is_kept, array_join(slice(lines, c.first + 1, c.n), '\n') AS chunk))")).alias("c")).select("row", "c.*"))
-    model = seen.where("is_kept").groupBy("h", "g").agg(F.first("chunk").alias("model"))
+    twice = cut(groups.where("times > 1").select("h", "g", "times", "kept"))
+    often = F.col("times") > HOT_ROWS
+    hits = join_hot(chunks, twice, ["h", "g"], often, "row")
+    one = F.struct("first", "n", "h", "g", "times", "kept", F.struct("id", "row", "first").eqNullSafe(F.col("kept")).alias("is_kept"))
+    # rows alike in id and text share a key and their hits
+    hits = cut(hits.groupBy("row").agg(F.collect_set(one).alias("hits"), F.count(F.lit(1)).alias("rows")).withColumn("copies", F.col("rows") / F.size("hits")))
+    lines = docs.where(F.col(text).isNotNull()).select(row_key(key, text).alias("row"), F.split(F.col(text), "\n", -1).alias("lines"))
+    found = join_hot(lines, hits, ["row"], F.col("copies") > HOT_ROWS, "lines")
+    seen = cut(found.select("row", "copies", F.explode(F.expr("transform(hits, c -> struct(c.*, array_join(slice(lines, c.first + 1, c.n), '\n') AS chunk))".replace("c.*", ", ".join(f"c.{x} AS {x}" for x in ("first", "n", "h", "g", "times", "kept", "is_kept"))))).alias("c")).select("row", "copies", "c.*"))
+    model = cut(seen.where("is_kept").groupBy("h", "g").agg(F.first("chunk").alias("model"), F.first("times").alias("times")))
     apart = (F.col("row") != F.col("kept.row")) | (F.col("first") >= F.col("kept.first") + F.col("n"))
-    same = seen.where(~F.col("is_kept") & apart).join(model, ["h", "g"]).where("chunk = model")
-    return same.groupBy("row").agg(F.collect_set(F.struct("first", "n")).alias("gone"))
+    same = join_hot(seen.where(~F.col("is_kept") & apart).drop("times"), model, ["h", "g"], often, "row").where("chunk = model")
+    return same.groupBy("row").agg(F.collect_set(F.struct("first", "n")).alias("gone"), F.max("copies").alias("copies"))
 
 
 def dedup(docs: DataFrame, cfg: ChunkConfig = ChunkConfig(), key: str = "doc_id", text: str = "text") -> DataFrame:
     """All columns of ``docs``; the text without repeated chunks, and ``n_lines``, ``n_removed_lines``."""
-    gone = cut(removals(docs, cfg, key, text)).withColumnRenamed("row", "row__")
-    d = docs.withColumn("row__", row_key(key, text)).join(small(gone), "row__", "left")
-    lines = F.split(F.col(text), "\n", -1)
+    gone = cut(removals(docs, cfg, key, text))
+    d = join_hot(packed(docs, row=row_key(key, text), body=F.col(text)), gone, ["row"], F.col("copies") > HOT_ROWS, "body", "left")
+    lines = F.split("body", "\n", -1)
     out = F.array_distinct(F.flatten(F.transform("gone", lambda g: F.sequence(g["first"], g["first"] + g["n"] - 1))))
-    d = d.withColumn("n_lines", F.coalesce(F.when(F.col(text).isNotNull(), F.size(lines)), F.lit(0)).cast("bigint"))
-    d = d.withColumn("n_removed_lines", F.coalesce(F.when(F.col("gone").isNotNull(), F.size(out)), F.lit(0)).cast("bigint"))
+    n_lines = F.coalesce(F.when(F.col("body").isNotNull(), F.size(lines)), F.lit(0)).cast("bigint")
+    n_gone = F.coalesce(F.when(F.col("gone").isNotNull(), F.size(out)), F.lit(0)).cast("bigint")
     kept = F.transform(F.array_except(F.sequence(F.lit(0), F.size(lines) - 1), out), lambda i: F.get(lines, i))
-    new = F.when(F.col("gone").isNull(), F.col(text)).otherwise(F.array_join(kept, "\n"))
-    return d.withColumn(text, new).drop("row__", "gone")
+    new = F.when(F.col("gone").isNull(), F.col("body")).otherwise(F.array_join(kept, "\n"))
+    return unpacked(d, docs, **{text: new, "n_lines": n_lines, "n_removed_lines": n_gone})
