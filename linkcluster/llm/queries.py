@@ -91,18 +91,18 @@ def _share_sql(name: str, source: str, parent: str, child: str) -> str:
 
 def mixing_sql(cfg: mixing.MixConfig = mixing.MixConfig()) -> str:
     num = "regexp_extract(source, '([0-9]+)$', 1)"
-    root = "(floor(sqrt(supply::DOUBLE) * 1000.0) + 1)::BIGINT"
+    weight = lambda level: "(CASE " + " ".join(f"WHEN {level} = '{n}' THEN {w}" for at, n, w in cfg.targets if at == level) + f" ELSE {cfg.other} END)::BIGINT" if any(at == level for at, _, _ in cfg.targets) else f"{cfg.other}::BIGINT"
     return f"""
 WITH d AS (SELECT doc_id, coalesce(CASE WHEN {num} = '' THEN '(none)' ELSE 'domain' || ({num}::BIGINT % 3)::VARCHAR END, '(none)') AS domain,
   coalesce(lang, '(none)') AS lang, coalesce(source, '(none)') AS source, coalesce(len(regexp_extract_all(text, '{mixing.TOKEN_PATTERN}')), 0)::BIGINT AS tokens FROM documents),
 leaves AS (SELECT domain, lang, source, sum(tokens)::BIGINT AS supply FROM d GROUP BY ALL),
 l2 AS (SELECT domain, lang, sum(supply)::BIGINT AS supply FROM leaves GROUP BY ALL),
 l1 AS (SELECT domain, sum(supply)::BIGINT AS supply FROM l2 GROUP BY ALL),
-top0 AS (SELECT domain, {root} AS weight, supply * {cfg.max_epochs} AS cap, floor(((SELECT sum(supply) FROM l1)::BIGINT * {cfg.budget_permille})::DOUBLE / 1000)::BIGINT AS budget FROM l1),
+top0 AS (SELECT domain, {weight("domain")} AS weight, supply * {cfg.max_epochs} AS cap, floor(((SELECT sum(supply) FROM l1)::BIGINT * {cfg.budget_permille})::DOUBLE / 1000)::BIGINT AS budget FROM l1),
 {_share_sql("top", "top0", "", "domain")},
-mid0 AS (SELECT l2.domain, l2.lang, {root.replace("supply", "l2.supply")} AS weight, l2.supply * {cfg.max_epochs} AS cap, top.quota AS budget FROM l2 JOIN top USING (domain)),
+mid0 AS (SELECT l2.domain, l2.lang, {weight("lang")} AS weight, l2.supply * {cfg.max_epochs} AS cap, top.quota AS budget FROM l2 JOIN top USING (domain)),
 {_share_sql("mid", "mid0", "domain", "lang")},
-low0 AS (SELECT leaves.*, {root.replace("supply", "leaves.supply")} AS weight, leaves.supply * {cfg.max_epochs} AS cap, mid.quota AS budget FROM leaves JOIN mid USING (domain, lang)),
+low0 AS (SELECT leaves.*, {weight("source")} AS weight, leaves.supply * {cfg.max_epochs} AS cap, mid.quota AS budget FROM leaves JOIN mid USING (domain, lang)),
 {_share_sql("low", "low0", "domain, lang", "source")},
 plan AS (SELECT domain, lang, source, supply, quota, CASE WHEN supply > 0 THEN quota // supply ELSE 0 END AS whole FROM low),
 r AS (SELECT d.*, quota, whole, quota - whole * supply AS part, md5('{cfg.seed}:' || whole::VARCHAR || ':' || coalesce(doc_id::VARCHAR, '')) AS o FROM d JOIN plan USING (domain, lang, source)),

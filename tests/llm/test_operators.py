@@ -132,6 +132,40 @@ def test_mixing_redistributes_among_siblings_first(spark):
     assert got == {"s1": 10, "s2": 191, "s3": 201}
 
 
+def test_mixing_meets_target_weights(spark):
+    rng = random.Random(9)
+    rows = [(i, words(rng, rng.randint(5, 15)), rng.choice(["en", "de", "xx"]), f"src{rng.randrange(9)}") for i in range(900)]
+    cfg = mixing.MixConfig(budget_permille=300, max_epochs=4)
+    out = mixing.choose(docs(spark, rows), cfg).collect()
+    spent = Counter()
+    for r in out:
+        spent[r.domain] += r.tokens * r.copies
+        spent[r.domain, r.lang] += r.tokens * r.copies
+    total = sum(v for k, v in spent.items() if isinstance(k, str))
+    for name, share in (("domain0", 0.5), ("domain1", 0.3), ("domain2", 0.2)):
+        assert abs(spent[name] / total - share) < 0.05
+        for lang, part in (("en", 4 / 7), ("de", 2 / 7), ("xx", 1 / 7)):
+            assert abs(spent[name, lang] / spent[name] - part) < 0.08
+
+
+def test_mixing_rows_that_repeat_an_id_keep_to_the_budget(spark, monkeypatch):
+    from linkcluster.llm import _frame
+
+    rng = random.Random(14)
+    rows = [(i % 40, words(rng, rng.randint(5, 25)), rng.choice(["en", "de"]), f"src{rng.randrange(3)}") for i in range(200)] + [(500, words(rng, 30000), "en", "src0")]
+    d = docs(spark, rows)
+    for name in ("key__", "copies__", "copy", "order", "domain", "doc__", "part", "rows", "salt__"):
+        d = d.withColumn(name, F.lit("mine"))
+    cfg = mixing.MixConfig(budget_permille=100)
+    want = sum(r.tokens * r.copies for r in mixing.choose(d, cfg).collect())
+    for bound in (_frame.BROADCAST_BYTES, 0):
+        monkeypatch.setattr(_frame, "BROADCAST_BYTES", bound)
+        kept = mixing.mix_documents(d, cfg)
+        assert kept.columns == d.columns
+        got = kept.collect()
+        assert sum(len(r.text.split()) for r in got) == want <= 0.1 * sum(len(r[1].split()) for r in rows) and {r.part for r in got} == {"mine"}
+
+
 # ---- op5 --------------------------------------------------------------------------------------
 
 
@@ -458,6 +492,54 @@ def test_line_dedup_removes_whole_passages_of_short_lines(spark):
     assert out[7].text.count("\n") + 1 in range(9, 19)  # the first passage stays whole
 
 
+def brute_line_dedup(rows, cfg=line_dedup.ChunkConfig()):
+    """Chunks and passages by plain loops; boundaries are taken from the operator's own rule through ``ends``."""
+    places = {}
+    for i, t, starts in rows:
+        lines = t.split("\n")
+        n = [len(re.findall(r"[^\x20\x09-\x0D]+", x)) for x in lines]
+        runs = {(s, e) for s, e in zip(starts, [*starts[1:], len(lines)]) if (e - s >= 2 or n[s] >= cfg.long_words) and sum(n[s:e])}
+        for a in range(len(lines)):
+            for step in (1, -1):
+                total, b = 0, a
+                while n[a] and 0 <= b < len(lines):
+                    total += n[b]
+                    if total >= cfg.long_words:
+                        runs.add((min(a, b), max(a, b) + 1))
+                        break
+                    b += step
+        for s, e in runs:
+            places.setdefault("\n".join(lines[s:e]), []).append((i, s, e))
+    gone = set()
+    for where in places.values():
+        (i0, s0, e0), *rest = sorted(where)
+        gone |= {(i, k) for i, s, e in rest if i != i0 or s >= e0 for k in range(s, e)}
+    return {i: "\n".join(x for k, x in enumerate(t.split("\n")) if (i, k) not in gone) for i, t, _ in rows}
+
+
+def test_line_dedup_matches_brute_force(spark, monkeypatch):
+    from linkcluster.llm import _frame
+
+    rng = random.Random(15)
+    pool = [words(rng, rng.choice([0, 1, 6, 9, 30, 55])) for _ in range(40)]
+    parts = ["\n".join(pool[k : k + rng.randint(2, 9)]) for k in range(0, 36, 4)]
+    rows = [(i, "\n".join([rng.choice([words(rng, 7), rng.choice(pool), ""]) for _ in range(rng.randint(0, 6))] + [rng.choice(parts)] + [words(rng, 4) for _ in range(rng.randint(0, 3))] + [rng.choice(parts)])) for i in range(60)]
+    rows += [(70, ""), (71, "\n"), (72, words(rng, 30000)), (73, "\n".join([parts[0]] * 400))]
+    d = docs(spark, rows)
+    starts = {r.doc_id: [c["first"] for c in r.chunks] for r in line_dedup.with_chunks(d, "text", line_dedup.ChunkConfig()).collect()}
+    want = brute_line_dedup([(i, t, starts[i]) for i, t in rows])
+    for name in ("row__", "gone", "doc__", "lines", "hits", "body", "h", "salt__", "n_lines"):
+        d = d.withColumn(name, F.lit("mine"))
+    for bound, hot in ((_frame.BROADCAST_BYTES, 500), (0, 3)):
+        monkeypatch.setattr(_frame, "BROADCAST_BYTES", bound)
+        monkeypatch.setattr(line_dedup, "HOT_ROWS", hot)
+        out = line_dedup.dedup(d)
+        assert out.columns == [*d.columns, "n_removed_lines"]
+        got = out.collect()
+        assert {r.doc_id: r.text for r in got} == want and {r.gone for r in got} == {"mine"} and {r.doc_id: r.n_lines for r in got} == {i: t.count("\n") + 1 for i, t in rows}
+    assert sum(len(want[i]) < len(t) for i, t in rows) > 30
+
+
 # ---- pipeline ---------------------------------------------------------------------------------
 
 
