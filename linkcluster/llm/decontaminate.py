@@ -4,7 +4,9 @@ Words are runs of letters and digits in lower case; shingles are five words long
 1. Anchors.  A window can only resemble an item if it shares a shingle with one, so the
    shingles of all documents are matched with those of all items.  Each match proposes
    the item-sized window that puts the shared shingle where the item has it (moved
-   inward at the ends of a text).  Matches of one passage agree on one window.
+   inward at the ends of a text).  Matches of one passage agree on one window.  A window at
+   another offset holds its shared shingles shifted, so moving it to the offset on which most of
+   them agree takes shingles out of the overlap only at its ends, and brings as many in.
 2. Search.  Windows and items get 64-bit SimHash fingerprints over their shingles, each
    as often as it occurs.  Fingerprints are cut into blocks; by the pigeonhole principle two
    fingerprints within ``radius`` differ in some block by at most radius // blocks bits.  Items
@@ -15,7 +17,7 @@ Words are runs of letters and digits in lower case; shingles are five words long
 Defined cases: null and empty texts, and texts or items under five words, have no shingle
 and never match; null ids and repeated rows are judged like any other row; an empty table gives
 an empty result; one passage in very many documents is one broadcast or sorted join
-row for each document.
+row for each document; very long texts are searched whole; other columns may have any name.
 """
 
 from __future__ import annotations
@@ -26,7 +28,7 @@ from dataclasses import dataclass
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from linkcluster.llm._frame import cut, small
+from linkcluster.llm._frame import cut, packed, small, unpacked
 
 
 @dataclass(frozen=True)
@@ -122,5 +124,6 @@ def leaks(docs: DataFrame, benchmark: DataFrame, cfg: LeakConfig = LeakConfig(),
 
 def clean_documents(docs: DataFrame, benchmark: DataFrame, cfg: LeakConfig = LeakConfig(), key: str = "doc_id", text: str = "text") -> DataFrame:
     """The documents without a leaked item, with all their columns."""
-    bad = cut(leaks(docs, benchmark, cfg, key, text).select(F.col("row").alias("row__")).distinct())
-    return docs.withColumn("row__", row_key(key, text)).join(small(bad), "row__", "left_anti").select(*docs.columns)
+    bad = cut(leaks(docs, benchmark, cfg, key, text).select("row").distinct())
+    d = packed(docs, row=row_key(key, text))
+    return unpacked(d.join(small(bad), "row", "left_anti"), docs)

@@ -8,7 +8,7 @@ log p_target - log p_raw, so it is length-normalised; it is kept when the score
 
 Defined cases: a null or empty text has no words, fails the base rule and is dropped; with
 no trusted document the ratio is 0 everywhere and only the base rules decide; equal texts
-get equal verdicts.
+get equal verdicts; a very long text is a piece of its own, read whole; other columns may have any name.
 """
 
 from __future__ import annotations
@@ -119,30 +119,31 @@ def log_ratio(counts: DataFrame, cfg: QualityConfig) -> np.ndarray:
     return np.log((target + cfg.smoothing * cfg.buckets * p_raw) / (target.sum() + cfg.smoothing * cfg.buckets)) - np.log(p_raw)
 
 
-def score(docs: DataFrame, ratio: np.ndarray, cfg: QualityConfig = QualityConfig(), key: str = "doc_id", text: str = "text", extra: list[str] | None = None) -> DataFrame:
-    """Measures, score and verdict of every whole text; columns named in ``extra`` pass through."""
+def _verdicts(texts: pa.Array, ratio: np.ndarray, cfg: QualityConfig):
+    """For each piece of the texts (n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words, base_failed, kept, llr)."""
+    for lo, hi in _text.pieces([len(t.as_buffer()) if t.is_valid else 0 for t in texts]):
+        m = measures([t or "" for t in texts.slice(lo, hi - lo).to_pylist()], cfg.buckets)
+        grams = np.bincount(m["gram_owner"], minlength=hi - lo)
+        total = np.bincount(m["gram_owner"], weights=ratio[m["bucket"]], minlength=hi - lo)
+        llr = np.floor(total / np.maximum(grams, 1) * 1e9 + 0.5) / 1e9
+        bad = (m["n_words"] < MIN_WORDS) | (100 * m["n_repeat_words"] > 50 * m["n_words"])
+        yield m["n_words"], m["word_chars"], m["n_symbols"], m["n_dup_lines"], m["n_repeat_words"], bad, ~bad & (llr >= cfg.min_score), llr
+
+
+def score(docs: DataFrame, ratio: np.ndarray, cfg: QualityConfig = QualityConfig(), key: str = "doc_id", text: str = "text") -> DataFrame:
+    """Measures, score and verdict of every whole text."""
     shared = docs.sparkSession.sparkContext.broadcast(ratio)
     kinds = "n_words bigint, word_chars bigint, n_symbols bigint, n_dup_lines bigint, n_repeat_words bigint, base_failed boolean, kept boolean, llr double"
-    extra = extra or []
 
     def run(batches):
         for b in batches:
-            texts, got = b.column(1), []
-            sizes = [len(t.as_buffer()) if t.is_valid else 0 for t in texts]
-            for lo, hi in _text.pieces(sizes):
-                m = measures([t or "" for t in texts.slice(lo, hi - lo).to_pylist()], cfg.buckets)
-                grams = np.bincount(m["gram_owner"], minlength=hi - lo)
-                total = np.bincount(m["gram_owner"], weights=shared.value[m["bucket"]], minlength=hi - lo)
-                llr = np.floor(total / np.maximum(grams, 1) * 1e9 + 0.5) / 1e9
-                bad = (m["n_words"] < MIN_WORDS) | (100 * m["n_repeat_words"] > 50 * m["n_words"])
-                got.append((m["n_words"], m["word_chars"], m["n_symbols"], m["n_dup_lines"], m["n_repeat_words"], bad, ~bad & (llr >= cfg.min_score), llr))
+            got = list(_verdicts(b.column(1), shared.value, cfg))
             cols = [np.concatenate(c) for c in zip(*got)] if got else [np.zeros(0, t) for t in (np.int64,) * 5 + (bool, bool, float)]
             cols = [pa.array(c.astype(np.int64) if c.dtype.kind in "iu" else c) for c in cols]
-            yield pa.RecordBatch.from_arrays([b.column(0), *[b.column(i + 2) for i in range(len(extra))], *cols], [key, *extra, *[k.split()[0] for k in kinds.split(", ")]])
+            yield pa.RecordBatch.from_arrays([b.column(0), *cols], [key, *[k.split()[0] for k in kinds.split(", ")]])
 
-    slim = docs.select(key, text, *extra)
-    have = dict(slim.dtypes)
-    return slim.mapInArrow(run, ", ".join(f"`{c}` {have[c]}" for c in (key, *extra)) + ", " + kinds)
+    slim = docs.select(key, text)
+    return slim.mapInArrow(run, f"`{key}` {dict(slim.dtypes)[key]}, {kinds}")
 
 
 def trusted_rows(labels: DataFrame, key: str = "doc_id") -> DataFrame:
@@ -155,23 +156,15 @@ def judge(docs: DataFrame, labels: DataFrame, cfg: QualityConfig = QualityConfig
     return score(docs, ratio, cfg)
 
 
-def filter_documents(docs: DataFrame, labels: DataFrame, cfg: QualityConfig = QualityConfig()) -> DataFrame:
+def filter_documents(docs: DataFrame, labels: DataFrame, cfg: QualityConfig = QualityConfig(), text: str = "text") -> DataFrame:
     """The documents that are kept, with all their columns, without a join: the text passes through the scorer."""
     ratio = log_ratio(bucket_counts(docs, trusted_rows(labels), cfg), cfg)
     shared = docs.sparkSession.sparkContext.broadcast(ratio)
-    at = docs.columns.index("text")
+    at = docs.columns.index(text)
 
     def run(batches):
         for b in batches:
-            texts, keep = b.column(at), []
-            sizes = [len(t.as_buffer()) if t.is_valid else 0 for t in texts]
-            for lo, hi in _text.pieces(sizes):
-                m = measures([t or "" for t in texts.slice(lo, hi - lo).to_pylist()], cfg.buckets)
-                grams = np.bincount(m["gram_owner"], minlength=hi - lo)
-                total = np.bincount(m["gram_owner"], weights=shared.value[m["bucket"]], minlength=hi - lo)
-                llr = np.floor(total / np.maximum(grams, 1) * 1e9 + 0.5) / 1e9
-                bad = (m["n_words"] < MIN_WORDS) | (100 * m["n_repeat_words"] > 50 * m["n_words"])
-                keep.append(~bad & (llr >= cfg.min_score))
+            keep = [v[6] for v in _verdicts(b.column(at), shared.value, cfg)]
             yield b.filter(pa.array(np.concatenate(keep) if keep else np.zeros(0, bool)))
 
     return docs.mapInArrow(run, docs.schema)

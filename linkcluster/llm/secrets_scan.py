@@ -8,7 +8,8 @@ priming, divided by its own bytes say how much of it the surroundings do not exp
 Words, identifiers and parts that recur nearby are cheap; random keys are not, seen once or again.
 
 Defined cases: a null text is empty; an empty text has no spans and the hash of the empty
-string; repeated rows and ties give repeated results; other columns are not touched.
+string; repeated rows and ties give repeated results; very long texts are scanned whole, each candidate
+against its own surroundings; other columns, whatever their names, are not read.
 """
 
 from __future__ import annotations
@@ -27,8 +28,12 @@ ACCESS = re.compile(r"AKIA[A-Z0-9]+")
 HEX = re.compile(r"[0-9a-f]+")
 LONG_HEX = re.compile(r"[0-9a-f]{24,}")
 KINDS = ("assign", "access", "hex", "novel")
-#: Words that make a context sensitive.
-SENSITIVE = re.compile(r"pass(?:word|wd|phrase)|pwd|secret|token|api[_-]?key|access[_-]?key|private|credential|auth|bearer|signature|session|cookie|cert|license[_-]?key|\bkey\b", re.IGNORECASE | re.ASCII)
+#: Words that make a context sensitive, whole or as a part of an identifier (authToken, auth_token; not author).
+SENSITIVE = re.compile(
+    r"(?:(?<![A-Za-z])|(?<=[a-z0-9])(?=[A-Z]))(?i:pass(?:word|wd|phrase)|pwd|secret|token|api[_-]?key|access[_-]?key|private|credential|auth(?:orization|entication)?|bearer|signature|session|cookie|cert(?:ificate)?|license[_-]?key|key)(?i:s?)"
+    r"(?:(?![A-Za-z])|(?=[A-Z][a-z]))",
+    re.ASCII,
+)
 #: Identifiers that code uses often; what they explain is not novel.
 IDENTIFIERS = (
     "abstract assert async await boolean break callback class client component config connection const constructor container content continue "
@@ -60,11 +65,16 @@ class NoveltyScan:
         return max(0, len(z.compress(raw)) - len(z.compress(b""))), len(raw)
 
     def novel(self, text: str, taken: list[tuple[int, int]]) -> list[tuple[int, int, float]]:
-        out = []
+        out, taken, at = [], sorted(taken), 0
+        ends = [0]
+        for _, b in taken:  # spans of several kinds may overlap: the furthest end so far
+            ends.append(max(ends[-1], b))
         for m in re.finditer(r"[A-Za-z0-9+/_=-]{%d,}" % self.min_chars, text):
             s, e = m.span()
             word = m.group()
-            if any(a < e and s < b for a, b in taken):
+            while at < len(taken) and taken[at][0] < e:
+                at += 1
+            if ends[at] > s:
                 continue
             if not SENSITIVE.search(text, max(0, s - self.before), s):
                 continue
