@@ -43,15 +43,35 @@ def small(df: DataFrame) -> DataFrame:
     return F.broadcast(df) if fits(df) else df
 
 
-def join_hot(rows: DataFrame, table: DataFrame, on: list[str], heavy: Column, spread: str, how: str = "inner") -> DataFrame:
+#: Words of 64 bits in the mask of ``flags``: at most 16 MB as rows, whatever the corpus.
+FLAG_WORDS = 1 << 20
+
+
+def flags(keys: DataFrame, key: str) -> DataFrame:
+    """(word__, bits__): a bit for each 64-bit hash in column ``key``, as a mask of bounded size.
+
+    Rows whose bit is not set have no such key; the few others that share a bit must still be joined.
+    """
+    word, bit = F.pmod(F.shiftright(key, 6), F.lit(FLAG_WORDS)).cast("int"), F.expr(f"shiftleft(1L, cast({key} & 63 AS int))")
+    return cut(keys.groupBy(word.alias("word__")).agg(F.bit_or(bit).alias("bits__")))
+
+
+def flagged(rows: DataFrame, key: str, mask: DataFrame) -> DataFrame:
+    """``rows`` with the boolean ``maybe__``: whether the bit of their key is set."""
+    out = rows.withColumn("word__", F.pmod(F.shiftright(key, 6), F.lit(FLAG_WORDS)).cast("int")).join(F.broadcast(mask), "word__", "left")
+    return out.withColumn("maybe__", F.coalesce(F.expr(f"(shiftrightunsigned(bits__, cast({key} & 63 AS int)) & 1) = 1"), F.lit(False))).drop("word__", "bits__")
+
+
+def join_hot(rows: DataFrame, table: DataFrame, on: list[str], heavy: Column, spread: str, how: str = "inner", may_broadcast: bool = True) -> DataFrame:
     """``rows`` joined to the materialised ``table`` of one row for each key.
 
     ``heavy`` marks the keys of the table that many rows may carry.  A table that fits is broadcast. Else
     the heavy keys get ``SALTS`` salted copies, and rows of such a key, or with a null key, are dealt
     out by the hash of ``spread``.  Should even the list of heavy keys be too long to broadcast,
-    all rows are salted.
+    all rows are salted.  ``may_broadcast=False`` is for tables that grow with the corpus, so that the
+    plan is the same at every size.
     """
-    if fits(table):
+    if may_broadcast and fits(table):
         return rows.join(F.broadcast(table), on, how)
     hot = cut(table.where(heavy).select(*on))
     many = F.pmod(F.xxhash64(spread), F.lit(SALTS)).cast("int")

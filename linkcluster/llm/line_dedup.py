@@ -24,7 +24,7 @@ from dataclasses import dataclass
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from linkcluster.llm._frame import HOT_ROWS, cut, join_hot, packed, unpacked
+from linkcluster.llm._frame import HOT_ROWS, cut, flagged, flags, join_hot, packed, unpacked
 
 
 @dataclass(frozen=True)
@@ -89,23 +89,27 @@ def removals(docs: DataFrame, cfg: ChunkConfig = ChunkConfig(), key: str = "doc_
     groups = chunks.groupBy("h", "g").agg(F.count(F.lit(1)).alias("times"), F.min(F.struct("id", "row", "first")).alias("kept"))
     twice = cut(groups.where("times > 1").select("h", "g", "times", "kept"))
     often = F.col("times") > HOT_ROWS
-    hits = join_hot(chunks, twice, ["h", "g"], often, "row")
+    hits = join_hot(chunks, twice, ["h", "g"], often, "row", may_broadcast=False)
     one = F.struct("first", "n", "h", "g", "times", "kept", F.struct("id", "row", "first").eqNullSafe(F.col("kept")).alias("is_kept"))
     # rows alike in id and text share a key and their hits
     hits = cut(hits.groupBy("row").agg(F.collect_set(one).alias("hits"), F.count(F.lit(1)).alias("rows")).withColumn("copies", F.col("rows") / F.size("hits")))
-    lines = docs.where(F.col(text).isNotNull()).select(row_key(key, text).alias("row"), F.split(F.col(text), "\n", -1).alias("lines"))
-    found = join_hot(lines, hits, ["row"], F.col("copies") > HOT_ROWS, "lines")
+    # only texts with hits travel
+    texts = flagged(docs.where(F.col(text).isNotNull()).select(row_key(key, text).alias("row"), F.col(text).alias("text")), "row", flags(hits, "row")).where("maybe__")
+    found = join_hot(texts, hits, ["row"], F.col("copies") > HOT_ROWS, "text", may_broadcast=False).withColumn("lines", F.split("text", "\n", -1))
     seen = cut(found.select("row", "copies", F.explode(F.expr("transform(hits, c -> struct(c.*, array_join(slice(lines, c.first + 1, c.n), '\n') AS chunk))".replace("c.*", ", ".join(f"c.{x} AS {x}" for x in ("first", "n", "h", "g", "times", "kept", "is_kept"))))).alias("c")).select("row", "copies", "c.*"))
     model = cut(seen.where("is_kept").groupBy("h", "g").agg(F.first("chunk").alias("model"), F.first("times").alias("times")))
     apart = (F.col("row") != F.col("kept.row")) | (F.col("first") >= F.col("kept.first") + F.col("n"))
-    same = join_hot(seen.where(~F.col("is_kept") & apart).drop("times"), model, ["h", "g"], often, "row").where("chunk = model")
+    same = join_hot(seen.where(~F.col("is_kept") & apart).drop("times"), model, ["h", "g"], often, "row", may_broadcast=False).where("chunk = model")
     return same.groupBy("row").agg(F.collect_set(F.struct("first", "n")).alias("gone"), F.max("copies").alias("copies"))
 
 
 def dedup(docs: DataFrame, cfg: ChunkConfig = ChunkConfig(), key: str = "doc_id", text: str = "text") -> DataFrame:
     """All columns of ``docs``; the text without repeated chunks, and ``n_lines``, ``n_removed_lines``."""
     gone = cut(removals(docs, cfg, key, text))
-    d = join_hot(packed(docs, row=row_key(key, text), body=F.col(text)), gone, ["row"], F.col("copies") > HOT_ROWS, "body", "left")
+    d = flagged(packed(docs, row=row_key(key, text), body=F.col(text)), "row", flags(gone, "row"))
+    # texts that lose nothing stay where they are
+    rest = d.where(~F.col("maybe__")).select("doc__", "body", F.lit(None).cast(gone.schema["gone"].dataType).alias("gone"))
+    d = join_hot(d.where("maybe__"), gone, ["row"], F.col("copies") > HOT_ROWS, "body", "left", may_broadcast=False).select("doc__", "body", "gone").unionByName(rest)
     lines = F.split("body", "\n", -1)
     out = F.array_distinct(F.flatten(F.transform("gone", lambda g: F.sequence(g["first"], g["first"] + g["n"] - 1))))
     n_lines = F.coalesce(F.when(F.col("body").isNotNull(), F.size(lines)), F.lit(0)).cast("bigint")
