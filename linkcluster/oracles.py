@@ -54,8 +54,8 @@ def _best(mode: str) -> str:
 
 
 #: Components as transitive closure towards smaller ids.
-def _components(links: str) -> str:
-    return f"e AS (SELECT src AS a, dst AS b FROM ({links}) UNION SELECT dst, src FROM ({links})), c(id, cid) AS (SELECT id, id FROM v UNION SELECT e.b, c.cid FROM c JOIN e ON c.id = e.a), comp AS (SELECT id, min(cid) AS cid FROM c GROUP BY id)"
+def _components(links: str, p: str = "") -> str:
+    return f"{p}e AS (SELECT src AS a, dst AS b FROM ({links}) UNION SELECT dst, src FROM ({links})), {p}c(id, cid) AS (SELECT id, id FROM v UNION SELECT {p}e.b, {p}c.cid FROM {p}c JOIN {p}e ON {p}c.id = {p}e.a), {p}comp AS (SELECT id, min(cid) AS cid FROM {p}c GROUP BY id)"
 
 
 COMPONENTS = f"WITH RECURSIVE {V}, {GOLD}, {CURATED}, {_components('SELECT src, dst FROM curated')}"
@@ -81,27 +81,135 @@ REFINED = (
     "WHERE NOT list_contains(gone, i) AND NOT list_contains(gone, j) GROUP BY rf.n, rf.cid, rf.gone, en.i)) GROUP BY n, cid, gone HAVING min(avg_g) < 0.7::DOUBLE * 1e9::DOUBLE), "
     "out_ AS (SELECT DISTINCT unnest(gone) AS id FROM rf), rfd AS (SELECT grp.id, CASE WHEN out_.id IS NOT NULL THEN grp.id ELSE min(CASE WHEN out_.id IS NULL THEN grp.id END) OVER (PARTITION BY cid) END AS cid FROM grp LEFT JOIN out_ USING (id))"
 )
-FREQ = (
-    "lab AS (SELECT rfd.cid, rfd.id, label, types, source, count(*) OVER (PARTITION BY rfd.cid, label) AS often FROM rfd JOIN v USING (id)), "
-    "tys AS (SELECT cid, string_agg(t, '|' ORDER BY t) AS types FROM (SELECT DISTINCT cid, unnest(string_split(types, '|')) AS t FROM lab WHERE types <> '') GROUP BY cid), "
-)
+def _reps(order: str, place: str | None = None, base: str = "rfd", p: str = "", extra: str = "") -> str:
+    """Representatives of ``base``: the label by ``order``, the position by ``place`` (``mean``: of all), both over members."""
+    spot = lambda c: f"avg({c})" if place == "mean" else f"first({c} ORDER BY lat IS NULL, {place or order})"
+    return (
+        f"{p}lab AS (SELECT {base}.cid, {base}.id, label, types, source, lat, lon, count(*) OVER (PARTITION BY {base}.cid, label) AS often {extra} FROM {base} JOIN v USING (id)), "
+        f"{p}tys AS (SELECT cid, string_agg(t, '|' ORDER BY t) AS types FROM (SELECT DISTINCT cid, unnest(string_split(types, '|')) AS t FROM {p}lab WHERE types <> '') GROUP BY cid), "
+        f"{p}srcs AS (SELECT cid, string_agg(source, '|' ORDER BY source) AS sources FROM (SELECT DISTINCT cid, source FROM {p}lab) GROUP BY cid), "
+        f"{p}rep AS (SELECT lab.cid, first(label ORDER BY {order}) AS label, any_value(coalesce(tys.types, '')) AS types, any_value(srcs.sources) AS sources, "
+        f"string_agg(id::VARCHAR, '|' ORDER BY id) AS members, count(*)::INT AS n, {spot('lat')} AS lat, {spot('lon')} AS lon FROM {p}lab lab LEFT JOIN {p}tys tys ON lab.cid = tys.cid JOIN {p}srcs srcs ON lab.cid = srcs.cid GROUP BY lab.cid)"
+    )
+
+
+BY_FREQ = "often DESC, length(label) DESC, id"
+REP_FREQ = _reps(BY_FREQ)
+
+
+def _flat(p: str = "") -> str:
+    return f"SELECT cid, label, types, sources, members, n, {r6('lat')} AS lat, {r6('lon')} AS lon FROM {p}rep"
+
 
+FLAT = _flat()
 
-def _reps(order: str) -> str:
+
+def label_geo(a: str, b: str) -> str:
+    """Mean of label and position similarity; without a position on either side that of the labels."""
+    geo = GEOSIM
+    for x, y in (("lat1", f"{a}.lat"), ("lon1", f"{a}.lon"), ("lat2", f"{b}.lat"), ("lon2", f"{b}.lon")):
+        geo = geo.replace(x, y)
+    jw = f"jaro_winkler_similarity({a}.label, {b}.label)"
+    return f"(CASE WHEN {a}.lat IS NOT NULL AND {b}.lat IS NOT NULL THEN 0.5::DOUBLE * {jw} + 0.5::DOUBLE * coalesce({geo}, 0::DOUBLE) ELSE {jw} END)"
+
+
+def _candidates(sim: str, theta: float, block: str, meet: str) -> str:
+    """Compatible pairs of representatives a and b that ``meet``, of that similarity at least."""
+    over = "list_has_any(string_split({0}, '|'), string_split({1}, '|'))"
     return (
-        f"{FREQ} rep AS (SELECT lab.cid, first(label ORDER BY {order}) AS label, any_value(coalesce(tys.types, '')) AS types, "
-        "(SELECT string_agg(s, '|' ORDER BY s) FROM (SELECT DISTINCT source AS s FROM lab l2 WHERE l2.cid = lab.cid)) AS sources, string_agg(id::VARCHAR, '|' ORDER BY id) AS members, count(*)::INT AS n FROM lab LEFT JOIN tys ON lab.cid = tys.cid GROUP BY lab.cid)"
+        f"cand AS MATERIALIZED (SELECT {block} AS block, a.cid AS l, b.cid AS r, {g9(sim)} AS g FROM rep a JOIN rep b ON {meet} AND a.cid < b.cid "
+        f"AND (a.types = '' OR b.types = '' OR {over.format('a.types', 'b.types')}) AND NOT {over.format('a.sources', 'b.sources')} "
+        f"AND len(string_split(a.sources, '|')) + len(string_split(b.sources, '|')) <= 4 AND a.n + b.n <= 4 WHERE {g9(sim)} >= {int(theta * 1e9)})"
     )
 
 
-REP_FREQ = _reps("often DESC, length(label) DESC, id")
-FLAT = "SELECT cid, label, types, sources, members, n FROM rep"
-CANDIDATES = (
-    f"cand AS (SELECT * FROM (SELECT block, l, r, {LEV} AS sim, tx, ty, sx, sy, nx, ny FROM (SELECT substr(a.label, 1, 3) AS block, a.cid AS l, b.cid AS r, a.label AS x, b.label AS y, a.types AS tx, b.types AS ty, a.sources AS sx, b.sources AS sy, a.n AS nx, b.n AS ny "
-    "FROM rep a JOIN rep b ON substr(a.label, 1, 3) = substr(b.label, 1, 3) AND a.cid < b.cid)) "
-    "WHERE (tx = '' OR ty = '' OR list_has_any(string_split(tx, '|'), string_split(ty, '|'))) AND NOT list_has_any(string_split(sx, '|'), string_split(sy, '|')) "
-    "AND len(string_split(sx, '|')) + len(string_split(sy, '|')) <= 4 AND nx + ny <= 4 AND floor(sim * 1e9::DOUBLE + 0.5) / 1e9::DOUBLE >= 0.7::DOUBLE)"
+LEV_REPS = LEV.replace("(x", "(a.label").replace(" x", " a.label").replace("y)", "b.label)").replace(" y", " b.label")
+SAME_BLOCK = "substr(a.label, 1, 3) = substr(b.label, 1, 3)"
+#: Triplets of a block in their order; each joins its two clusters if these are still compatible.
+MERGED = (
+    "ranked AS MATERIALIZED (SELECT block, l, r, row_number() OVER (PARTITION BY block ORDER BY g DESC, l, r) AS i FROM cand), "
+    "mg(block, i, st) AS (SELECT block, 0::BIGINT, list({'root': cid, 'm': [cid], 's': string_split(sources, '|'), 'n': n}) FROM (SELECT block, l AS cid FROM cand UNION SELECT block, r FROM cand) JOIN rep USING (cid) GROUP BY block "
+    "UNION ALL SELECT block, i + 1, CASE WHEN a.root <> b.root AND NOT list_has_any(a.s, b.s) AND len(a.s) + len(b.s) <= 4 AND a.n + b.n <= 4 "
+    "THEN list_append(list_filter(st, lambda x: x.root <> a.root AND x.root <> b.root), {'root': least(a.root, b.root), 'm': list_concat(a.m, b.m), 's': list_concat(a.s, b.s), 'n': a.n + b.n}) ELSE st END "
+    "FROM (SELECT mg.block, mg.i, st, list_filter(st, lambda x: list_contains(x.m, k.l))[1] AS a, list_filter(st, lambda x: list_contains(x.m, k.r))[1] AS b FROM mg JOIN ranked k ON k.block = mg.block AND k.i = mg.i + 1)), "
+    "mv AS (SELECT unnest(c.m) AS cid, c.root AS root FROM (SELECT unnest(st) AS c FROM (SELECT block, arg_max(st, i) AS st FROM mg GROUP BY block))), "
+    "fin AS (SELECT id, coalesce(root, rfd.cid) AS cid FROM rfd LEFT JOIN mv ON rfd.cid = mv.cid)"
+)
+#: All members under the bound at once.
+BULK = (
+    "low AS (SELECT i AS id FROM (SELECT cid, i, sum(g)::DOUBLE / count(*) AS avg_g FROM en GROUP BY cid, i) WHERE avg_g < 0.7::DOUBLE * 1e9::DOUBLE), "
+    "rfd AS (SELECT grp.id, CASE WHEN low.id IS NOT NULL THEN grp.id ELSE min(CASE WHEN low.id IS NULL THEN grp.id END) OVER (PARTITION BY cid) END AS cid FROM grp LEFT JOIN low ON grp.id = low.id)"
 )
+EDGES = "ed AS (SELECT a.cid, src, dst, g FROM sc JOIN grp a ON a.id = src JOIN grp b ON b.id = dst WHERE a.cid = b.cid), en AS MATERIALIZED (SELECT cid, src AS i, dst AS j, g FROM ed UNION ALL SELECT cid, dst, src, g FROM ed)"
+
+
+def _workflow(links: str, types: bool = True, refine: bool = True, merge: bool = True, blocking: bool = True) -> str:
+    """The whole workflow on the pairs of ``links`` as table expressions, up to ``fin`` (id, cid)."""
+    scored = f"e1 AS MATERIALIZED (SELECT src, dst, a.source AS s1, b.source AS s2, {g9(label_geo('a', 'b'))} AS g FROM ({links}) JOIN v a ON a.id = src JOIN v b ON b.id = dst WHERE a.source <> b.source)"
+    best = "e2 AS MATERIALIZED (SELECT src, dst FROM e1 QUALIFY row_number() OVER (PARTITION BY src, s2 ORDER BY g DESC, dst) = 1 AND row_number() OVER (PARTITION BY dst, s1 ORDER BY g DESC, src) = 1)"
+    pairs = f"sc AS MATERIALIZED (SELECT pr.cid, src, dst, {g9(label_geo('a', 'b'))} AS g FROM pr JOIN v a ON a.id = src JOIN v b ON b.id = dst)"
+    parts = [scored, best, _components("SELECT src, dst FROM e2"), PAIRS, pairs, GROUPS if types else "grp AS (SELECT id, cid FROM comp)", EDGES, REFINED if refine else "rfd AS (SELECT id, cid FROM grp)"]
+    if merge:
+        meet = SAME_BLOCK if blocking else "true"
+        parts += [REP_FREQ, _candidates(label_geo("a", "b"), 0.8, "substr(a.label, 1, 3)" if blocking else "''", meet), MERGED]
+    else:
+        parts.append("fin AS (SELECT id, cid FROM rfd)")
+    return ", ".join(parts)
+
+
+def _cluster_counts(assign: str) -> str:
+    """(n_true, n_pred, n_gold) of a clustering against the gold clusters, from overlap counts."""
+    pairs = "coalesce(sum(c * (c - 1) // 2), 0)::BIGINT"
+    return (
+        f"SELECT (SELECT {pairs} FROM (SELECT count(*) AS c FROM {assign} a JOIN v ON a.id = v.id GROUP BY a.cid, v.gold)) AS n_true, (SELECT {pairs} FROM (SELECT count(*) AS c FROM {assign} GROUP BY cid)) AS n_pred, "
+        f"(SELECT {pairs} FROM (SELECT count(*) AS c FROM v GROUP BY gold)) AS n_gold"
+    )
+
+
+def _link_counts(links: str) -> str:
+    return f"SELECT (SELECT count(*) FROM {links} JOIN gold USING (src, dst)) AS n_true, (SELECT count(*) FROM {links}) AS n_pred, (SELECT count(*) FROM gold) AS n_gold"
+
+
+def _rows(**counts: str) -> str:
+    """One row of scores for each method."""
+    return " UNION ALL ".join(f"SELECT '{m}' AS method, * FROM ({SCORES} FROM ({c}))" for m, c in counts.items())
+
+
+def _star(p: str, order: str) -> str:
+    """Greedy cover of each component of ``links`` (src, dst, sim), vertices in the order of their rank: ``{p}star`` (center, id)."""
+    rank = "count(*)::DOUBLE" if order == "degree" else f"sum({g9('sim')})::DOUBLE / count(*)"
+    return (
+        f"{p}nb AS MATERIALIZED (SELECT u, list(w) AS near, {rank} AS rank FROM (SELECT src AS u, dst AS w, sim FROM links UNION ALL SELECT dst, src, sim FROM links) GROUP BY u), "
+        f"{p}ord AS MATERIALIZED (SELECT cid, u, near, row_number() OVER (PARTITION BY cid ORDER BY rank DESC, u) AS i FROM {p}nb JOIN kcomp ON kcomp.id = u), "
+        f"{p}cov(cid, i, covered, centers) AS (SELECT DISTINCT cid, 0::BIGINT, []::BIGINT[], []::BIGINT[] FROM {p}ord UNION ALL SELECT o.cid, o.i, CASE WHEN list_contains(covered, u) THEN covered ELSE list_append(list_concat(covered, near), u) END, "
+        f"CASE WHEN list_contains(covered, u) THEN centers ELSE list_append(centers, u) END FROM {p}cov c JOIN {p}ord o ON o.cid = c.cid AND o.i = c.i + 1), "
+        f"{p}cen AS (SELECT unnest(centers) AS center FROM (SELECT arg_max(centers, i) AS centers FROM {p}cov GROUP BY cid)), "
+        f"{p}star AS (SELECT center, unnest(list_append(near, center)) AS id FROM {p}cen JOIN {p}nb ON u = center UNION ALL SELECT id, id FROM v WHERE id NOT IN (SELECT u FROM {p}nb)), "
+        f"{p}pairs AS (SELECT DISTINCT a.id AS src, b.id AS dst FROM {p}star a JOIN {p}star b ON a.center = b.center AND a.id < b.id)"
+    )
+
+
+def _found(config: str) -> str:
+    """Entities, gold links, the links of a configuration, their components and both stars."""
+    return f"{_exhaustive(config).replace('WITH ', 'WITH RECURSIVE ', 1).replace('links AS (', 'links AS MATERIALIZED (')}, {GOLD}, {_components('SELECT src, dst FROM links', 'k')}, {_star('s1', 'degree')}, {_star('s2', 'mean_similarity')}"
+
+
+def _compare(config: str) -> str:
+    rows = _rows(input=_link_counts("links"), star1=_link_counts("s1pairs"), star2=_link_counts("s2pairs"), components=_cluster_counts("kcomp"), workflow=_cluster_counts("fin"))
+    return f"{_found(config)}, {_workflow('SELECT src, dst FROM links')} {rows}"
+
+
+CURATED_RUN = f"WITH RECURSIVE {V}, {GOLD}, {CURATED}"
+
+
+def _curated(**flags) -> str:
+    return f"{CURATED_RUN}, {_workflow('SELECT src, dst FROM curated', **flags)}"
+
+
+CANDIDATES = _candidates(LEV_REPS, 0.7, "substr(a.label, 1, 3)", SAME_BLOCK)
+MEDOID = f"ins AS (SELECT a.cid, src, dst, g FROM ed JOIN rfd a ON a.id = src JOIN rfd b ON b.id = dst WHERE a.cid = b.cid), asim AS (SELECT id, sum(g)::DOUBLE / count(*) / 1e9::DOUBLE AS asim FROM (SELECT src AS id, g FROM ins UNION ALL SELECT dst, g FROM ins) GROUP BY id), {_reps('coalesce((SELECT asim FROM asim WHERE asim.id = lab.id), -1.0) DESC, id')}"
+KEYS = _candidates(LEV_REPS, 0.7, "''", f"({SAME_BLOCK} OR right(a.label, 3) = right(b.label, 3))")
+CAND_ROWS = f"SELECT block, l, r, {r6('g / 1e9::DOUBLE')} AS sim FROM cand"
 
 
 def _music(name: str) -> str:
@@ -165,12 +273,29 @@ def oracle_sql() -> dict[str, str]:
         "refine_rounds": f"{DECOMPOSED}, {REFINED} SELECT id, cid FROM rfd",
         "representatives": f"{DECOMPOSED}, {REFINED}, {REP_FREQ} {FLAT}",
         "representatives_source_priority": f"{DECOMPOSED}, {REFINED}, {_reps('source, id')} {FLAT}",
-        "representatives_longest": f"{DECOMPOSED}, {REFINED}, {_reps('length(label) DESC, id')} {FLAT}",
+        "representatives_longest": f"{DECOMPOSED}, {REFINED}, {_reps('length(label) DESC, id', 'mean')} {FLAT}",
         "blocking_cost": f"WITH {V} {' UNION ALL '.join(cost(n) for n in (1, 2, 3, 4))}",
         "block_balance": f"WITH {V}, s AS (SELECT substr(label, 1, 2) AS block, count(*) AS b FROM v GROUP BY 1) SELECT block, b, b * (b - 1) // 2 AS pairs, coalesce(sum(b * (b - 1) // 2) OVER (ORDER BY b * (b - 1) // 2 DESC, block ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0)::BIGINT AS pairs_before FROM s",
         "pair_completeness": f"{gold} SELECT sum((substr(x, 1, 3) = substr(y, 1, 3))::INT)::BIGINT AS met, count(*) AS wanted FROM gold",
-        "merge_candidates": f"{DECOMPOSED}, {REFINED}, {REP_FREQ}, {CANDIDATES} SELECT block, l, r, {r6('sim')} AS sim FROM cand",
-        "merge_candidates_tiled": f"{DECOMPOSED}, {REFINED}, {REP_FREQ}, {CANDIDATES} SELECT block, l, r, {r6('sim')} AS sim FROM cand",
+        "merge_candidates": f"{DECOMPOSED}, {REFINED}, {REP_FREQ}, {CANDIDATES} {CAND_ROWS}",
+        "merge_candidates_tiled": f"{DECOMPOSED}, {REFINED}, {REP_FREQ}, {CANDIDATES} {CAND_ROWS}",
+        "merge_candidates_keys": f"{DECOMPOSED}, {REFINED}, {REP_FREQ}, {KEYS} SELECT l, r, {r6('g / 1e9::DOUBLE')} AS sim FROM cand",
+        **{f"merge_{m}": f"{DECOMPOSED}, {REFINED}, {REP_FREQ}, {CANDIDATES}, {MERGED} SELECT id, cid FROM fin" for m in ("block_best", "dominant", "auto", "grouped")},
+        "refine_bulk": f"{DECOMPOSED}, {BULK} SELECT id, cid FROM rfd",
+        "refine_max_rounds": f"{DECOMPOSED}, {REFINED.replace('FROM rf JOIN en ON rf.cid = en.cid ', 'FROM rf JOIN en ON rf.cid = en.cid AND rf.n < 1 ')} SELECT id, cid FROM rfd",
+        "representatives_medoid": f"{DECOMPOSED}, {REFINED}, {MEDOID} {FLAT}",
+        "workflow_geo": f"{_curated()}, {_reps(BY_FREQ, base='fin', p='f')} {_flat('f')}",
+        "quality_curated": f"{_curated()} {_rows(input=_link_counts('curated'), workflow=_cluster_counts('fin'))}",
+        "ablation_no_types": f"{_curated(types=False)} {SCORES} FROM ({_cluster_counts('fin')})",
+        "ablation_no_refinement": f"{_curated(refine=False)} {SCORES} FROM ({_cluster_counts('fin')})",
+        "ablation_no_merge": f"{_curated(merge=False)} {SCORES} FROM ({_cluster_counts('fin')})",
+        "ablation_no_blocking": f"{_curated(blocking=False)} {SCORES} FROM ({_cluster_counts('fin')})",
+        "link_delta": f"{_curated()}, pred AS (SELECT a.id AS src, b.id AS dst FROM fin a JOIN fin b ON a.cid = b.cid AND a.id < b.id), d AS (SELECT i, p, g FROM (SELECT src, dst, 1 AS i FROM curated) FULL JOIN (SELECT src, dst, 1 AS p FROM pred) USING (src, dst) FULL JOIN (SELECT src, dst, 1 AS g FROM gold) USING (src, dst)) SELECT count(*) FILTER (WHERE i IS NULL AND p = 1 AND g = 1) AS new_correct, count(*) FILTER (WHERE i = 1 AND p IS NULL AND g IS NULL) AS wrong_removed, count(*) FILTER (WHERE i = 1 AND p IS NULL AND g = 1) AS correct_lost, count(*) FILTER (WHERE i IS NULL AND p = 1 AND g IS NULL) AS new_wrong FROM d",
+        "star1": f"{_found('config3')} SELECT center, id FROM s1star",
+        "star2": f"{_found('config3')} SELECT center, id FROM s2star",
+        **{f"best_star{x}": f"{_found(f'config{c}')}, q AS ({_rows(star1=_link_counts('s1pairs'), star2=_link_counts('s2pairs'))}) SELECT arg_max(method, row(f1, method)) AS method, max(f1) AS f1 FROM q" for c, x in ((1, "_config1"), (2, "_config2"), (3, ""))},
+        **{f"quality_config{c}": _compare(f"config{c}") for c in (1, 2, 3)},
+        "workflow_geo_large": f"{_exhaustive('config1').replace('WITH ', 'WITH RECURSIVE ', 1).replace('links AS (SELECT src, dst, ', 'links AS MATERIALIZED (SELECT src, dst, ')}, {GOLD}, l3 AS MATERIALIZED (SELECT src, dst FROM p WHERE ({JW} + {GEOSIM}) / 2 >= 0.9::DOUBLE), {_workflow('SELECT src, dst FROM links UNION SELECT src, dst FROM l3')}, {_reps(BY_FREQ, base='fin', p='f')} {_flat('f')}",
         "quality_input_config1": _input_quality("config1"),
         "quality_input_config2": _input_quality("config2"),
         "quality_input_config3": _input_quality("config3"),
@@ -181,7 +306,7 @@ def oracle_sql() -> dict[str, str]:
         "documents_near_copies": (
             "WITH w AS (SELECT doc_id, source, string_split(trim(regexp_replace(lower(text), '[^\\p{L}\\p{N}]+', ' ', 'g')), ' ') AS w FROM documents WHERE text IS NOT NULL), "
             "g AS (SELECT doc_id, source, unnest(list_distinct(list_transform(generate_series(1, len(w) - 2), lambda i: w[i] || ' ' || w[i + 1] || ' ' || w[i + 2]))) AS g FROM w WHERE len(w) >= 3), "
-            "s AS (SELECT doc_id, count(*) AS n FROM g GROUP BY 1), k AS (SELECT * FROM g WHERE g IN (SELECT g FROM g GROUP BY g HAVING count(*) BETWEEN 2 AND 50)), "
+            "s AS (SELECT doc_id, count(*) AS n FROM g GROUP BY 1), k AS (SELECT * FROM g WHERE g IN (SELECT g FROM g GROUP BY g HAVING count(*) > 1)), "
             "p AS (SELECT a.doc_id AS src, b.doc_id AS dst, count(*) AS c FROM k a JOIN k b ON a.g = b.g AND a.doc_id < b.doc_id AND a.source <> b.source GROUP BY 1, 2), "
             "q AS (SELECT src, dst, c::DOUBLE / (x.n + y.n - c) AS sim FROM p JOIN s x ON x.doc_id = src JOIN s y ON y.doc_id = dst) "
             f"SELECT src, dst, {r6('sim')} AS sim FROM q WHERE sim >= 0.3"
@@ -193,7 +318,7 @@ def oracle_sql() -> dict[str, str]:
             f"SELECT doc_id, item_id, {r6('c::DOUBLE / n')} AS sim FROM h JOIN s ON s.id = item_id WHERE 10 * c >= 8 * n"
         ),
         "embedding_links": (
-            "WITH p AS (SELECT a.vec_id AS src, b.vec_id AS dst, list_cosine_similarity(a.embedding::DOUBLE[], b.embedding::DOUBLE[]) AS sim FROM embeddings a JOIN embeddings b ON a.label = b.label AND a.vec_id <> b.vec_id WHERE a.vec_id % 20 = 0) "
+            "WITH p AS (SELECT a.vec_id AS src, b.vec_id AS dst, list_cosine_similarity(a.embedding::DOUBLE[], b.embedding::DOUBLE[]) AS sim FROM embeddings a JOIN embeddings b ON a.vec_id <> b.vec_id WHERE a.vec_id % 20 = 0) "
             f"SELECT src, first(dst ORDER BY {g9('sim')} DESC, dst) AS dst, {r6('max(sim)', 4)} AS sim FROM p GROUP BY src"
         ),
         "page_entities": "SELECT regexp_extract(url, '://([^/]+)', 1) AS source, count(*) AS n, min(regexp_extract(html, '<title>([^<]*)</title>', 1)) AS first_label FROM pages GROUP BY 1",

@@ -45,6 +45,8 @@ class ClusterConfig:
     theta_refine: float = 0.7
     theta_merge: float = 0.8
     block_prefix: int = 3
+    #: SQL expressions over a representative's columns whose values are the blocking keys; none: the first letters of the label.
+    block_on: tuple[str, ...] = ()
     max_rounds: int | None = None
     label_policy: str = "frequent_longest"
     geo_policy: str = "of_label_owner"

@@ -51,7 +51,11 @@ def decompose(assign: DataFrame, g: LinkGraph, cfg: ClusterConfig) -> tuple[Data
 
 
 def blocked(reps: DataFrame, cfg: ClusterConfig) -> DataFrame:
-    return blocking.prefix(reps, cfg.block_prefix) if cfg.use_blocking else blocking.none(reps)
+    if not cfg.use_blocking:
+        return blocking.none(reps)
+    if len(cfg.block_on) > 1 and cfg.merge_strategy in ("block_best", "grouped"):
+        raise ValueError("with several keys a cluster is in several blocks: use the strategies auto or dominant")
+    return blocking.keys(reps, [F.expr(e) for e in cfg.block_on]) if cfg.block_on else blocking.prefix(reps, cfg.block_prefix)
 
 
 def cluster(vertices: DataFrame, links: DataFrame, cfg: ClusterConfig = ClusterConfig()) -> ClusterResult:

@@ -19,7 +19,7 @@ from linkcluster.plans.iterate import written
 from linkcluster.sources import fixtures, readers, sinks
 
 #: Configuration of the music runs.
-MUSIC = ClusterConfig(measure=compose.MUSIC, theta_refine=0.7, theta_merge=0.85, type_map={})
+MUSIC = ClusterConfig(measure=compose.MUSIC, theta_refine=0.7, theta_merge=0.9, type_map={})
 GEO = ClusterConfig()
 #: Query vectors up to which the counted block is broadcast; beyond it the pairs are dealt out.
 QUERY_BLOCK = 50_000
@@ -46,7 +46,7 @@ def _sim(df: DataFrame, *keys: str, col: str = "sim") -> DataFrame:
 
 
 def _flat(reps: DataFrame) -> DataFrame:
-    return reps.select("cid", "label", F.array_join("types", "|").alias("types"), F.array_join("sources", "|").alias("sources"), F.array_join(F.transform("members", lambda m: m.cast("string")), "|").alias("members"), "n")
+    return reps.select("cid", "label", F.array_join("types", "|").alias("types"), F.array_join("sources", "|").alias("sources"), F.array_join(F.transform("members", lambda m: m.cast("string")), "|").alias("members"), "n", rounded(F.col("lat")).alias("lat"), rounded(F.col("lon")).alias("lon"))
 
 
 # ---- fixtures and preprocessing ---------------------------------------------------------
@@ -250,9 +250,14 @@ def type_grouping(spark, d):
     return _grouped_types(spark, d)[1]
 
 
-def _refined(spark, d, strategy, variant="lowest"):
+def _refined(spark, d, strategy, variant="lowest", max_rounds=None):
     v, a, e = _grouped_types(spark, d)
-    return refine.run(a, e, 0.7, strategy=strategy, variant=variant)[0]
+    return refine.run(a, e, 0.7, max_rounds, strategy, variant=variant)[0]
+
+
+def refine_max_rounds(spark, d):
+    """Refinement that ends after one round."""
+    return _refined(spark, d, "rounds", max_rounds=1)
 
 
 def refine_grouped(spark, d):
@@ -325,6 +330,14 @@ def _merged(spark, d, strategy):
     return merge.run(a, reps, w, 4, strategy)[0]
 
 
+def merge_candidates_keys(spark, d):
+    """Several blocking keys, the first and the last letters: pairs that share any."""
+    reps = written(_reps(spark, d)[2])
+    keyed = blocking.keys(reps, [F.substring("label", 1, 3), F.right("label", F.lit(3))])
+    w = merge.candidates(keyed, compose.LABEL_LEVENSHTEIN, 0.7, 4)
+    return w.select("l", "r", rounded(F.col("g") / 1e9).alias("sim"))
+
+
 def merge_block_best(spark, d):
     return _merged(spark, d, "block_best")
 
@@ -349,7 +362,7 @@ def merge_rescored(spark, d):
 # ---- workflow, baselines, experiments -----------------------------------------------------------
 
 
-def _result(spark, d, cfg=GEO, limit_key=fixtures.SIZES):
+def _result(spark, d, cfg=GEO, limit_key=None):
     v = fixtures.geo_entities(spark, d, limit_key)
     return v, workflow.cluster(v, curated_links(v), cfg)
 
@@ -451,11 +464,26 @@ def star2(spark, d):
     return _star(spark, d, "mean_similarity")
 
 
-def best_star(spark, d):
-    q = _quality(spark, d, "config3").where("method like 'star%'")
+def _best_star(spark, d, config):
+    v = written(geo_vertices(spark, d))
+    links, gold = written(linking.discover(v, config)), written(linking.gold_links(v).select("src", "dst"))
+    one = lambda n, order: measures.link_quality(star.star_links(star.star(v, links, order)), gold).select(F.lit(n).alias("method"), "f1")
+    q = one("star1", "degree").unionByName(one("star2", "mean_similarity"))
     return q.agg(F.max_by("method", F.struct("f1", "method")).alias("method"), F.max("f1").alias("f1"))
 
 
+def best_star(spark, d):
+    return _best_star(spark, d, "config3")
+
+
+def best_star_config1(spark, d):
+    return _best_star(spark, d, "config1")
+
+
+def best_star_config2(spark, d):
+    return _best_star(spark, d, "config2")
+
+
 def link_delta(spark, d):
     v, r = _result(spark, d)
     return measures.link_delta(curated_links(v), measures.pairs_of(r.assign), linking.gold_links(v))
@@ -713,10 +741,10 @@ def json_properties(spark, d):
 NAMES = (
     "geo_entities music_entities overview_geo overview_music source_structure normalize_year_length harmonize_types harmonize_types_table validate_graph score_links best_links_mutual best_links_either best_links_one_sided "
     "string_similarities jaro_winkler_expression geo_similarity link_config1 link_config2 link_config3 pairwise_exhaustive soft_tfidf_albums soft_tfidf_links star_links curated "
-    "components_minlabel components_stars components_local components_sized components_sql intra_pairs intra_pairs_cross_source intra_scores type_grouping refine_grouped refine_rounds refine_bulk "
-    "representatives representatives_source_priority representatives_longest representatives_medoid blocking_cost block_balance pair_completeness merge_candidates merge_candidates_tiled merge_block_best merge_dominant merge_auto merge_grouped merge_rescored "
+    "components_minlabel components_stars components_local components_sized components_sql intra_pairs intra_pairs_cross_source intra_scores type_grouping refine_grouped refine_rounds refine_bulk refine_max_rounds "
+    "representatives representatives_source_priority representatives_longest representatives_medoid blocking_cost block_balance pair_completeness merge_candidates merge_candidates_tiled merge_candidates_keys merge_block_best merge_dominant merge_auto merge_grouped merge_rescored "
     "workflow_geo workflow_geo_large workflow_music workflow_music_star workflow_music_largest quality_curated quality_input_config1 quality_input_config2 quality_input_config3 quality_config1 quality_config2 quality_config3 quality_music "
-    "star1 star2 best_star link_delta cluster_profile compactness exact_match_rate ablation_no_types ablation_no_refinement ablation_no_merge ablation_no_blocking phase_times running_example "
+    "star1 star2 best_star best_star_config1 best_star_config2 link_delta cluster_profile compactness exact_match_rate ablation_no_types ablation_no_refinement ablation_no_merge ablation_no_blocking phase_times running_example "
     "documents_near_copies passage_links embedding_links page_entities uri_dictionary geojson scan_pruned join_hash join_broadcast join_outer join_semi_anti join_cross join_band join_interval join_asof "
     "agg_basic agg_best_by agg_gather agg_distinct agg_quantiles agg_grouping_sets agg_pivot window_ranks window_shift window_running topk_per_group topk_global set_operations json_properties"
 ).split()

@@ -65,22 +65,23 @@ def _word(k: str, at: int) -> str:
     return f"translate(substr(md5(cast({k} AS STRING)), {at}, 6), '{DIGITS}', '{LETTERS}')"
 
 
-#: For each table: its key, and the texts behind title, artist and album as SQL over the table.
+def _two(k: str) -> str:
+    """An artist of two words."""
+    return f"{_word(k, 7)} || ' ' || {_word(k, 20)}"
+
+
+#: For each table: its key, and the texts behind title, artist and album as SQL over the table.  Five songs in a row
+#: share an artist and every eighth song the album of the song before; no word is common to all.
 MUSIC_TABLES = {
-    "part": ("cast(p_partkey AS BIGINT)", "p_name", "p_brand", "p_type || ' ' || cast(p_size AS STRING)"),
-    "orders": ("cast(o_orderkey AS BIGINT)", f"'song ' || {_word('o_custkey', 1)}", f"'artist ' || {_word('o_custkey % 977', 7)}", f"'album ' || {_word('o_orderkey % 4001', 13)}"),
-    "lineitem": (
-        "((8 * cast(l_orderkey AS BIGINT) + l_linenumber) * 262144 + l_partkey) * 4096 + l_suppkey",
-        f"'song ' || {_word('l_partkey', 1)}",
-        f"'artist ' || {_word('l_suppkey', 7)}",
-        f"'album ' || {_word('l_orderkey', 13)}",
-    ),
+    "part": ("cast(p_partkey AS BIGINT)", "p_name", _two("p_partkey - p_partkey % 5"), f"p_type || ' ' || {_word('CASE WHEN p_partkey % 8 = 7 THEN p_partkey - 1 ELSE p_partkey END', 13)}"),
+    "orders": ("cast(o_orderkey AS BIGINT)", _word("o_custkey", 1), _two("o_orderkey - o_orderkey % 5"), _word("CASE WHEN o_orderkey % 8 = 7 THEN o_orderkey - 1 ELSE o_orderkey END", 13)),
+    "lineitem": ("((8 * cast(l_orderkey AS BIGINT) + l_linenumber) * 262144 + l_partkey) * 4096 + l_suppkey", _word("l_partkey", 1), _two("l_suppkey"), _word("l_orderkey", 13)),
 }
 MUSIC_SIZE = "CASE WHEN q < 8 THEN 1 WHEN q < 12 THEN 2 WHEN q < 14 THEN 3 WHEN q < 15 THEN 4 ELSE 5 END"
 MUSIC_TITLE = (
-    f"CASE WHEN c = 2 THEN substr(full, 1, 2) || substr(full, 4, 1) || substr(full, 3, 1) || substr(full, 5) WHEN c = 3 THEN base || ' ' || {_word('k', 9)} ELSE full END"
+    f"CASE WHEN c = 1 AND k % 5 = 0 THEN reverse(full) WHEN c = 2 THEN substr(full, 1, 2) || substr(full, 4, 1) || substr(full, 3, 1) || substr(full, 5) WHEN c = 3 THEN base || ' ' || {_word('k', 9)} ELSE full END"
 )
-MUSIC_ARTIST = "CASE WHEN c = 4 THEN substr(artist0, 1, 7) ELSE artist0 END"
+MUSIC_ARTIST = "CASE WHEN c = 1 AND k % 5 = 0 THEN reverse(artist0) WHEN c = 4 THEN substr(artist0, 1, 7) ELSE artist0 END"
 MUSIC_ALBUM = "CASE WHEN (k + c) % 7 = 0 THEN NULL ELSE album0 END"
 MUSIC_YEAR = "CASE c % 3 WHEN 0 THEN '''' || substr(cast(1990 + k % 30 AS STRING), 3, 2) WHEN 1 THEN substr(cast(1990 + k % 30 AS STRING), 3, 2) ELSE cast(1990 + k % 30 AS STRING) END"
 MUSIC_LENGTH = (
@@ -115,7 +116,7 @@ def music_sql(name: str) -> str:
     return (
         f"SELECT k * 5 + c AS id, k AS gold, substr('ABCDE', ((k + c) % 5 + 1)::INT, 1) AS source, {MUSIC_TITLE} AS title, {MUSIC_ARTIST} AS artist, {MUSIC_ALBUM} AS album, {MUSIC_YEAR} AS year, {MUSIC_LENGTH} AS length "
         f"FROM (SELECT *, unnest([0, 1, 2, 3, 4]) AS c FROM (SELECT *, {q} AS q, base || ' ' || {_word('k', 1)} || ' ' || {_word('k', 9)} AS \"full\" FROM (SELECT {key} AS k, {title} AS base, {artist} AS artist0, {album} AS album0 FROM {name}))) WHERE c < ({MUSIC_SIZE})"
-    ).replace("substr(full", 'substr("full"').replace("ELSE full END", 'ELSE "full" END')
+    ).replace("substr(full", 'substr("full"').replace("reverse(full)", 'reverse("full")').replace("ELSE full END", 'ELSE "full" END')
 
 
 def doc_entities(spark: SparkSession, sf_dir: str) -> DataFrame:
