@@ -2,19 +2,23 @@
 
 Weights are (1 + ln tf) * ln(1 + N / df) over all values of the property, scaled to unit length.
 Close tokens are found once on the vocabulary; pairs of values then meet through an inverted
-index on close tokens, so only pairs with something in common exist.  Vocabulary pairs that can be
-close share a character in their first part (an exact consequence of the Jaro bound) and have
-similar lengths.
+index on close tokens, of which a bound on the similarity leaves each value's heaviest tokens only, so
+that frequent tokens bring nobody together.
 """
 
 from __future__ import annotations
 
+from dataclasses import dataclass
+
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import Window as W
 
-from linkcluster.functions.strings import jaro_winkler
+from linkcluster.functions.close_labels import close_labels
 from linkcluster.plans.iterate import written
 
+SLACK = 1e-9
+
 
 def token_weights(values: DataFrame) -> DataFrame:
     """(vid, token, w) from (vid, value): unit-length weights."""
@@ -27,44 +31,58 @@ def token_weights(values: DataFrame) -> DataFrame:
 
 
 def close_tokens(vocabulary: DataFrame, theta: float) -> DataFrame:
-    """(ta, tb, inner) of all token pairs with inner similarity of at least ``theta``, equal ones too.
-
-    For theta 0.9 the Jaro part is at least (theta - 0.4) / 0.6, so the tokens share at least
-    half of the longer one's letters and one is at most twice as long; letters are compared as
-    (letter, occurrence) and, of the rarest half plus one of each side, one must be common.
-    """
+    """(ta, tb, inner) of all token pairs with inner similarity of at least ``theta``, equal ones too."""
     v = written(vocabulary.select("token").distinct())
-    letters = v.select("token", F.char_length("token").alias("n"), F.array_sort(F.split("token", "")).alias("cs")).select("token", "n", F.posexplode("cs").alias("p", "c"))
-    counted = letters.withColumn("o", F.col("p") - F.expr("min(p) over (partition by token, c)")).select("token", "n", F.concat_ws("#", "c", "o").alias("g"))
-    freq = counted.groupBy("g").agg(F.count(F.lit(1)).alias("f"))
-    ranked = counted.join(freq, "g").withColumn("r", F.expr("row_number() over (partition by token order by f, g)"))
-    # Jaro >= j needs m >= (3j - 1) / (1/n + 1/m'), at least (3j - 1) / 3 of n when the other is half as long
-    jaro = max(0.0, (theta - 0.4) / 0.6)
-    need = F.ceil(F.col("n") * max(0.0, (3 * jaro - 1) / 3) - 1e-9)
-    probe = ranked.where(F.col("r") <= F.col("n") - need + 1).select("g", "token", "n")
-    a, b = probe.select("g", F.col("token").alias("ta"), F.col("n").alias("na")), probe.select("g", F.col("token").alias("tb"), F.col("n").alias("nb"))
-    ratio = max(0.0, 3 * jaro - 2)
-    pairs = a.join(b, "g").where((F.col("ta") < F.col("tb")) & (F.least("na", "nb") >= ratio * F.greatest("na", "nb") - 1e-9)).select("ta", "tb").distinct()
-    found = pairs.withColumn("inner", jaro_winkler(F.col("ta"), F.col("tb"))).where(F.col("inner") >= theta)
+    found = written(close_labels(v.withColumnRenamed("token", "label"), theta).where(F.col("sim") >= theta).select(F.col("x").alias("ta"), F.col("y").alias("tb"), F.col("sim").alias("inner")))
     both = found.unionByName(found.select(F.col("tb").alias("ta"), F.col("ta").alias("tb"), "inner"))
     return both.unionByName(v.select(F.col("token").alias("ta"), F.col("token").alias("tb"), F.lit(1.0).alias("inner")))
 
 
-def soft_tfidf(values: DataFrame, theta: float = 0.9, allowed=None) -> DataFrame:
-    """(va, vb, sim) of all value pairs with a close token, va < vb.
+@dataclass(frozen=True)
+class SoftIndex:
+    """Token weights of values (vid, token, w) and the close tokens (ta, tb, inner), both materialised."""
+
+    weights: DataFrame
+    close: DataFrame
+
+    def _side(self, end: str) -> DataFrame:
+        return self.weights.select(F.col("vid").alias(f"v{end}"), F.col("token").alias(f"t{end}"), F.col("w").alias(f"w{end}"))
+
+    def score(self, hits: DataFrame) -> DataFrame:
+        """(va, vb, sim) from (va, vb, ta, tb, wa, wb, inner): each token counts with its closest one, in the better direction's sum."""
+        hits = hits.withColumn("part", F.col("wa") * F.col("wb") * F.col("inner"))
+        one = lambda t: hits.groupBy("va", "vb", t).agg(F.max(F.struct("inner", "part")).alias("b")).groupBy("va", "vb").agg(F.sum("b.part").alias("s"))
+        both = one("ta").join(one("tb").withColumnRenamed("s", "t"), ["va", "vb"])
+        return both.select("va", "vb", F.least(F.lit(1.0), F.greatest("s", "t")).alias("sim"))
+
+    def all_pairs(self) -> DataFrame:
+        """All value pairs with a close token, va < vb."""
+        return self.score(self._side("a").join(self.close, "ta").join(self._side("b"), "tb").where("va < vb"))
 
-    For each token of va its closest token in vb counts, with w_a * w_b * inner, in both
-    directions' better sum, so the measure is symmetric.  ``allowed`` filters the joined
-    pairs (columns va, vb) before the aggregation.
-    """
+    def of(self, pairs: DataFrame) -> DataFrame:
+        """The similarities of the given pairs (va, vb), va < vb; pairs without a close token are left out."""
+        return self.score(pairs.join(self._side("a"), "va").join(self.close, "ta").join(self._side("b"), ["vb", "tb"]))
+
+    def reaching(self, bound: float) -> DataFrame:
+        """All pairs of at least that similarity.
+
+        A direction's sum is at most that of the own weights of the tokens that have a close partner. So of a
+        value's tokens, heaviest first, one whose lighter ones add up to less than the bound must have one.
+        """
+        if bound <= 0:
+            return self.all_pairs()
+        lighter = F.sum("w").over(W.partitionBy("vid").orderBy("w", "token").rowsBetween(W.unboundedPreceding, W.currentRow))
+        lead = self.weights.withColumn("upto", lighter).where(F.col("upto") >= bound - SLACK).select(F.col("vid").alias("p"), F.col("token").alias("ta"))
+        met = lead.join(self.close.select("ta", "tb"), "ta").join(self.weights.select(F.col("vid").alias("q"), F.col("token").alias("tb")), "tb").where("p <> q")
+        pairs = met.select(F.least("p", "q").alias("va"), F.greatest("p", "q").alias("vb")).distinct()
+        return self.of(pairs).where(F.col("sim") >= bound - SLACK)
+
+
+def index(values: DataFrame, theta: float = 0.9) -> SoftIndex:
     w = written(token_weights(values))
-    close = written(close_tokens(w, theta))
-    left = w.select(F.col("vid").alias("va"), F.col("token").alias("ta"), F.col("w").alias("wa"))
-    right = w.select(F.col("vid").alias("vb"), F.col("token").alias("tb"), F.col("w").alias("wb"))
-    hits = left.join(close, "ta").join(right, "tb").where("va < vb")
-    hits = allowed(hits) if allowed else hits
-    hits = hits.withColumn("part", F.col("wa") * F.col("wb") * F.col("inner"))
-    one = lambda t: hits.groupBy("va", "vb", t).agg(F.max(F.struct("inner", "part")).alias("b")).groupBy("va", "vb").agg(F.sum("b.part").alias("s"))
-    ab, ba = one("ta"), one("tb")
-    both = ab.join(ba.withColumnRenamed("s", "t"), ["va", "vb"])
-    return both.select("va", "vb", F.least(F.lit(1.0), F.greatest("s", "t")).alias("sim"))
+    return SoftIndex(w, written(close_tokens(w, theta)))
+
+
+def soft_tfidf(values: DataFrame, theta: float = 0.9, bound: float = 0.0) -> DataFrame:
+    """(va, vb, sim) of the value pairs (vid, value) of at least ``bound``, va < vb."""
+    return index(values, theta).reaching(bound)

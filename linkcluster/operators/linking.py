@@ -3,107 +3,28 @@
 Candidates come from equi-joins on keys that follow exactly from the thresholds, so a
 configuration gives the same links as comparing all cross-source pairs:
 
-* a label bound of t means Jaro >= (t - 0.1 p) / (1 - 0.1 p) with p common first letters, hence a length ratio of
-  at least 3 Jaro - 2 and a least number of common letters, for which letter subsets are keys;
+* a label bound is a similarity join on Jaro-Winkler (``functions/close_labels.py``);
 * a mean bound of t with labels of 1 at most means a distance bound, hence grid cells.
 """
 
 from __future__ import annotations
 
-import itertools
-import math
-
-import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
-from pyspark.sql import types as T
 
-from linkcluster.functions import geo
+from linkcluster.functions import geo, tfidf
+from linkcluster.functions.close_labels import SLACK, close_labels, least_jaro
 from linkcluster.functions.strings import jaro_winkler
-from linkcluster.functions.tfidf import soft_tfidf
 from linkcluster.plans.iterate import written
 
-SLACK = 1e-9
-
-
-def _least_jaro(bound: float) -> float:
-    """Least Jaro similarity of labels whose Jaro-Winkler similarity is at least ``bound``."""
-    return max((bound - 0.4) / 0.6, min(0.7, bound))
-
-
-#: Letter subsets a label may have for one partner length before the weaker letter filter takes over.
-SUBSETS = 400
-
-
-def _overlap(a: int, b: int, jaro: float) -> int:
-    """Least number of common letters of labels of these lengths with that Jaro similarity."""
-    return max(1, math.ceil((3 * jaro - 1) * a * b / (a + b) - SLACK))
-
-
-def _covered(a: int, b: int, jaro: float) -> bool:
-    m = _overlap(a, b, jaro)
-    return m > min(a, b) or max(math.comb(a, m), math.comb(b, m)) <= SUBSETS
-
-
-def subset_keys(label: str, jaro: float) -> list[str]:
-    """Keys such that two labels of at least that Jaro similarity share one: for each partner length, all
-    letter subsets of the least overlap.  The first sign tells whether the label is the shorter (s) or longer
-    (l) one of such a pair, or as long as its partner (e)."""
-    n, c = len(label), 3 * jaro - 2
-    letters, keys = sorted(label), set()
-    for other in range(max(1, math.ceil(n * c - SLACK)), (math.floor(n / c + SLACK) if c > 0 else 4 * n) + 1):
-        m = _overlap(n, other, jaro)
-        if m <= min(n, other) and _covered(n, other, jaro):
-            role = "e" if n == other else "s" if n < other else "l"
-            keys |= {f"{role}{min(n, other)}:{max(n, other)}:{''.join(s)}" for s in itertools.combinations(letters, m)}
-    return sorted(keys)
-
-
-def _letter_pairs(names: DataFrame, jaro: float, long: int) -> DataFrame:
-    """Pairs with a label of ``long`` letters or more, by prefix filtering on (letter, occurrence)."""
-    ratio = max(0.0, 3 * jaro - 2)
-    letters = names.select("label", "n", F.posexplode(F.array_sort(F.split("label", ""))).alias("p", "c"))
-    g = letters.withColumn("o", F.col("p") - F.expr("min(p) over (partition by label, c)")).select("label", "n", F.concat("c", F.col("o").cast("string")).alias("g"))
-    freq = g.groupBy("g").agg(F.count(F.lit(1)).alias("f"))
-    ranked = g.join(freq, "g").withColumn("r", F.expr("row_number() over (partition by label order by f, g)"))
-    # m / n + m / n' >= 3 jaro - 1 and n' <= n / ratio: the least overlap a partner of a label of length n has
-    share = (3 * jaro - 1) / (1 + max(1.0, 1 / max(ratio, 0.1)))
-    need = F.ceil(F.col("n") * share - SLACK)
-    probe = ranked.where(F.col("r") <= F.col("n") - need + 1)
-    a, b = probe.where(F.col("n") >= long).select("g", F.col("label").alias("x"), F.col("n").alias("nx")), probe.select("g", F.col("label").alias("y"), F.col("n").alias("ny"))
-    near = a.join(b, "g").where((F.col("x") != F.col("y")) & (F.least("nx", "ny") >= ratio * F.greatest("nx", "ny") - SLACK))
-    return near.select(F.least("x", "y").alias("x"), F.greatest("x", "y").alias("y"))
-
-
 def label_candidates(v: DataFrame, bound: float) -> DataFrame:
     """(src, dst, label_sim) cross-source pairs of at least that Jaro-Winkler similarity.
 
-    Exact keys: with a common prefix of four letters that prefix is the key; with a shorter one the bonus is
-    smaller, so the Jaro part must be higher, and pairs share a large letter subset.  Distinct labels are
-    compared once; pairs of labels are widened to entities at the end.
+    Distinct labels are compared once; pairs of labels are widened to entities at the end.
     """
-    jaro = max((bound - 0.3) / 0.7, min(0.7, bound))
-    names = written(v.select("label").distinct().withColumn("n", F.char_length("label")).where("n > 0"))
-    ratio = max(0.0, 3 * _least_jaro(bound) - 2)
-
-    @F.pandas_udf(T.ArrayType(T.StringType()))
-    def keys_of(label: pd.Series) -> pd.Series:
-        return label.map(lambda x: subset_keys(x, jaro))
-
-    start = names.where("n >= 4").select("label", "n", F.concat(F.lit("e="), F.substring("label", 1, 4)).alias("key"))
-    keyed = start.unionByName(names.select("label", "n", F.explode(keys_of("label")).alias("key")))
-    keyed = written(keyed.select("label", "n", F.substring("key", 1, 1).alias("role"), F.expr("substring(key, 2)").alias("key")))
-    part = lambda role, name, n: keyed.where(F.col("role") == role).select("key", F.col("label").alias(name), F.col("n").alias(n))
-    # labels of one length meet each other; of two lengths, only shorter and longer ones meet
-    even = part("e", "x", "nx").join(part("e", "y", "ny"), "key").where((F.col("x") < F.col("y")) & (F.least("nx", "ny") >= ratio * F.greatest("nx", "ny") - SLACK)).select("x", "y")
-    odd = part("s", "x", "nx").join(part("l", "y", "ny"), "key").select(F.least("x", "y").alias("x"), F.greatest("x", "y").alias("y"))
-    near = even.unionByName(odd)
-    longest = names.agg(F.max("n")).first()[0] or 0
-    long = next((n for n in range(1, longest + 1) if any(not _covered(n, m, jaro) for m in range(1, n + 1) if m >= (3 * jaro - 2) * n)), None)
-    if long is not None:
-        near = near.unionByName(_letter_pairs(names, jaro, long))
-    scored = near.distinct().withColumn("label_sim", jaro_winkler(F.col("x"), F.col("y"))).where(F.col("label_sim") >= bound - SLACK)
-    both = scored.unionByName(scored.select(F.col("y").alias("x"), F.col("x").alias("y"), "label_sim")).unionByName(names.select(F.col("label").alias("x"), F.col("label").alias("y"), F.lit(1.0).alias("label_sim")))
+    scored = close_labels(v, bound).withColumnRenamed("sim", "label_sim")
+    same = v.select("label").distinct().where(F.char_length("label") > 0).select(F.col("label").alias("x"), F.col("label").alias("y"), F.lit(1.0).alias("label_sim"))
+    both = scored.unionByName(scored.select(F.col("y").alias("x"), F.col("x").alias("y"), "label_sim")).unionByName(same)
     e = v.select("id", "source", "label")
     left = e.select(F.col("id").alias("src"), F.col("source").alias("s1"), F.col("label").alias("x"))
     right = e.select(F.col("id").alias("dst"), F.col("source").alias("s2"), F.col("label").alias("y"))
@@ -130,7 +51,7 @@ def discover(v: DataFrame, config: str) -> DataFrame:
         # mean >= bound and label <= 1, so geo >= 2 bound - 1; and label >= 2 bound - 1 likewise
         near = geo_candidates(v, (1 - (2 * bound - 1)) * geo.MAX_KM)
         n1, n2 = F.char_length("l_label"), F.char_length("r_label")
-        ratio = max(0.0, 3 * _least_jaro(2 * bound - 1) - 2)
+        ratio = max(0.0, 3 * least_jaro(2 * bound - 1) - 2)
         near = near.where(F.least(n1, n2) >= ratio * F.greatest(n1, n2) - SLACK)
         near = near.withColumn("sim", (jaro_winkler(F.col("l_label"), F.col("r_label")) + F.col("geo_sim")) / 2)
         return near.where(F.col("sim") >= bound).select(F.col("l_id").alias("src"), F.col("r_id").alias("dst"), "sim")
@@ -142,40 +63,35 @@ def discover(v: DataFrame, config: str) -> DataFrame:
 def music_links(v: DataFrame, weights=(("title", 0.6), ("artist", 0.3), ("album", 0.1)), bound: float = 0.35, theta: float = 0.9) -> DataFrame:
     """Weighted soft TF/IDF over three properties; distinct values are compared once.
 
-    A pair reaches the bound with some title similarity, or without any, and then both other
-    properties must be similar enough: bound less the other's weight over the own weight.
+    A pair reaches the bound with a second property that has something in common, or else with a first one of at
+    least (bound - third weight) / first weight.  Both kinds of pairs come from the properties' indexes; the
+    missing similarities are then measured for these pairs alone.
     """
-    (first, w1), (second, w2), (third, w3) = weights
+    (first, w1), (second, _), (_, w3) = weights
 
     def values(col: str) -> DataFrame:
         return v.where(F.col(col).isNotNull()).select(F.col(col).alias("value")).distinct().withColumn("vid", F.xxhash64("value"))
 
-    def both_ways(col: str, least: float) -> DataFrame:
-        s = sims[col].where(F.col("sim") >= least - SLACK)
-        same = values(col).select(F.col("vid").alias("va"), F.col("vid").alias("vb"))
-        return s.select("va", "vb").unionByName(s.select(F.col("vb").alias("va"), F.col("va").alias("vb"))).unionByName(same)
-
-    sims = {c: written(soft_tfidf(values(c), theta)) for c, _ in weights}
     ids = written(v.select("id", "source", *[F.when(F.col(c).isNotNull(), F.xxhash64(c)).alias(c) for c, _ in weights]))
     left, right = (ids.select(*[F.col(c).alias(f"{p}_{c}") for c in ids.columns]) for p in "lr")
+    indexes = {c: tfidf.index(values(c), theta) for c, _ in weights}
 
     def seeds(col: str, least: float) -> DataFrame:
-        p = both_ways(col, least).join(left, F.col("va") == F.col(f"l_{col}")).join(right, F.col("vb") == F.col(f"r_{col}"))
+        s = written(indexes[col].reaching(least)).select("va", "vb")
+        same = values(col).select(F.col("vid").alias("va"), F.col("vid").alias("vb"))
+        p = s.unionByName(s.select(F.col("vb").alias("va"), F.col("va").alias("vb"))).unionByName(same)
+        p = p.join(left, F.col("va") == F.col(f"l_{col}")).join(right, F.col("vb") == F.col(f"r_{col}"))
         return p.where("l_id < r_id and l_source <> r_source").drop("va", "vb")
 
-    def part(p: DataFrame, col: str) -> DataFrame:
-        s = sims[col].select(F.col("va").alias("x"), F.col("vb").alias("y"), F.col("sim").alias(f"s_{col}"))
+    pairs = written(seeds(first, (bound - w3) / w1).unionByName(seeds(second, 0.0)).dropDuplicates(["l_id", "r_id"]))
+    for col, _ in weights:
         a, b = F.col(f"l_{col}"), F.col(f"r_{col}")
-        p = p.withColumn("x", F.least(a, b)).withColumn("y", F.greatest(a, b)).join(s, ["x", "y"], "left").drop("x", "y")
-        return p.withColumn(f"s_{col}", F.when(a == b, F.lit(1.0)).otherwise(F.coalesce(f"s_{col}", F.lit(0.0))))
-
-    titled = seeds(first, 0.0)
-    if w2 + w3 >= bound:
-        rest = part(part(seeds(third, max(0.0, (bound - w2) / w3)), second).where(F.col(f"s_{second}") >= (bound - w3) / w2 - SLACK), first)
-        titled = titled.unionByName(rest.where(F.col(f"s_{first}") == 0).select(*titled.columns))
-    out = part(part(part(titled, first), second), third)
-    total = F.col(f"s_{first}") * w1 + F.coalesce(f"s_{second}", F.lit(0.0)) * w2 + F.coalesce(f"s_{third}", F.lit(0.0)) * w3
-    return out.withColumn("sim", total).where(F.col("sim") >= bound).select(F.col("l_id").alias("src"), F.col("r_id").alias("dst"), "sim")
+        named = pairs.withColumn("va", F.least(a, b)).withColumn("vb", F.greatest(a, b)).withColumn("apart", a != b)
+        known = indexes[col].of(named.where("apart").select("va", "vb").distinct()).withColumnRenamed("sim", f"s_{col}")
+        pairs = named.join(known, ["va", "vb"], "left").withColumn(f"s_{col}", F.when(a == b, F.lit(1.0)).when(a.isNull() | b.isNull(), F.lit(0.0)).otherwise(F.coalesce(f"s_{col}", F.lit(0.0)))).drop("va", "vb", "apart")
+        pairs = written(pairs)
+    total = sum((F.col(f"s_{c}") * w for c, w in weights), F.lit(0.0))
+    return pairs.withColumn("sim", total).where(F.col("sim") >= bound).select(F.col("l_id").alias("src"), F.col("r_id").alias("dst"), "sim")
 
 
 def star_from_gold(gold: DataFrame) -> DataFrame:

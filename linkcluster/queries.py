@@ -19,7 +19,7 @@ from linkcluster.plans.iterate import written
 from linkcluster.sources import fixtures, readers, sinks
 
 #: Configuration of the music runs.
-MUSIC = ClusterConfig(measure=compose.MUSIC, theta_refine=0.7, theta_merge=0.9, type_map={})
+MUSIC = ClusterConfig(measure=compose.MUSIC, theta_refine=0.85, theta_merge=0.9, type_map={})
 GEO = ClusterConfig()
 #: Query vectors up to which the counted block is broadcast; beyond it the pairs are dealt out.
 QUERY_BLOCK = 50_000
