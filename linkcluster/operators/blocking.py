@@ -41,6 +41,12 @@ def tile_pairs(blocked: DataFrame, max_block: int, key: str = "cid", salt: int =
 
 
 def balance(blocked: DataFrame) -> DataFrame:
-    """(block, b, pairs, pairs_before): running comparison counts by falling block size, for planning tiles."""
+    """(block, b, pairs, pairs_before): running comparison counts by falling block size, for planning tiles.
+
+    Sizes, of which there are few, are summed up in order; blocks are ranked among those of their size.
+    """
     s = sizes(blocked).withColumn("pairs", (F.col("b") * (F.col("b") - 1) / 2).cast("bigint"))
-    return s.withColumn("pairs_before", F.coalesce(F.sum("pairs").over(W.orderBy(F.desc("pairs"), "block").rowsBetween(W.unboundedPreceding, -1)), F.lit(0)))
+    per = s.groupBy("pairs").agg(F.sum("pairs").alias("held"))
+    per = per.withColumn("larger", F.coalesce(F.sum("held").over(W.orderBy(F.desc("pairs")).rowsBetween(W.unboundedPreceding, -1)), F.lit(0))).drop("held")
+    ranked = s.withColumn("nth", F.row_number().over(W.partitionBy("pairs").orderBy("block")) - 1)
+    return ranked.join(per, "pairs").select("block", "b", "pairs", (F.col("larger") + F.col("nth") * F.col("pairs")).alias("pairs_before"))

@@ -7,6 +7,7 @@ from pyspark.sql import functions as F
 
 from linkcluster.functions.normalize import grid
 from linkcluster.operators.components import connected
+from linkcluster.plans.iterate import written
 
 
 def typed_groups(assign: DataFrame, vertices: DataFrame, overlap: str = "transitive") -> DataFrame:
@@ -19,7 +20,7 @@ def typed_groups(assign: DataFrame, vertices: DataFrame, overlap: str = "transit
     # vertices that share a type in a component hang on its least vertex; overlaps join these stars
     hung = v.select("id", "cid", F.explode("types").alias("type")).withColumn("least", F.expr("min(id) over (partition by cid, type)"))
     links = hung.where("id <> least").select(F.col("least").alias("src"), F.col("id").alias("dst")).distinct()
-    groups = connected(v.select("id"), links, "minlabel").withColumnRenamed("cid", "tcid")
+    groups = connected(v.select("id"), written(links), "sized").withColumnRenamed("cid", "tcid")
     return v.select("id", "cid").join(groups, "id")
 
 

@@ -1,4 +1,4 @@
-"""Loop support: reliable lineage cuts and a fix-point driver.
+"""Loop support: reliable lineage cuts.
 
 Every loop of this library keeps its state in DataFrames and sends only counters to
 the driver.  A state is materialised in the shared checkpoint folder, so that the plan of round r
@@ -10,18 +10,21 @@ neither, only their true size.
 
 from __future__ import annotations
 
+import re
 import tempfile
 import uuid
-from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
 
 def ensure_checkpoint_dir(spark: SparkSession) -> None:
-    """Use the folder the cluster names in ``spark.checkpoint.dir``; own folder only where it is unset."""
+    """Use the folder the cluster names in ``spark.checkpoint.dir``; a folder of its own only in a local session."""
     sc = spark.sparkContext
     if sc.getCheckpointDir() is None:
-        sc.setCheckpointDir(spark.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="linkcluster-ck-"))
+        named = spark.conf.get("spark.checkpoint.dir", None)
+        if not named and not re.fullmatch(r"local(\[[^\]]*\])?", sc.master):
+            raise ValueError("set spark.checkpoint.dir to a folder that all executors share")
+        sc.setCheckpointDir(named or tempfile.mkdtemp(prefix="linkcluster-ck-"))
 
 
 def cut(df: DataFrame) -> DataFrame:
@@ -37,16 +40,3 @@ def written(df: DataFrame) -> DataFrame:
     path = f"{spark.sparkContext.getCheckpointDir()}/state-{uuid.uuid4().hex}"
     df.write.parquet(path)
     return spark.read.schema(df.schema).parquet(path)
-
-
-def until_stable(state, step: Callable, max_rounds: int | None = None):
-    """Apply ``step(state, round) -> (state, changed)`` until nothing changes; returns (state, log)."""
-    log: list[dict] = []
-    n = 0
-    while max_rounds is None or n < max_rounds:
-        state, changed = step(state, n)
-        n += 1
-        log.append({"round": n, "changed": int(changed)})
-        if not changed:
-            break
-    return state, log

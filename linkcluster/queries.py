@@ -371,26 +371,45 @@ def workflow_geo(spark, d):
     return _flat(_result(spark, d)[1].reps)
 
 
-def workflow_geo_large(spark, d):
-    v = fixtures.geo_entities(spark, d, None)
-    w = preprocess.harmonize_types(normalize.labels(v), GEO.type_map)
+def _geo_large(spark, d):
+    v = fixtures.geo_entities(spark, d)
+    w = written(preprocess.harmonize_types(normalize.labels(v), GEO.type_map))
     both = linking.discover(w, "config1").select("src", "dst").unionByName(linking.discover(w, "config3").select("src", "dst")).distinct()
-    return _flat(workflow.cluster(v, both, GEO).reps)
+    return v, both, GEO
 
 
-def workflow_music(spark, d):
+def _music_found(spark, d):
     v = fixtures.music_entities(spark, d, "part")
-    return _flat(workflow.cluster(v, linking.discover(normalize.labels(v), "music").select("src", "dst"), MUSIC).reps)
+    return v, linking.discover(normalize.labels(v), "music").select("src", "dst"), MUSIC
+
+
+def _music_star(spark, d, table="orders"):
+    v = fixtures.music_entities(spark, d, table)
+    return v, linking.star_from_gold(v.select("id", "gold")).select("src", "dst"), MUSIC
+
+
+def _music_largest(spark, d):
+    return _music_star(spark, d, "lineitem")
+
+
+#: The scalability runs as (entities, links, configuration).
+WORKLOADS = {"workflow_geo_large": _geo_large, "workflow_music": _music_found, "workflow_music_star": _music_star, "workflow_music_largest": _music_largest}
+
+
+def workflow_geo_large(spark, d):
+    return _flat(workflow.cluster(*_geo_large(spark, d)).reps)
+
+
+def workflow_music(spark, d):
+    return _flat(workflow.cluster(*_music_found(spark, d)).reps)
 
 
 def workflow_music_star(spark, d):
-    v = fixtures.music_entities(spark, d, "orders")
-    return _flat(workflow.cluster(v, linking.star_from_gold(v.select("id", "gold")).select("src", "dst"), MUSIC).reps)
+    return _flat(workflow.cluster(*_music_star(spark, d)).reps)
 
 
 def workflow_music_largest(spark, d):
-    v = fixtures.music_entities(spark, d, "lineitem")
-    return _flat(workflow.cluster(v, linking.star_from_gold(v.select("id", "gold")).select("src", "dst"), MUSIC).reps)
+    return _flat(workflow.cluster(*_music_largest(spark, d)).reps)
 
 
 def quality_curated(spark, d):
