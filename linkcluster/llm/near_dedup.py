@@ -197,12 +197,15 @@ def _nodes(docs: DataFrame, cfg: NearConfig, key: str, text: str) -> DataFrame:
     signed = _signed(texts, cfg).groupBy("node").agg(F.first("n").alias("n"), F.first("bands").alias("bands"), F.count(F.lit(1)).alias("rows"), F.min("id").alias("low"))
     signed = cut(signed)
     slots = signed.where("n > 0").select("node", "n", F.explode("bands").alias("key"))
-    shared = slots.groupBy("key").agg(F.count(F.lit(1)).alias("size")).where("size > 1")
-    slots = cut(slots.join(shared, "key"))
+    # a large group of near copies shares its buckets: their keys are dealt out in every join on them
+    full = F.col("size") > HOT_ROWS
+    shared = cut(slots.groupBy("key").agg(F.count(F.lit(1)).alias("size")).where("size > 1"))
+    slots = cut(join_hot(slots, shared, ["key"], full, "node", may_broadcast=False))
     # the densest text of a bucket is the likeliest original of a group of copies
     density = slots.groupBy("node").agg(F.sum("size").alias("density"))
-    centre = slots.join(density, "node").groupBy("key").agg(F.max_by("node", F.struct("density", "node")).alias("centre"), F.max_by("n", F.struct("density", "node")).alias("m"))
-    pairs = slots.join(centre, "key").where((F.col("node") != F.col("centre")) & (F.least("n", "m") >= cfg.similarity * F.greatest("n", "m") - 1e-9))
+    centre = slots.join(density, "node").groupBy("key").agg(F.max_by("node", F.struct("density", "node")).alias("centre"), F.max_by("n", F.struct("density", "node")).alias("m"), F.first("size").alias("size"))
+    centred = join_hot(slots.drop("size"), cut(centre), ["key"], full, "node", may_broadcast=False)
+    pairs = centred.where((F.col("node") != F.col("centre")) & (F.least("n", "m") >= cfg.similarity * F.greatest("n", "m") - 1e-9))
     pairs = pairs.select(F.least("node", "centre").alias("a"), F.greatest("node", "centre").alias("b")).distinct()
     members = cut(density.select("node"))
     sets = cut(_sets(texts.join(small(members), "node").select("node", "text"), cfg).groupBy("node").agg(F.first("sh").alias("sh")))
@@ -212,7 +215,7 @@ def _nodes(docs: DataFrame, cfg: NearConfig, key: str, text: str) -> DataFrame:
     # buckets that still hold several components
     mixed = slots.select("key", "node", "n").join(part, "node")
     parts = mixed.groupBy("key").agg(F.count(F.lit(1)).alias("size"), F.min("cid").alias("lo"), F.max("cid").alias("hi")).where("lo <> hi").select("key", "size")
-    mixed = cut(mixed.join(parts, "key"))
+    mixed = cut(join_hot(mixed, cut(parts), ["key"], full, "node", may_broadcast=False))
     few = mixed.where(F.col("size") <= cfg.pair_bucket)
     x, y = few.select("key", F.col("node").alias("a"), F.col("n").alias("p"), F.col("cid").alias("c")), few.select("key", F.col("node").alias("b"), F.col("n").alias("q"), F.col("cid").alias("d"))
     apart = x.join(y, "key").where((F.col("a") < F.col("b")) & (F.col("c") != F.col("d")) & (F.least("p", "q") >= cfg.similarity * F.greatest("p", "q") - 1e-9)).select("a", "b").distinct()
