@@ -237,6 +237,12 @@ def _soft(values: str, theta: float = 0.9) -> str:
     )
 
 
+def _mixed(links: str, fifth: bool = False) -> str:
+    """The whole workflow on links of configurations 1 and 3; a cluster holds one entity of each source at most."""
+    sql = f"{_exhaustive('config1').replace('WITH ', 'WITH RECURSIVE ', 1).replace('links AS (SELECT src, dst, ', 'links AS MATERIALIZED (SELECT src, dst, ')}, {GOLD}, l3 AS MATERIALIZED (SELECT src, dst FROM p WHERE ({JW} + {GEOSIM}) / 2 >= 0.9::DOUBLE), {_workflow(links)}, {_reps(BY_FREQ, base='fin', p='f')} {_flat('f')}"
+    return sql.replace(GEO, fixtures.geo_sql(fifth=True)).replace("<= 4", "<= 5") if fifth else sql
+
+
 def oracle_sql() -> dict[str, str]:
     gold = f"WITH {V}, {GOLD}"
     cost = lambda n: f"SELECT {n} AS letters, count(*) AS blocks, sum(b * (b - 1) // 2)::BIGINT AS comparisons, max(b) AS largest, {r6('1 - sum(b * (b - 1) / 2)::DOUBLE / (sum(b) * (sum(b) - 1) / 2)::DOUBLE')} AS reduction FROM (SELECT count(*) AS b FROM v GROUP BY substr(label, 1, {n}))"
@@ -295,7 +301,8 @@ def oracle_sql() -> dict[str, str]:
         "star2": f"{_found('config3')} SELECT center, id FROM s2star",
         **{f"best_star{x}": f"{_found(f'config{c}')}, q AS ({_rows(star1=_link_counts('s1pairs'), star2=_link_counts('s2pairs'))}) SELECT arg_max(method, row(f1, method)) AS method, max(f1) AS f1 FROM q" for c, x in ((1, "_config1"), (2, "_config2"), (3, ""))},
         **{f"quality_config{c}": _compare(f"config{c}") for c in (1, 2, 3)},
-        "workflow_geo_large": f"{_exhaustive('config1').replace('WITH ', 'WITH RECURSIVE ', 1).replace('links AS (SELECT src, dst, ', 'links AS MATERIALIZED (SELECT src, dst, ')}, {GOLD}, l3 AS MATERIALIZED (SELECT src, dst FROM p WHERE ({JW} + {GEOSIM}) / 2 >= 0.9::DOUBLE), {_workflow('SELECT src, dst FROM links UNION SELECT src, dst FROM l3')}, {_reps(BY_FREQ, base='fin', p='f')} {_flat('f')}",
+        "workflow_geo_large": _mixed("SELECT src, dst FROM links UNION SELECT src, dst FROM l3"),
+        "workflow_geo_five": _mixed("SELECT src, dst FROM (SELECT src, dst FROM links UNION SELECT src, dst FROM l3) WHERE substr(md5(src::VARCHAR || '-' || dst::VARCHAR), 1, 4) < '6666'", fifth=True),
         "quality_input_config1": _input_quality("config1"),
         "quality_input_config2": _input_quality("config2"),
         "quality_input_config3": _input_quality("config3"),

@@ -34,30 +34,39 @@ GEO_LON = "CASE WHEN s = 2 AND k % 17 = 0 THEN cast(NULL AS DOUBLE) ELSE cast((1
 GEO_TYPE = "CASE WHEN (k + s) % 7 = 0 THEN NULL WHEN k % 97 = 5 AND s = 0 THEN 'island' WHEN k % 13 = 0 THEN 'settlement|harbour' WHEN s = 0 THEN 'city' WHEN s = 1 THEN 'town' WHEN s = 2 THEN 'suburb' ELSE 'settlement' END"
 
 
-def geo_rows(customer: DataFrame, limit_key: int | None = None) -> DataFrame:
-    """Flat geographic entities; ``limit_key`` None takes every customer, SIZES is the published small size."""
+#: Entities of a fifth source, one for each supplier and equal to the customer of that key, are numbered from here.
+FIFTH = 1 << 40
+GEO_ID = f"CASE WHEN s = 4 THEN {FIFTH} + k ELSE k * 4 + s END"
+GEO_SOURCE = "ABCDE"
+
+
+def geo_rows(customer: DataFrame, limit_key: int | None = None, supplier: DataFrame | None = None) -> DataFrame:
+    """Flat geographic entities; ``limit_key`` None takes every customer, SIZES is the published small size; ``supplier`` adds a fifth source."""
     c = customer.select(F.col("c_custkey").cast("bigint").alias("k"), F.col("c_nationkey").alias("nation"))
     c = c if limit_key is None else c.where(F.col("k") < limit_key)
-    d = c.withColumn("name", F.expr(GEO_NAME)).withColumn("home", F.expr(GEO_HOME)).withColumn("size", F.expr(GEO_SIZE))
-    d = d.withColumn("s", F.explode(F.sequence(F.lit(0), F.lit(3)))).where("(s + k) % 4 < size")
+    d = c.withColumn("s", F.explode(F.sequence(F.lit(0), F.lit(3))))
+    if supplier is not None:
+        d = d.unionByName(supplier.select(F.col("s_suppkey").cast("bigint").alias("k"), F.col("s_nationkey").alias("nation"), F.lit(4).alias("s")))
+    d = d.withColumn("name", F.expr(GEO_NAME)).withColumn("home", F.expr(GEO_HOME)).withColumn("size", F.expr(GEO_SIZE)).where("s = 4 OR (s + k) % 4 < size")
     return d.select(
-        (F.col("k") * 4 + F.col("s")).alias("id"), F.col("k").alias("gold"), F.substring(F.lit("ABCD"), F.col("s") + 1, F.lit(1)).alias("source"), F.expr(GEO_LABEL).alias("label"), F.expr(GEO_TYPE).alias("raw_type"), F.expr(GEO_LAT).alias("lat"), F.expr(GEO_LON).alias("lon")
+        F.expr(GEO_ID).alias("id"), F.col("k").alias("gold"), F.substring(F.lit(GEO_SOURCE), F.col("s") + 1, F.lit(1)).alias("source"), F.expr(GEO_LABEL).alias("label"), F.expr(GEO_TYPE).alias("raw_type"), F.expr(GEO_LAT).alias("lat"), F.expr(GEO_LON).alias("lon")
     )
 
 
-def geo_entities(spark: SparkSession, sf_dir: str, limit_key: int | None = None) -> DataFrame:
-    d = geo_rows(spark.read.parquet(f"{sf_dir}/customer.parquet"), limit_key)
+def geo_entities(spark: SparkSession, sf_dir: str, limit_key: int | None = None, fifth: bool = False) -> DataFrame:
+    d = geo_rows(spark.read.parquet(f"{sf_dir}/customer.parquet"), limit_key, spark.read.parquet(f"{sf_dir}/supplier.parquet") if fifth else None)
     types = F.coalesce(F.split("raw_type", r"\|"), F.array().cast("array<string>"))
     return d.withColumn("types", types).withColumn("props", F.create_map(F.lit("raw_type"), F.col("raw_type"))).select("id", "gold", "source", "label", "types", "lat", "lon", "props")
 
 
-def geo_sql(limit_key: int | None = None) -> str:
+def geo_sql(limit_key: int | None = None, fifth: bool = False) -> str:
     """The same rows as a query for another engine: id, gold, source, label (normalised), raw_type, lat, lon."""
     only = "" if limit_key is None else f"WHERE c_custkey < {limit_key}"
+    more = " UNION ALL SELECT s_suppkey::BIGINT, s_nationkey, 4 FROM supplier" if fifth else ""
     return (
-        f"SELECT k * 4 + s AS id, k AS gold, substr('ABCD', (s + 1)::INT, 1) AS source, trim(regexp_replace(regexp_replace(lower({GEO_LABEL}), '[\\(\\[\\{{][^\\)\\]\\}}]*[\\)\\]\\}}]', ' ', 'g'), '\\s+', ' ', 'g')) AS label, "
-        f"{GEO_TYPE} AS raw_type, {GEO_LAT} AS lat, {GEO_LON} AS lon FROM (SELECT *, unnest([0, 1, 2, 3]) AS s FROM (SELECT *, {GEO_NAME} AS name, {GEO_HOME} AS home, {GEO_SIZE} AS size "
-        f"FROM (SELECT c_custkey::BIGINT AS k, c_nationkey AS nation FROM customer {only}))) WHERE (s + k) % 4 < size"
+        f"SELECT {GEO_ID} AS id, k AS gold, substr('{GEO_SOURCE}', (s + 1)::INT, 1) AS source, trim(regexp_replace(regexp_replace(lower({GEO_LABEL}), '[\\(\\[\\{{][^\\)\\]\\}}]*[\\)\\]\\}}]', ' ', 'g'), '\\s+', ' ', 'g')) AS label, "
+        f"{GEO_TYPE} AS raw_type, {GEO_LAT} AS lat, {GEO_LON} AS lon FROM (SELECT *, {GEO_NAME} AS name, {GEO_HOME} AS home, {GEO_SIZE} AS size "
+        f"FROM (SELECT c_custkey::BIGINT AS k, c_nationkey AS nation, unnest([0, 1, 2, 3]) AS s FROM customer {only}{more})) WHERE s = 4 OR (s + k) % 4 < size"
     )
 
 

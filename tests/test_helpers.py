@@ -8,6 +8,7 @@ import pytest
 from pyspark.sql import functions as F
 
 import reference_impl as ref
+from linkcluster import queries
 from linkcluster.functions import compose
 from linkcluster.operators import blocking, components, intra, linking, merge, preprocess, relational, typegroup
 from linkcluster.plans import iterate, workflow
@@ -89,6 +90,18 @@ def test_homonym_with_a_wrong_link(spark, sf):
     assert r.groupBy("cid").agg(F.countDistinct("gold").alias("k")).where("k > 1").count() == 0
 
 
+def test_five_sources_and_incomplete_links(spark, sf):
+    """Every customer's and supplier's entity is in the run, ids are unique, and a share of the links is known."""
+    v, links, _ = queries.WORKLOADS["workflow_geo_five"](spark, sf)
+    _, every, _ = queries._geo_large(spark, sf, fifth=True)
+    four = fixtures.geo_entities(spark, sf)
+    assert v.where("source <> 'E'").select("id", "label").exceptAll(four.select("id", "label")).count() == 0
+    assert v.where("source = 'E'").count() == spark.read.parquet(f"{sf}/supplier.parquet").count()
+    n = v.count()
+    assert n == four.count() + v.where("source = 'E'").count() == v.select("id").distinct().count()
+    assert links.exceptAll(every).count() == 0 and 0.3 < links.count() / every.count() < 0.5
+
+
 def test_rescored_merge_matches_sequential(spark):
     """Fused representatives are measured anew: the longest label of a cluster stands for it."""
     rng = random.Random(5)
