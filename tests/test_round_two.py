@@ -24,3 +24,19 @@ def against_sql(df, name, folder):
 
 def test_running_example_has_the_columns_of_its_sql(spark, sf):
     against_sql(q.running_example(spark, sf), "running_example", sf)
+
+
+def test_components_beyond_their_bounds(spark, monkeypatch):
+    """Chains longer than the levels, and more walks than the rows, that recursive SQL allows; more links than the driver may hold."""
+    from linkcluster.operators import components
+
+    chain = [(i, i + 1) for i in range(300)]
+    clique = [(1000 + i, 1000 + j) for i in range(12) for j in range(i)]
+    star = [(2999, 2000 + i) for i in range(40)]
+    links = spark.createDataFrame(chain + clique + star + [(1, None), (5000, 5000)], "src bigint, dst bigint")
+    v = spark.createDataFrame([(i,) for i in [*range(301), *range(1000, 1012), *range(2000, 2040), 2999, 5000, 7000]], "id bigint")
+    want = {i: 0 for i in range(301)} | {i: 1000 for i in range(1000, 1012)} | {i: 2000 for i in [*range(2000, 2040), 2999]} | {5000: 5000, 7000: 7000}
+    for method, cap in (("sql", 10), ("local", 1_000), ("local", 10)):
+        assert {r.id: r.cid for r in components.connected(v, links, method, cap).collect()} == want
+    none = links.where("false")
+    assert all(components.connected(v, none, m).where("id <> cid").count() == 0 for m in ("sql", "local"))
