@@ -40,3 +40,33 @@ def test_components_beyond_their_bounds(spark, monkeypatch):
         assert {r.id: r.cid for r in components.connected(v, links, method, cap).collect()} == want
     none = links.where("false")
     assert all(components.connected(v, none, m).where("id <> cid").count() == 0 for m in ("sql", "local"))
+
+
+def _scattered(spark, n, seed):
+    """Places along the date line, at the poles and in a crowd, with alike labels, some empty or without a place."""
+    import random
+
+    rng = random.Random(seed)
+    rows = []
+    for i in range(n):
+        lat, lon = rng.choice([(0, 179.9), (0, -179.9), (89.5, rng.uniform(-180, 180)), (-89.9, 10), (50, 8), (50, 8), (51, 9), (rng.uniform(-80, 80), rng.uniform(-180, 180))])
+        label = "".join(rng.choice("abcé") for _ in range(rng.choice([0, 1, 4, 6, 7, 8, 12])))
+        gone = rng.random() < 0.05
+        rows.append((i, rng.choice("ABCD"), label, None if gone else lat + rng.uniform(-0.4, 0.4), None if gone else lon + rng.uniform(-1, 1)))
+    return spark.createDataFrame(rows, "id bigint, source string, label string, lat double, lon double")
+
+
+def test_mean_bound_loses_no_pair(spark, monkeypatch):
+    """Tiles, cubes, hot tiles and label bounds give the links of all pairs, and more entities than the cap are no error."""
+    from linkcluster.functions import near_pairs
+    from linkcluster.operators import linking
+
+    v = _scattered(spark, 900, 5)
+    links = lambda d: {(r.src, r.dst): round(r.sim, 9) for r in d.collect()}
+    for config in ("config2", "config3"):
+        want = links(linking.exhaustive(v, config))
+        assert len(want) > 100 and links(linking.discover(v, config)) == want
+        monkeypatch.setattr(near_pairs, "STEP", 50)
+        monkeypatch.setattr(near_pairs, "TILE_POINTS", 40)
+        assert links(linking.exhaustive(v, config, row_cap=10)) == want
+        monkeypatch.undo()
