@@ -70,3 +70,19 @@ def test_mean_bound_loses_no_pair(spark, monkeypatch):
         monkeypatch.setattr(near_pairs, "TILE_POINTS", 40)
         assert links(linking.exhaustive(v, config, row_cap=10)) == want
         monkeypatch.undo()
+
+
+def test_merge_without_blocks_of_many_clusters(spark, monkeypatch):
+    """The pairs that the bound leaves give the candidates of all pairs, also where places are missing; no number of clusters is refused."""
+    from pyspark.sql import functions as F
+
+    from linkcluster.functions import compose, near_pairs
+    from linkcluster.operators import blocking, merge
+
+    v = _scattered(spark, 500, 6).withColumn("n", F.lit(1) + (F.col("id") % 4).cast("int"))
+    reps = v.select(F.col("id").alias("cid"), "label", "lat", "lon", F.array().cast("array<string>").alias("types"), F.array("source").alias("sources"), "n")
+    rows = lambda d: {(r.l, r.r): (r.g, r.nl, r.nr) for r in d.collect()}
+    want = rows(merge.candidates(blocking.none(reps), compose.LABEL_GEO, 0.8, 4))
+    monkeypatch.setattr(near_pairs, "TILE_POINTS", 40)
+    assert len(want) > 50 and rows(merge.candidates(blocking.none(reps), compose.LABEL_GEO, 0.8, 4, pairs=merge.unblocked_pairs(reps, 0.8, 4))) == want
+    assert blocking.none(spark.range(30_000)).count() == 30_000
