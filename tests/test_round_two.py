@@ -86,3 +86,23 @@ def test_merge_without_blocks_of_many_clusters(spark, monkeypatch):
     monkeypatch.setattr(near_pairs, "TILE_POINTS", 40)
     assert len(want) > 50 and rows(merge.candidates(blocking.none(reps), compose.LABEL_GEO, 0.8, 4, pairs=merge.unblocked_pairs(reps, 0.8, 4))) == want
     assert blocking.none(spark.range(30_000)).count() == 30_000
+
+
+def test_nearest_vectors_in_passes(spark, tmp_path, monkeypatch):
+    """Ties go to the smaller id, also among copies in other passes and batches, as the SQL has it; no vector is compared row by row."""
+    import numpy as np
+
+    from linkcluster.functions import nearest
+
+    rng = np.random.default_rng(3)
+    x = rng.normal(size=(700, 16)).astype(np.float32)
+    x[300:340], x[400:420], x[500] = x[0], x[20] * 2, x[40] + np.float32(1e-6)
+    rows = [(i, [float(a) for a in v]) for i, v in enumerate(x)]
+    spark.createDataFrame(rows, "vec_id bigint, embedding array<float>").repartition(5).write.parquet(f"{tmp_path}/embeddings.parquet")
+    for size in (50_000, 7):
+        monkeypatch.setattr(nearest, "QUERIES", size)
+        monkeypatch.setattr(nearest, "STRIPE", 5)
+        monkeypatch.setattr(nearest, "BLOCK", 33)
+        df = q.embedding_links(spark, str(tmp_path))
+        assert "CartesianProduct" not in (plan := df._jdf.queryExecution().toString()) and "NestedLoop" not in plan
+        against_sql(df, "embedding_links", tmp_path)
