@@ -106,3 +106,50 @@ def test_nearest_vectors_in_passes(spark, tmp_path, monkeypatch):
         df = q.embedding_links(spark, str(tmp_path))
         assert "CartesianProduct" not in (plan := df._jdf.queryExecution().toString()) and "NestedLoop" not in plan
         against_sql(df, "embedding_links", tmp_path)
+
+
+def test_frequent_tokens_lead_nobody(spark):
+    """Values of five frequent words and a rare one meet by the rare one only, and no pair is lost."""
+    import random
+
+    from linkcluster.functions import tfidf
+
+    rng = random.Random(2)
+    common = ["red", "green", "blue", "white", "black", "brown", "amber"]
+    rare = ["".join(rng.choice("abcdefghijk") for _ in range(7)) for _ in range(60)]
+    values = [" ".join([*rng.sample(common, 5), *(rng.sample(rare, 1) if i % 3 else [rare[i % 60][:6] + "x"]), *([rng.choice(rare)] if i % 2 else [])]) for i in range(240)]
+    index = tfidf.index(spark.createDataFrame([(i, x) for i, x in enumerate(values)], "vid bigint, value string"))
+    got = {(r.va, r.vb): round(r.sim, 9) for r in index.reaching(0.5).collect()}
+    assert got == {(r.va, r.vb): round(r.sim, 9) for r in index.all_pairs().where("sim >= 0.5").collect()} and len(got) > 100
+    assert not {r.token for r in index.leads(0.5).collect()} & set(common)
+
+
+def test_label_keys_lose_no_pair_and_bring_few(spark):
+    """Every close pair shares a key, at several bounds and lengths; random words of six letters share far fewer than letter subsets alone gave them."""
+    import random
+
+    from linkcluster.functions.close_labels import subset_keys
+    from linkcluster.functions.strings import jaro_winkler_batch
+
+    rng = random.Random(9)
+    words = ["".join(rng.choice("abc") for _ in range(rng.choice([1, 2, 3, 4, 5, 6, 7, 8]))) for _ in range(250)]
+    words += [w[:k] + w[k + 1 :] + w[k : k + 1] for w in words[:60] for k in (0, 2)]
+    words = sorted(set(words))
+    pairs = [(a, b) for a in words for b in words if a < b]
+    sims = jaro_winkler_batch([a for a, _ in pairs], [b for _, b in pairs])
+    turn = lambda k: k if k[0] == "e" else ("l" if k[0] == "s" else "s") + k[1:]
+    for bound in (0.8, 0.9, 0.95):
+        keys = {w: set(subset_keys(w, bound)) for w in words}
+        lost = [(a, b) for (a, b), s in zip(pairs, sims) if s >= bound and a[:4] != b[:4] and not keys[a] & {turn(k) for k in keys[b]}]
+        assert not lost and (sims >= bound).sum() > 50
+    six = ["".join(rng.choice("bdfgklmnprstvzae") for _ in range(6)) for _ in range(1500)]
+    held: dict = {}
+    for w in six:
+        for k in (k for k in subset_keys(w, 0.9) if k[0] == "e"):
+            held.setdefault(k, []).append(w)
+    old: dict = {}
+    for w in six:
+        for i in range(6):
+            old.setdefault("".join(sorted(w[:i] + w[i + 1 :])), []).append(w)
+    met = lambda d: sum(len(x) * (len(x) - 1) // 2 for x in d.values())
+    assert 10 * met(held) < met(old)
