@@ -20,7 +20,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from linkcluster.llm import _text
+from linkcluster.functions import text_arrays as _text
 
 UNKNOWN = "und"
 
