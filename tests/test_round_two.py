@@ -8,7 +8,8 @@ import pytest
 
 from linkcluster import oracles
 from linkcluster import queries as q
-from linkcluster.functions import set_links
+from linkcluster.functions import compose, set_links
+from linkcluster.operators import blocking, merge
 from linkcluster.plans.iterate import ensure_checkpoint_dir
 
 
@@ -195,3 +196,21 @@ def test_shingle_links_lose_no_pair(spark, monkeypatch, theta):
     got = [(min(r.a, r.b), max(r.a, r.b), r.sim) for r in set_links.shingle_links(v, theta, 3, sum(map(len, texts)) * 40).collect()]
     assert len(got) == len(set(got)) > 20
     assert {(a, b): s for a, b, s in got} == {k: s for k, s in sim.items() if s >= float(theta)}
+
+
+def test_likely_pairs_lose_none(spark, monkeypatch):
+    """Blocks of many representatives are cut down to a few pairs before any similarity is taken; the triplets stay."""
+    monkeypatch.setattr(merge, "PAIRS", 50)
+    rng = random.Random(3)
+    word = lambda n: "".join(rng.choice("abcdefghik") for _ in range(n))
+    edit = lambda x: x and x[: (i := rng.randrange(3, len(x)))] + rng.choice("abcdefghik") + x[i + rng.randrange(2) :]
+    rows = [(p + word(rng.randrange(4, 12)), word(9) if rng.random() < 0.9 else None, word(6) if rng.random() < 0.7 else None) for p in ("abc", "abd") for _ in range(60)]
+    rows += [tuple(edit(x) for x in rng.choice(rows)) for _ in range(120)]
+    data = [(i, t, [], sorted(rng.sample("ABCDE", rng.choice([1, 1, 2]))), 1 + i % 3, t, a, b) for i, (t, a, b) in enumerate(rows)] + [(999, "abc", [], ["A"], 1, None, None, None)]
+    reps = spark.createDataFrame(data, "cid bigint, label string, types array<string>, sources array<string>, n int, title string, artist string, album string")
+    blocks = blocking.prefix(reps, 3).cache()
+    for cap in (20_000, 40):
+        pairs = merge.likely_pairs(blocks, compose.MUSIC, 0.8, 5, cap)
+        every = merge.candidates(blocks, compose.MUSIC, 0.8, 5)
+        assert sorted(map(repr, merge.candidates(blocks, compose.MUSIC, 0.8, 5, pairs=pairs).collect())) == sorted(map(repr, every.collect()))
+        assert 40 < every.count() <= pairs.count() == pairs.distinct().count() < 3_000
