@@ -8,7 +8,7 @@ import pytest
 
 from linkcluster import oracles
 from linkcluster import queries as q
-from linkcluster.functions import compose, set_links
+from linkcluster.functions import compose, set_links, tfidf
 from linkcluster.operators import blocking, merge
 from linkcluster.plans.iterate import ensure_checkpoint_dir
 
@@ -214,3 +214,18 @@ def test_likely_pairs_lose_none(spark, monkeypatch):
         every = merge.candidates(blocks, compose.MUSIC, 0.8, 5)
         assert sorted(map(repr, merge.candidates(blocks, compose.MUSIC, 0.8, 5, pairs=pairs).collect())) == sorted(map(repr, every.collect()))
         assert 40 < every.count() <= pairs.count() == pairs.distinct().count() < 3_000
+
+
+def test_soft_tfidf_scores_pairs_in_tiles(spark, monkeypatch):
+    """With no bound the pairs grow with the square of the values, so they leave their tile scored and are not shuffled."""
+    monkeypatch.setattr(tfidf, "TILE_ROWS", 20)
+    monkeypatch.setattr(tfidf, "HITS", 40)
+    rng = random.Random(2)
+    words = ["promo", "promos", "steel", "steal", "brushed", "tin", "copper", "coper"]
+    values = sorted({" ".join(rng.choice(words) for _ in range(rng.randrange(1, 5))) for _ in range(60)})
+    found = tfidf.index(spark.createDataFrame([(x, x) for x in values] + [(None, "tin")], "vid string, value string"), 0.85)
+    got = found.all_pairs()
+    assert "hashpartitioning(va" not in got._jdf.queryExecution().toString()
+    plain = found.score(found._side("a").join(found.close, "ta").join(found._side("b"), "tb").where("va < vb"))
+    rows = lambda d: {(r.va, r.vb): round(r.sim, 9) for r in d.collect()}
+    assert rows(got) == rows(plain) and len(rows(got)) == got.count() > 300
