@@ -8,7 +8,7 @@ from pyspark.sql import functions as F
 from linkcluster import queries as q
 from linkcluster.functions import close_labels, tfidf
 from linkcluster.functions.strings import jaro_winkler_batch
-from linkcluster.operators import linking
+from linkcluster.operators import linking, representative
 from linkcluster.plans import iterate
 
 
@@ -77,3 +77,13 @@ def test_music_links_in_turns(spark, sf, monkeypatch):
     plain = found.score(pairs.join(found._side("a"), "va").join(found.close, "ta").join(found._side("b"), ["vb", "tb"]))
     sims = lambda d: {(r.va, r.vb): round(r.sim, 9) for r in d.collect()}
     assert sims(found.of(pairs)) == sims(plain) and len(sims(plain)) > 100
+
+
+def test_representatives_deal_entities_out_once(spark):
+    """Labels are counted where a cluster's rows are: the entities are shuffled to their ids and to their clusters, and no more."""
+    v = spark.createDataFrame([(1, "A", "x", [], 1.0, 2.0), (2, "B", "yy", [], None, None), (3, "C", "x", [], 3.0, 4.0), (4, "D", None, [], None, None), (5, "E", None, [], None, None), (6, "F", None, [], None, None)], "id bigint, source string, label string, types array<string>, lat double, lon double")
+    a = spark.createDataFrame([(i, 1) for i in range(1, 7)], "id bigint, cid bigint")
+    got = representative.build(a, v)
+    assert got._jdf.queryExecution().optimizedPlan().toString().count("Join") == 1
+    r = got.first()
+    assert (r.label, r.members, r.n, r.lat) == ("x", [1, 2, 3, 4, 5, 6], 6, 1.0)
